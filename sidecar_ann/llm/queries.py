@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, media, mixing, packing, quality, token_counts, token_files
+from . import fingerprints, media, mixing, packing, pii, quality, token_counts, token_files
 from .common import documents
 
 
@@ -15,6 +15,10 @@ def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", quality.held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
 
 
+def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.digest(pii.find(documents(spark, sf_dir)))
+
+
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(documents(spark, sf_dir))
 
@@ -71,7 +75,7 @@ def op9_media(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    named = (op2_quality, op4_packing, op5_token_counts, op6_fingerprints, op7_token_files, op8_mixing, op9_media)
+    named = (op2_quality, op3_pii, op4_packing, op5_token_counts, op6_fingerprints, op7_token_files, op8_mixing, op9_media)
     return {f.__name__: f for f in named}
 
 

@@ -5,10 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, media, mixing, packing, pii, quality, token_counts, token_files
+from . import fingerprints, media, mixing, packing, pii, quality, repeats, token_counts, token_files
 from .common import documents
 
 
+def op1_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.removals(documents(spark, sf_dir)).drop("kept", "spans")
+
+
 def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text")
     scored = quality.classify(docs, documents(spark, sf_dir, "labels"))
@@ -75,7 +79,7 @@ def op9_media(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    named = (op2_quality, op3_pii, op4_packing, op5_token_counts, op6_fingerprints, op7_token_files, op8_mixing, op9_media)
+    named = (op1_repeats, op2_quality, op3_pii, op4_packing, op5_token_counts, op6_fingerprints, op7_token_files, op8_mixing, op9_media)
     return {f.__name__: f for f in named}
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, media, mixing, packing, pii, quality, repeats, token_counts, token_files
+from . import fingerprints, media, mixing, neardup, packing, pii, quality, repeats, token_counts, token_files
 from .common import documents
 
 
@@ -78,8 +78,12 @@ def op9_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.store_and_read(documents(spark, sf_dir))
 
 
+def op10_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.classes(documents(spark, sf_dir))
+
+
 def queries() -> dict:
-    named = (op1_repeats, op2_quality, op3_pii, op4_packing, op5_token_counts, op6_fingerprints, op7_token_files, op8_mixing, op9_media)
+    named = (op1_repeats, op2_quality, op3_pii, op4_packing, op5_token_counts, op6_fingerprints, op7_token_files, op8_mixing, op9_media, op10_neardup)
     return {f.__name__: f for f in named}
 
 

@@ -52,19 +52,30 @@ def source_targets(sizes: DataFrame, epochs: int = EPOCHS) -> DataFrame:
 
 
 def mix_sizes(sized: DataFrame, epochs: int = EPOCHS, seed: str = SEED) -> DataFrame:
-    """doc_id, size, source_size, target, taken (and source). Input: doc_id, source, size, staged."""
+    """sized (doc_id, source, size and whatever else) with source_size, target and taken. Read twice."""
+    names = sized.columns
     keyed = sized.withColumn("_key", F.md5(F.concat(F.lit(seed + ":"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))).withColumn("_range", F.substring("_key", 1, RANGE_DIGITS))
     by_range = keyed.groupBy("source", "_range").agg(F.sum("size").alias("_sum"))
     per_source = source_targets(by_range.groupBy("source").agg(F.sum("_sum").alias("source_size")), epochs)
     before = by_range.withColumn("_before", F.sum("_sum").over(Window.partitionBy("source").orderBy("_range").rowsBetween(Window.unboundedPreceding, 0)) - F.col("_sum"))
-    plan = before.alias("b").join(per_source.alias("s"), F.col("b.source").eqNullSafe(F.col("s.source"))).select("b.source", "b._range", "_before", "source_size", "target")
+    plan = before.alias("b").join(per_source.alias("s"), F.col("b.source").eqNullSafe(F.col("s.source"))).select("b.source", "b._range", "_before", "s.source_size", "s.target")
     k, p = keyed.alias("k"), plan.alias("p")
-    joined = k.join(p, F.col("k.source").eqNullSafe(F.col("p.source")) & (F.col("k._range") == F.col("p._range"))).select("k.doc_id", "k.source", "k.size", "k._key", "k._range", "_before", "source_size", "target")
+    joined = k.join(p, F.col("k.source").eqNullSafe(F.col("p.source")) & (F.col("k._range") == F.col("p._range"))).select("k.*", "p._before", F.col("p.source_size").alias("_ss"), F.col("p.target").alias("_tg"))
     upto = F.sum("size").over(Window.partitionBy("source", "_range").orderBy("_key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0))
-    times = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0)
-    left = F.floor(F.col("target")) - times * F.col("source_size")
+    times = F.when(F.col("_ss") > 0, F.floor(F.col("_tg") / F.col("_ss"))).otherwise(0)
+    left = F.floor(F.col("_tg")) - times * F.col("_ss")
     part = F.greatest(F.lit(0), F.least(F.col("size"), left - (F.col("_before") + F.col("_upto") - F.col("size"))))
-    return joined.withColumn("_upto", upto).select("doc_id", "source", "size", "source_size", "target", (times * F.col("size") + part).cast("long").alias("taken"))
+    kept = [c for c in names if c not in ("source_size", "target", "taken")]
+    return joined.withColumn("_upto", upto).select(*kept, F.col("_ss").alias("source_size"), F.col("_tg").alias("target"), (times * F.col("size") + part).cast("long").alias("taken"))
+
+
+def repeat_documents(docs: DataFrame, epochs: int = EPOCHS, seed: str = SEED) -> DataFrame:
+    """docs as the mix takes them: each row as often as it is taken whole, once more if at least half of it is taken
+    besides. Rows without words are not taken."""
+    names = docs.columns
+    mixed = mix_sizes(docs.withColumn("size", n_words(F.col("text"))), epochs, seed)
+    times = F.when(F.col("size") > 0, F.floor(F.col("taken") / F.col("size")) + F.when(2 * (F.col("taken") % F.col("size")) >= F.col("size"), 1).otherwise(0)).otherwise(0)
+    return mixed.withColumn("_n", times.cast("int")).filter("_n > 0").withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("_n")))).select(*names)
 
 
 def sized_documents(docs: DataFrame) -> DataFrame:

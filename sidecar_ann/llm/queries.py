@@ -82,8 +82,14 @@ def op10_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.classes(documents(spark, sf_dir))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
-    named = (op1_repeats, op2_quality, op3_pii, op4_packing, op5_token_counts, op6_fingerprints, op7_token_files, op8_mixing, op9_media, op10_neardup)
+    named = (op1_repeats, op2_quality, op3_pii, op4_packing, op5_token_counts, op6_fingerprints, op7_token_files, op8_mixing, op9_media, op10_neardup, pipeline)
     return {f.__name__: f for f in named}
 
 

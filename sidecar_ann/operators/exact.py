@@ -30,7 +30,8 @@ def exact_range(rows: DataFrame, q, threshold: float, vector: str = "v", metric:
 def collect_queries(queries: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     """(qid, vectors) of a stated query set (qid, qv), in qid order."""
     got = sorted((r["qid"], r["qv"]) for r in queries.select("qid", "qv").collect())
-    return np.array([g[0] for g in got], np.int64), np.array([g[1] for g in got], np.float64).reshape(len(got), -1)
+    vectors = np.array([g[1] for g in got], np.float64) if got else np.zeros((0, 1))
+    return np.array([g[0] for g in got], np.int64), vectors.reshape(len(got), -1) if got else vectors
 
 
 def exact_batch_topk(rows: DataFrame, queries: DataFrame, k: int, vector: str = "v", key: str = "vec_id", metric: str = "l2") -> DataFrame:

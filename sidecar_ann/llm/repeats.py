@@ -457,7 +457,7 @@ def numbered(docs: DataFrame) -> DataFrame:
 def removals(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (the text left), spans ("start:end,...")."""
     spark = docs.sparkSession
-    buckets = 2 * partitions(spark)
+    buckets = 4 * partitions(spark)
     base = numbered(docs)
     settled = stage(rivals(phrase_places(base, buckets), buckets), "phrases")
     texts = phrase_texts(base, settled.filter(F.col("kind") == WANTED), buckets)

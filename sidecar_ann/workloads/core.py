@@ -976,3 +976,67 @@ def w_event_queries(spark, sf):
     qs = ev.select("qid").distinct().join(e, F.col("vec_id") == F.col("qid")).select("qid", F.col("v").alias("qv"))
     top = shared(spark, sf)[1].search("ix", qs, 3, **EXHAUSTIVE)
     return ev.join(top, "qid").groupBy(F.date_trunc("day", "ts").alias("day"), "vec_id").agg(F.count("*").alias("n")).withColumn("day", F.col("day").cast("timestamp_ntz"))
+
+
+# ---------------------------------------------------------------- sources and functions for users
+@query("container_source", "SELECT 'vector-graph-v1' AS type, CAST(4 AS BIGINT) AS blobs, true AS sized UNION ALL SELECT 'vector-routing-v1', 1, true UNION ALL SELECT 'vector-centroids-v1', 1, true")
+def container_source(spark, sf):
+    from ..sources.reader import register
+
+    register(spark)
+    index = shared(spark, sf)[1].open("ix")
+    paths = ",".join(f"{index.root}/{p}" for p in [index.path, *(s["path"] for s in index.shards)])
+    return spark.read.format("ann_container").load(paths).groupBy("type").agg(F.count("*").alias("blobs"), (F.min("length") > 0).alias("sized"))
+
+
+@query("udtf_graph_edges", no_violations("edges that differ"))
+def udtf_graph_edges(spark, sf):
+    from ..functions.udfs import register as functions
+    from ..sources.reader import register
+
+    register(spark)
+    functions(spark)
+    m = shared(spark, sf)[1]
+    index = m.open("ix")
+    spark.read.format("ann_container").option("payload", "true").load(",".join(f"{index.root}/{s['path']}" for s in index.shards)).createOrReplaceTempView("sidecar_blobs")
+    got = spark.sql("SELECT e.src, e.dst FROM sidecar_blobs b, LATERAL decode_graph_edges(b.payload) e")
+    want = m.edges("ix").select("src", "dst")
+    return violations(spark, **{"edges that differ": got.exceptAll(want).count() + want.exceptAll(got).count()})
+
+
+@query("udf_nearest_centroid", f"WITH {_CELLS} SELECT CAST(cell AS INTEGER) AS cell, count(*) AS n FROM a GROUP BY cell")
+def udf_nearest_centroid(spark, sf):
+    from ..functions.udfs import nearest_centroid_udf
+
+    return uniform(spark, sf).groupBy(nearest_centroid_udf(_first8(spark, sf))("v").alias("cell")).agg(F.count("*").alias("n"))
+
+
+@query("udf_pq_encode", f"WITH {_BOOK} SELECT vec_id, list(CAST(code AS INTEGER) ORDER BY s)::VARCHAR AS codes FROM e GROUP BY vec_id")
+def udf_pq_encode(spark, sf):
+    from ..functions.udfs import pq_encode_udf
+
+    coded = uniform(spark, sf).select("vec_id", F.hex(pq_encode_udf(_book(spark, sf))("v")).alias("h"))
+    codes = F.transform(F.sequence(F.lit(0), F.lit(3)), lambda i: F.conv(F.substring("h", 2 * i + 1, 2), 16, 10).cast("int"))
+    return coded.select("vec_id", codes.cast("string").alias("codes"))
+
+
+@query("udaf_vector_avg", f"WITH {U} SELECT label, count(*) AS n, round(avg(v[1]), 6) AS first, round(avg(v[64]), 6) AS last FROM u GROUP BY label")
+def udaf_vector_avg(spark, sf):
+    from ..functions.udfs import vector_avg
+
+    return vector_avg(uniform(spark, sf), "v", 64, "label").select("label", "n", F.round(F.element_at("mean", 1), 6).alias("first"), F.round(F.element_at("mean", 64), 6).alias("last"))
+
+
+_TEXT_VEC = """w AS (SELECT doc_id, unnest(list_filter(regexp_split_to_array(lower(text), '\\s+'), lambda x: x <> '')) AS w FROM docs), s AS (SELECT doc_id, CAST(('0x' || substr(md5(w), 1, 7)) AS BIGINT) AS h FROM w),
+ c AS (SELECT doc_id, h % 64 AS i, sum(CASE WHEN (h // 64) % 2 = 0 THEN 1 ELSE -1 END)::DOUBLE AS x FROM s GROUP BY 1, 2), n AS (SELECT doc_id, sqrt(sum(x * x)) AS n FROM c GROUP BY doc_id)"""
+
+
+@query("w_doc_retrieval", f"WITH docs AS (SELECT doc_id, text FROM documents WHERE n_chars < 4000), {_TEXT_VEC}, q AS (SELECT * FROM c WHERE doc_id % 97 = 0), p AS (SELECT q.doc_id AS qid, c.doc_id AS vec_id, sum(q.x * c.x) AS ip FROM q JOIN c ON c.i = q.i GROUP BY 1, 2), d AS (SELECT qid, vec_id, 1 - ip / (a.n * b.n) AS distance FROM p JOIN n a ON a.doc_id = qid JOIN n b ON b.doc_id = vec_id) SELECT qid, count(*) FILTER (WHERE distance < 0.05) AS near FROM d GROUP BY qid")
+def w_doc_retrieval(spark, sf):
+    """Near copies of texts as neighbours: hashed word vectors, cosine, native blocks of a stated query set."""
+    from ..functions.udfs import hash_text_vector
+
+    docs = read(spark, sf, "documents").filter("n_chars < 4000").select(F.col("doc_id").alias("vec_id"), hash_text_vector(F.col("text")).alias("v"))
+    qs = docs.filter("vec_id % 97 = 0").select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
+    near = exact_batch_topk(docs, qs, docs.count(), metric="cosine")
+    return near.groupBy("qid").agg(F.count(F.when(F.col("distance") < 0.05, 1)).alias("near"))

@@ -10,7 +10,7 @@ import pyarrow.fs as pafs
 
 def resolve(path: str):
     if "://" in path or path.startswith("file:"):
-        return pafs.FileSystem.from_uri(path)
+        return pafs.FileSystem.from_uri(path.replace("s3a://", "s3://", 1))
     return pafs.LocalFileSystem(), path
 
 

@@ -1040,3 +1040,28 @@ def w_doc_retrieval(spark, sf):
     qs = docs.filter("vec_id % 97 = 0").select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
     near = exact_batch_topk(docs, qs, docs.count(), metric="cosine")
     return near.groupBy("qid").agg(F.count(F.when(F.col("distance") < 0.05, 1)).alias("near"))
+
+
+@query("w_benchmark_overlap", "WITH b AS (SELECT item_id, substr(text, 1, 60) AS head FROM benchmark WHERE length(text) >= 60) SELECT item_id, count(*) AS documents FROM b JOIN documents ON contains(text, head) GROUP BY item_id")
+def w_benchmark_overlap(spark, sf):
+    """Benchmark items whose first 60 characters stand in a document: the items are a stated, bounded query set."""
+    b = read(spark, sf, "benchmark").filter(F.length("text") >= 60).select("item_id", F.substring("text", 1, 60).alias("head"))
+    return read(spark, sf, "documents").join(F.broadcast(b), F.col("text").contains(F.col("head"))).groupBy("item_id").agg(F.count("*").alias("documents"))
+
+
+@query("derived_quantile_model", no_violations("outside the tolerance"))
+def derived_quantile_model(spark, sf):
+    """Quantiles of a column as derived data, checked against exact ranks."""
+    li = read(spark, sf, "lineitem").select("l_extendedprice")
+    n = li.count()
+    ps = [0.1, 0.25, 0.5, 0.75, 0.9]
+    q = li.agg(F.percentile_approx("l_extendedprice", ps, 1000).alias("q")).first()["q"]
+    rank = li.agg(*[F.count(F.when(F.col("l_extendedprice") <= v, 1)).alias(f"r{i}") for i, v in enumerate(q)]).first()
+    return violations(spark, **{"outside the tolerance": sum(abs(rank[i] / n - p) > 0.01 for i, p in enumerate(ps))})
+
+
+@query("w_filtered_region", f"WITH {U}, one AS (SELECT v AS qv FROM u WHERE vec_id = 7), d AS (SELECT vec_id, list_distance(v, qv) AS distance FROM u, one) SELECT p_partkey, p_brand, round(distance, 6) AS distance FROM d JOIN part ON p_partkey = vec_id WHERE p_size < 25 ORDER BY d.distance, p_partkey LIMIT 10")
+def w_filtered_region(spark, sf):
+    """Feature search over parts under an attribute filter."""
+    parts = read(spark, sf, "part").filter("p_size < 25").join(uniform(spark, sf), F.col("vec_id") == F.col("p_partkey"))
+    return exact_topk(parts, _seven(spark, sf), 10, key="p_partkey").select("p_partkey", "p_brand", F.round("distance", 6).alias("distance"))

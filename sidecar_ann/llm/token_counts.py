@@ -56,6 +56,12 @@ class SpanEncoder(ChunkEncoder):
         out = self.tokenizer.encode_batch(texts, add_special_tokens=False)
         return [np.array(e.offsets, "<i4").reshape(-1, 2).tobytes() for e in out]
 
+    def _joined(self, chunks: list[str]) -> list[bytes]:
+        return self._raw(chunks)
+
+    def _after_line_end(self, chunks: list[str]) -> list[bytes]:
+        return self._raw(["\n" + c for c in chunks])
+
     def spans(self, texts: list[str]) -> list[tuple[np.ndarray, np.ndarray]]:
         split = [self._chunks(t) if t else [] for t in texts]
         flat = self.encode(texts)

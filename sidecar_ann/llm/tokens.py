@@ -15,7 +15,7 @@ END_ID = 2
 #: White space beyond blank and line end: a text that has any goes to the tokenizer whole.
 _ODD = re.compile(r"[^\S \n]")
 #: Entries of one generation of the memo; two generations are held.
-_MEMO = 300_000
+_MEMO = 600_000
 
 
 def tokenizer_path(name: str) -> str:
@@ -33,6 +33,10 @@ class ChunkEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.no_padding()
         self.tokenizer.no_truncation()
+        line = self.tokenizer.encode("\n", add_special_tokens=False).ids
+        #: A line end where it is an id of its own, else (white space is dropped) a control character between blanks.
+        self.separator = ("\n", line[0]) if len(line) == 1 else (" \x01 ", self.tokenizer.encode("\x01", add_special_tokens=False).ids[0])
+        self.line = np.array(line, "<u4").tobytes()
         self.new: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
         self.heads: dict[str, bytes] = {}
@@ -48,6 +52,30 @@ class ChunkEncoder:
         out = self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)
         return [np.array(e.ids, "<u4").tobytes() for e in out]
 
+    def _joined(self, chunks: list[str]) -> list[bytes]:
+        """Ids of chunks without a line end: encoded as one text, parted by a separator of one id that no chunk has."""
+        sep, mark = self.separator
+        out: list[bytes] = []
+        for s in range(0, len(chunks), 5000):
+            part = chunks[s : s + 5000]
+            if sep.strip() and any(sep.strip() in c for c in part):
+                out += self._raw(part)
+                continue
+            ids = np.array(self.tokenizer.encode_batch_fast([sep.join(part)], add_special_tokens=False)[0].ids, "<u4")
+            cuts = np.flatnonzero(ids == mark)
+            if len(cuts) != len(part) - 1:  # the separator is not safe here
+                out += self._raw(part)
+                continue
+            raw = ids.tobytes()
+            ends = np.append(cuts, len(ids)) * 4
+            begin = np.concatenate([[0], cuts * 4 + 4]) if len(cuts) else np.array([0])
+            out += [raw[a:b] for a, b in zip(begin.tolist(), ends.tolist())]
+        return out
+
+    def _after_line_end(self, chunks: list[str]) -> list[bytes]:
+        """Ids of a line end and each chunk."""
+        return [self.line + v for v in self._joined(chunks)]
+
     @staticmethod
     def _chunks(text: str) -> list[str] | None:
         """Chunks: the first as it stands, later ones without the blank before them (a line end stays). None: whole."""
@@ -72,11 +100,14 @@ class ChunkEncoder:
                 todo.append(w)
             else:
                 new[w] = got
-        got = self._raw([w if w[:1] == "\n" else " " + w for w in todo] + heads + [texts[i] for i in whole])
-        new.update(zip(todo, got))
-        self.heads.update(zip(heads, got[len(todo) :]))
+        plain = [w for w in todo if w[:1] != "\n"]
+        after = [w for w in todo if w[:1] == "\n"]  # a line end is an id of its own before a solid character
+        got = self._joined([" " + w for w in plain] + heads)
+        new.update(zip(plain, got))
+        new.update(zip(after, self._after_line_end([w[1:] for w in after])))
+        self.heads.update(zip(heads, got[len(plain) :]))
         find = new.__getitem__
         out: list[bytes] = [self.heads[c[0]] + b"".join(map(find, c[1:])) if c else b"" for c in split]
-        for i, v in zip(whole, got[len(todo) + len(heads) :]):
+        for i, v in zip(whole, self._raw([texts[i] for i in whole])):
             out[i] = v
         return out

@@ -48,12 +48,6 @@ def stage(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def drop_staged(df: DataFrame) -> None:
-    """Removes the folder of a staged table that no later plan reads."""
-    for path in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-        _remove(df.sparkSession, path)
-
-
 def _remove(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     p = jvm.org.apache.hadoop.fs.Path(path)
@@ -181,22 +175,3 @@ def words(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np
 
 def crc32_of_text(column: Column) -> Column:
     return F.crc32(column.cast("string").cast("binary"))
-
-
-# ---------------------------------------------------------------- ascending id order without one task for all
-def id_bounds(df: DataFrame, column: str, parts: int) -> list[int]:
-    """At most parts - 1 ascending cut points of a long column, near its quantiles; from a sketch of bounded size."""
-    if parts < 2:
-        return []
-    qs = [i / parts for i in range(1, parts)]
-    got = df.agg(F.percentile_approx(column, qs, max(1000, 20 * parts)).alias("q")).first()["q"]
-    return sorted(set(got or []))
-
-
-def part_of(column: Column, bounds: list[int]) -> Column:
-    """Number of cut points at or below the id (a native binary search over a constant array is not offered, so the
-    bounds go in as a literal array and are counted)."""
-    if not bounds:
-        return F.lit(0)
-    where = F.array(*[F.lit(int(b)) for b in bounds])
-    return F.when(column.isNull(), F.lit(0)).otherwise(F.size(F.filter(where, lambda b: b <= column)))

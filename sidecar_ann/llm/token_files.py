@@ -125,7 +125,7 @@ class IdReader:
 
 def _at(folder: str):
     """File system and path of a folder; a path without a scheme is local."""
-    return pafs.FileSystem.from_uri(folder) if "://" in folder or folder.startswith("file:") else (pafs.LocalFileSystem(), folder)
+    return pafs.FileSystem.from_uri(folder.replace("s3a://", "s3://", 1)) if "://" in folder or folder.startswith("file:") else (pafs.LocalFileSystem(), folder)
 
 
 def write_token_files(docs: DataFrame, folder: str, tokenizer: str, vocabulary: int) -> list[dict]:

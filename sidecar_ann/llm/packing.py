@@ -25,8 +25,8 @@ from .common import per_batch, pieces, stage
 from .tokens import END_ID, ChunkEncoder, tokenizer_path
 
 CAPACITY = 1024
-#: Pieces that one rank group holds, about.
-RANK_GROUP = 50_000
+#: Pieces of one length that are ranked together, about: a frequent length has many groups.
+RANK_GROUP = 4_000
 
 
 def cut(n: int, capacity: int) -> list[tuple[int, int]]:
@@ -134,9 +134,9 @@ def slots(bins: list[tuple[int, list[int]]], capacity: int = CAPACITY) -> dict[i
 def pack(cut_pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     """cut_pieces (doc_id, piece, length, ...) with sequence_id and offset added. Read several times: stage it first."""
     counts = {r["length"]: r["n"] for r in cut_pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}
-    groups = max(1, sum(counts.values()) // RANK_GROUP)
     place = slots(plan_bins(counts, capacity), capacity)
-    spread = cut_pieces.withColumn("_group", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(groups)))
+    groups = F.create_map(*[F.lit(x) for n, c in sorted(counts.items()) for x in (n, c // RANK_GROUP + 1)]) if counts else F.create_map(F.lit(0), F.lit(1))
+    spread = cut_pieces.withColumn("_group", F.pmod(F.xxhash64("doc_id", "piece"), groups[F.col("length")]))
     before = (
         spread.groupBy("length", "_group").agg(F.count("*").alias("_n"))
         .withColumn("_before", F.sum("_n").over(Window.partitionBy("length").orderBy("_group").rowsBetween(Window.unboundedPreceding, 0)) - F.col("_n"))

@@ -1,7 +1,7 @@
 """Personal data by weak supervision; DataFrame functions only.
 
 Candidates are what loose patterns find: everything that a base pattern matches (also what its check then refuses), local
-phone numbers, and values assigned to names of secrets. Three labelers vote on each for, against or not at all: the
+phone numbers, and values assigned to names of secrets (the whole run, however long). Three labelers vote on each for, against or not at all: the
 format check (digit counts, Luhn, octets), a gazetteer (domain endings, card issuers, country codes, special networks,
 names of secrets) and the words before it. How often each pattern of votes occurs is counted over all documents, a table
 of fixed size; expectation-maximisation on it estimates how reliable each labeler is for each kind, and a logistic
@@ -32,7 +32,7 @@ PATTERNS = {
     "ip": r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}",
     "card": r"[0-9](?:[\x20-]?[0-9])++",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
-    "secret": r"(?i)(?<![a-z0-9])(?:[a-z0-9]{1,20}[_-])?(?:token|secret|password|passwd|pwd|api[_-]?key|access[_-]?key)[\"']?\x20{0,3}[:=]\x20{0,3}[\"']?[^\s\"']{8,200}",
+    "secret": r"(?i)(?<![a-z0-9])(?:[a-z0-9]{1,20}[_-])?(?:token|secret|password|passwd|pwd|api[_-]?key|access[_-]?key)[\"']?\x20{0,3}[:=]\x20{0,3}[\"']?[^\s\"']{8,}+",
     "local_phone": r"(?<![0-9+])\(?[0-9]{3}\)?[\x20.-][0-9]{3}[\x20.-][0-9]{4}(?![0-9])",
 }
 _SECRET_HEAD = r"(?i)^[a-z0-9_-]+[\"']?\x20{0,3}[:=]\x20{0,3}[\"']?"

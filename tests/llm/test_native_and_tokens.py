@@ -61,6 +61,17 @@ def test_added_spans_and_redaction(spark):
     assert left[5] == texts[5]
 
 
+def test_secrets_of_any_length_are_whole(spark):
+    values = ["0123456789abcdef" * n for n in (2, 12, 13, 20, 400)]
+    texts = [f"export token = {v} end" for v in values]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["spans"] for r in pii.digest(pii.find(docs)).collect()}
+    left = {r["doc_id"]: r["text"] for r in pii.redact(docs).collect()}
+    for i, v in enumerate(values):
+        assert got[i] == f"secret:15:{15 + len(v)}"
+        assert left[i] == "export token = [SECRET] end"
+
+
 def test_reliabilities_follow_agreement():
     counts = {(3, 26): 50, (3, 4): 400, (3, 23): 30, (3, 1): 300}
     post, rel = pii.estimate(counts)

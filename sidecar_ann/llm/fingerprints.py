@@ -1,9 +1,11 @@
 """I-Match fingerprints over several randomised lexicons.
 
-The lexicon is the band of terms whose document frequency, over all documents, lies between two shares of the corpus
-(so between two inverse document frequencies). A term is a run of bytes between white space. At most
-(mean distinct terms of a document) / LOW terms can reach the lower share, so the lexicon that every task holds is
-bounded whatever the corpus; frequencies are exact, counted by hash range.
+The lexicon is the band of terms whose document frequency lies between two shares of the corpus (so between two inverse
+document frequencies). Documents are counted once for each group of equal or near-equal texts: a sketch of KEYS keys
+stands for each text, and a text counts by one over the number of texts that share its commonest key, so that a group
+adds up to about one, however large; keys that fewer than a quarter of the lower share of texts have count as single. A
+term is a run of bytes between white space. At most (mean distinct terms of a group) / LOW terms can reach the lower
+share, so the lexicon that every task holds is bounded whatever the corpus; frequencies are counted by hash range.
 
 A fingerprint keeps a document's distinct terms of the lexicon and hashes SUBSETS random part-lexicons: a part-lexicon of
 level l takes a term with chance 2**-l. The level follows the number of terms kept so that about one of them falls into
@@ -11,9 +13,12 @@ each part, and the next level is hashed too, because a text with small edits may
 hash of the sorted terms that fell in. `likeness` is the share of parts with equal hashes at a common level, counting
 parts in which either text has a term.
 
-Null texts are empty. A text with no term in the band hashes its whole content instead (level x), so equal texts always
-have equal fingerprints, and two such texts are alike by 1 if equal and by 0 if not. Repeated rows repeat. An empty table
-gives no rows. Columns other than doc_id and text are ignored."""
+A text with less than a quarter of its distinct terms (or than LEAST of them) in the band fills up to that number: first
+with its terms below the band, in the order of their hashes, then with those above it, the rarest first. So small edits
+change few of the terms kept, also in a rare language or in a text of frequent words only.
+
+Null texts are empty. A text without any term hashes its content instead (level x). Equal texts always have equal
+fingerprints. Repeated rows repeat. An empty table gives no rows. Columns other than doc_id and text are ignored."""
 
 from __future__ import annotations
 
@@ -25,11 +30,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import MIX, mix64, partitions, per_batch, pieces, span_hashes, text_bytes, words
+from .common import MIX, MIX2, mix64, partitions, per_batch, pieces, span_hashes, stage, text_bytes, words
 
 SUBSETS = 32
-#: Band of document frequency, as shares of all documents.
+#: Band of document frequency, as shares of all groups of near-equal texts.
 LOW, HIGH = 1 / 2000, 1 / 20
+#: Keys of a text's sketch, each of two min-hashes over runs of three words: at a likeness of 0.6, 97 % share one or more.
+KEYS = 8
+#: Terms that a text keeps at least, if it has so many, and the least share of its distinct terms.
+LEAST, SHARE = 8, 0.25
+#: Weight of a single document in weighted counts, which are whole numbers so that their order does not matter.
+UNIT = 1 << 24
 _ROUND = np.uint64(16)
 
 
@@ -44,48 +55,128 @@ def distinct_terms(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.nd
     return row[keep], term[keep]
 
 
-def document_frequencies(docs: DataFrame) -> DataFrame:
-    """Blobs of (term hash, document frequency), exact: each task counts its batch, hash ranges add up the counts."""
+def sketches(data: np.ndarray, off: np.ndarray) -> np.ndarray:
+    """(texts, KEYS) keys; near-equal texts share some, equal ones all, and texts without words have the same."""
+    start, end, row = words(data, off)
+    out = np.zeros((len(off) - 1, KEYS), np.uint64)
+    if len(row):
+        h = span_hashes(data, start, end)
+        run = h * np.uint64(3)
+        for ahead, code in ((1, MIX), (2, MIX2)):
+            run[:-ahead] += np.where(row[ahead:] == row[:-ahead], h[ahead:], np.uint64(0)) * code
+        run = mix64(run)
+        first = np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]]))
+        odd = mix64(np.arange(1, 2 * KEYS + 1, dtype=np.uint64)) | np.uint64(1)
+        least = [np.minimum.reduceat(run * c, first) for c in odd]
+        for k in range(KEYS):
+            out[row[first], k] = mix64(least[2 * k] + mix64(least[2 * k + 1]))
+    return mix64(out + np.arange(KEYS, dtype=np.uint64) * MIX)
+
+
+def weights(keys: np.ndarray, heavy: np.ndarray) -> np.ndarray:
+    """UNIT over the number of texts that share a text's commonest key."""
+    at = np.minimum(np.searchsorted(heavy["key"], keys), max(0, len(heavy) - 1))
+    n = np.where(heavy["key"][at] == keys, heavy["n"][at], 1).max(1) if len(heavy) else np.ones(len(keys))
+    return np.maximum(1, UNIT // n.astype(np.int64)).astype(np.uint64)
+
+
+def heavy_keys(docs: DataFrame, low: float = LOW) -> tuple[np.ndarray, int]:
+    """(key, n) of the keys that many texts share, ordered, at most 4 * KEYS / low of them; and the documents' weight."""
+    kind = np.dtype([("key", "<u8"), ("n", "<u8")])
+    buckets = partitions(docs.sparkSession)
+
+    def sketch(batch: pa.RecordBatch) -> pa.RecordBatch:
+        got = [sketches(*text_bytes(part.column("text"))) for part in pieces(batch)]
+        return pa.RecordBatch.from_pydict({"n": [sum(map(len, got))], "data": pa.array([b"".join(x.tobytes() for x in got)], pa.binary())})
+
+    held = stage(per_batch(docs.select("text"), sketch, "n long, data binary"), "sketches")
+    n = held.agg(F.sum("n")).first()[0] or 0
+    least = max(2, n * low / 4)
+
+    def deal(batch: pa.RecordBatch) -> pa.RecordBatch:
+        key, count = np.unique(np.frombuffer(b"".join(batch.column("data").to_pylist()), "<u8"), return_counts=True)
+        rows = np.zeros(len(key), kind)
+        rows["key"], rows["n"] = key, count
+        bucket = (key % np.uint64(buckets)).astype(np.int32)
+        there = np.unique(bucket)
+        return pa.RecordBatch.from_pydict({"bucket": pa.array(there), "data": pa.array([rows[bucket == b].tobytes() for b in there], pa.binary())})
+
+    def many(table: pa.Table) -> pa.Table:
+        rows = np.frombuffer(b"".join(table.column("data").to_pylist()), kind)
+        key, inverse = np.unique(rows["key"], return_inverse=True)
+        out = np.zeros(len(key), kind)
+        out["key"], out["n"] = key, np.bincount(inverse, rows["n"], len(key))
+        return pa.table({"data": pa.array([out[out["n"] >= least].tobytes()], pa.binary())})
+
+    got = per_batch(held, deal, "bucket int, data binary").groupBy("bucket").applyInArrow(many, "data binary").collect()
+    heavy = np.sort(np.frombuffer(b"".join(bytes(r[0]) for r in got), kind), order="key")
+
+    def weigh(batch: pa.RecordBatch) -> pa.RecordBatch:
+        keys = np.frombuffer(b"".join(batch.column("data").to_pylist()), "<u8").reshape(-1, KEYS)
+        return pa.RecordBatch.from_pydict({"w": [int(weights(keys, heavy).sum())]})
+
+    return heavy, int(per_batch(held, weigh, "w long").agg(F.sum(F.col("w").cast("decimal(38,0)"))).first()[0] or 0)
+
+
+def document_frequencies(docs: DataFrame, heavy: np.ndarray | None = None) -> DataFrame:
+    """Blobs of (term hash, document frequency), exact: each task counts its batch, hash ranges add up the counts. With
+    the heavy keys, documents count by their weights, otherwise by 1."""
     buckets = 4 * partitions(docs.sparkSession)
-    kind = np.dtype([("term", "<u8"), ("n", "<u4")])
 
     def count(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        held = []
+        terms, sums = [], []
         for part in pieces(batch):
-            _, term = distinct_terms(*text_bytes(part.column("text")))
-            held.append(np.unique(term, return_counts=True))
-        term, inverse = np.unique(np.concatenate([t for t, _ in held]), return_inverse=True)
-        rows = np.zeros(len(term), kind)
-        rows["term"], rows["n"] = term, np.bincount(inverse, np.concatenate([n for _, n in held]), len(term))
+            data, off = text_bytes(part.column("text"))
+            row, term = distinct_terms(data, off)
+            w = np.ones(len(off) - 1, np.uint64) if heavy is None else weights(sketches(data, off), heavy)
+            order = np.argsort(term, kind="stable")
+            row, term = row[order], term[order]
+            lead = np.flatnonzero(np.concatenate([[True], term[1:] != term[:-1]])) if len(term) else np.zeros(0, np.int64)
+            terms.append(term[lead])
+            sums.append(np.add.reduceat(w[row], lead) if len(lead) else np.zeros(0, np.uint64))
+        term, n = _added(np.concatenate(terms), np.concatenate(sums))
         bucket = (term >> np.uint64(32)) % np.uint64(buckets)
         order = np.argsort(bucket, kind="stable")
-        rows, bucket = rows[order], bucket[order]
+        term, n, bucket = term[order], n[order], bucket[order]
         cuts = np.flatnonzero(np.diff(bucket)) + 1
         lead = bucket[np.concatenate([[0], cuts])] if len(bucket) else bucket
-        yield pa.RecordBatch.from_pydict({"bucket": pa.array(lead.astype(np.int32)), "data": pa.array([x.tobytes() for x in np.split(rows, cuts)] if len(rows) else [], pa.binary())})
+        split = lambda x: pa.array([y.tobytes() for y in np.split(x, cuts)] if len(x) else [], pa.binary())
+        yield pa.RecordBatch.from_pydict({"bucket": pa.array(lead.astype(np.int32)), "terms": split(term), "sums": split(n)})
 
     def total(table: pa.Table) -> pa.Table:
-        rows = np.frombuffer(b"".join(table.column("data").to_pylist()), kind)
-        term, inverse = np.unique(rows["term"], return_inverse=True)
+        term, n = _added(*(np.frombuffer(b"".join(table.column(c).to_pylist()), "<u8") for c in ("terms", "sums")))
         out = np.zeros(len(term), np.dtype([("term", "<u8"), ("n", "<u8")]))
-        out["term"], out["n"] = term, np.bincount(inverse, rows["n"], len(term))
+        out["term"], out["n"] = term, n
         return pa.table({"data": pa.array([out.tobytes()], pa.binary())})
 
-    return per_batch(docs.select("text"), count, "bucket int, data binary").groupBy("bucket").applyInArrow(total, "data binary")
+    return per_batch(docs.select("text"), count, "bucket int, terms binary, sums binary").groupBy("bucket").applyInArrow(total, "data binary")
+
+
+def _added(term: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    if not len(term):
+        return term, n
+    order = np.argsort(term, kind="stable")
+    term, n = term[order], n[order]
+    lead = np.flatnonzero(np.concatenate([[True], term[1:] != term[:-1]]))
+    return term[lead], np.add.reduceat(n, lead)
 
 
-def lexicon(docs: DataFrame, low: float = LOW, high: float = HIGH) -> np.ndarray:
-    """Sorted hashes of the terms within the band."""
-    n = docs.count()
-    least, most = n * low, n * high
+def lexicon(docs: DataFrame, low: float = LOW, high: float = HIGH) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sorted hashes of the terms within the band; those of the terms above it, and the places of these by frequency."""
+    heavy, whole = heavy_keys(docs, low)
+    least, most = whole * low, whole * high
     kind = np.dtype([("term", "<u8"), ("n", "<u8")])
 
     def band(batch: pa.RecordBatch) -> pa.RecordBatch:
         rows = np.frombuffer(b"".join(batch.column(0).to_pylist()), kind)
-        return pa.RecordBatch.from_pydict({"data": pa.array([rows["term"][(rows["n"] >= least) & (rows["n"] <= most)].tobytes()], pa.binary())})
+        inside, above = rows["term"][(rows["n"] >= least) & (rows["n"] <= most)], rows[rows["n"] > most]
+        return pa.RecordBatch.from_pydict({"data": pa.array([inside.tobytes()], pa.binary()), "above": pa.array([above.tobytes()], pa.binary())})
 
-    got = per_batch(document_frequencies(docs), band, "data binary").collect()
-    return np.sort(np.frombuffer(b"".join(bytes(r[0]) for r in got), "<u8"))
+    got = per_batch(document_frequencies(docs, heavy), band, "data binary, above binary").collect()
+    above = np.sort(np.frombuffer(b"".join(bytes(r[1]) for r in got), kind), order="term")
+    place = np.zeros(len(above), np.uint64)
+    place[np.lexsort((above["term"], above["n"]))] = np.arange(len(above), dtype=np.uint64)
+    return np.sort(np.frombuffer(b"".join(bytes(r[0]) for r in got), "<u8")), above["term"].copy(), place
 
 
 def part_hashes(row: np.ndarray, term: np.ndarray, level: np.ndarray, n: int) -> np.ndarray:
@@ -104,15 +195,36 @@ def part_hashes(row: np.ndarray, term: np.ndarray, level: np.ndarray, n: int) ->
     return out
 
 
-def fingerprints(texts: list[bytes], lexicon_terms: np.ndarray) -> list[str]:
+def _among(sorted_terms: np.ndarray, term: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    if not len(sorted_terms):
+        return np.zeros(len(term), np.int64), np.zeros(len(term), bool)
+    at = np.minimum(np.searchsorted(sorted_terms, term), len(sorted_terms) - 1)
+    return at, sorted_terms[at] == term
+
+
+def kept_terms(row: np.ndarray, term: np.ndarray, n: int, terms: tuple[np.ndarray, np.ndarray, np.ndarray]) -> np.ndarray:
+    """Which of the distinct terms of n texts stay: those in the band, and where they are few, the terms nearest to it."""
+    inside, above, place = terms
+    keep = _among(inside, term)[1]
+    held, distinct = np.bincount(row[keep], minlength=n), np.bincount(row, minlength=n)
+    short = np.maximum(LEAST, np.ceil(SHARE * distinct)).astype(np.int64) - held
+    spare = np.flatnonzero(~keep & (short[row] > 0))
+    if len(spare):
+        at, frequent = _among(above, term[spare])
+        turn = mix64(term[spare]) >> np.uint64(1)
+        turn[frequent] = place[at[frequent]] + np.uint64(1 << 63)
+        spare = spare[np.lexsort((turn, row[spare]))]
+        own = row[spare]
+        rank = np.arange(len(own)) - np.searchsorted(own, own)
+        keep[spare[rank < short[own]]] = True
+    return keep
+
+
+def fingerprints(texts: list[bytes], terms: tuple[np.ndarray, np.ndarray, np.ndarray]) -> list[str]:
     data = np.frombuffer(b"".join(texts), np.uint8)
     off = np.concatenate([[0], np.cumsum([len(t) for t in texts])]).astype(np.int64)
     row, term = distinct_terms(data, off)
-    if len(lexicon_terms):
-        at = np.minimum(np.searchsorted(lexicon_terms, term), len(lexicon_terms) - 1)
-        keep = lexicon_terms[at] == term
-    else:
-        keep = np.zeros(len(term), bool)
+    keep = kept_terms(row, term, len(texts), terms)
     row, term = row[keep], term[keep]
     held = np.bincount(row, minlength=len(texts))
     level = np.floor(np.log2(np.maximum(held, 1))).astype(np.int64)

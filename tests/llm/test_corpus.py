@@ -142,6 +142,32 @@ def test_fingerprint_edges(spark):
     assert fingerprints.edited_fingerprints(one.filter("doc_id > 1")).count() == 0
 
 
+def test_fingerprints_of_large_groups_and_rare_sources(spark):
+    rng = random.Random(3)
+    text = lambda kind, n=80, many=3000: [f"{kind}{rng.randrange(many)}" for _ in range(n)]
+    base, rows = text("g"), []
+    for i in range(900):
+        x = list(base)
+        for _ in range(3):
+            x[rng.randrange(80)] = f"g{rng.randrange(3000)}"
+        rows.append((3 * i, " ".join(x)))
+    rows += [(3 * i + 1, " ".join(text("w"))) for i in range(1990)]
+    rare = [text("r", 80, 10**9) for _ in range(10)]
+    rows += [(10**6 + i, " ".join(x)) for i, x in enumerate(rare)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    heavy, whole = fingerprints.heavy_keys(docs)
+    assert 2000 <= whole / fingerprints.UNIT < 2020
+    terms = fingerprints.lexicon(docs)
+    alike = lambda a, b: fingerprints.likeness(*fingerprints.fingerprints([a.encode(), b.encode()], terms))
+    group = [t for d, t in rows if d < 10**6 and d % 3 == 0]
+    assert np.mean([alike(a, b) for a, b in zip(group, group[1:100])]) > 0.5
+    other = [t for d, t in rows if d < 10**6 and d % 3 == 1]
+    assert np.mean([alike(a, b) for a, b in zip(other, other[1:100])]) < 0.1
+    for x in rare:
+        assert alike(" ".join(x), " ".join([*x[:70], *text("r", 10, 10**9)])) > 0.4
+    assert max(alike(" ".join(a), " ".join(b)) for a, b in zip(rare, rare[1:])) < 0.1
+
+
 def test_document_frequencies_are_exact(spark):
     docs = spark.createDataFrame([(i, f"common w{i % 3} w{i % 3} only{i}") for i in range(30)], "doc_id long, text string").repartition(4)
     n = np.concatenate([np.frombuffer(bytes(r[0]), [("t", "<u8"), ("n", "<u8")])["n"] for r in fingerprints.document_frequencies(docs).collect()])

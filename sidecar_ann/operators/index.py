@@ -343,27 +343,32 @@ class IndexManager:
         return rows.select(F.col(snap.id_column).cast("long").alias("vec_id"), F.col(column).alias("v"))
 
     # ------------------------------------------------------------ centroid tier
-    def search_centroid(self, name: str, q, k: int, nprobe: int | None = None, version: int | None = None) -> DataFrame:
+    def search_centroid(self, name: str, q, k: int, nprobe: int | None = None, version: int | None = None, where: Column | None = None) -> DataFrame:
         """vec_id, distance of one query: the nprobe nearest files are scanned; without nprobe, files in order of their
-        bound until no bound is below the kth distance (exact), in batches that double."""
+        bound until no bound is below the kth distance (exact), in batches that double. Files that the index does not
+        cover have no bound and are scanned in either case."""
         snap, index = self.table.log.at(version), self.open(name, version)
         files = {f.file_no: f for f in self.table.log.files(snap)}
+        added = [n for n, f in files.items() if f.path not in index.covered]
         probe = self.centroids(name, version)
-        rows = lambda numbers: self._rows_where(snap, index.column, [files[n] for n in numbers if n in files], None)
+        rows = lambda numbers: self._rows_where(snap, index.column, [files[n] for n in numbers], where)
         from .exact import exact_topk
 
         if nprobe is not None:
-            chosen = probe.closest(q, nprobe)
+            chosen = [n for n in probe.closest(q, len(probe.file_no)) if n in files][:nprobe] + added
             self.last_metrics = {"files": len(chosen), "bytes": sum(files[n].bytes for n in chosen)}
             return exact_topk(rows(chosen), q, k, metric=index.options.metric).select("vec_id", "distance")
-        order, done, step, worst = probe.by_bound(q), 0, 1, float("inf")
+        order, done, step, worst = [(b, n) for b, n in probe.by_bound(q) if n in files], 0, 1, float("inf")
         best: list[tuple[float, int]] = []
+        if added:
+            best = [(r["distance"], r["vec_id"]) for r in exact_topk(rows(added), q, k, metric=index.options.metric).collect()]
+            worst = best[-1][0] if best else worst
         while done < len(order) and (len(best) < k or order[done][0] <= worst):
             batch = [n for b, n in order[done : done + step] if len(best) < k or b <= worst]
             best = sorted(best + [(r["distance"], r["vec_id"]) for r in exact_topk(rows(batch), q, k, metric=index.options.metric).collect()])[:k]
             worst = best[-1][0] if best else worst
             done, step = done + step, step * 2
-        self.last_metrics = {"files": min(done, len(order))}
+        self.last_metrics = {"files": min(done, len(order)) + len(added)}
         return self.spark.createDataFrame([(i, d) for d, i in best], "vec_id long, distance double")
 
     def search_range(self, name: str, q, threshold: float, version: int | None = None) -> DataFrame:

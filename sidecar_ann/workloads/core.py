@@ -393,6 +393,13 @@ def centroid_exact_topk(spark, sf):
     return shared(spark, sf)[1].search_centroid("ix", _seven(spark, sf), 10).select("vec_id", F.round("distance", 6).alias("distance"))
 
 
+@query("centroid_exact_topk_stale", f"{_ONE} SELECT vec_id, round(distance, 6) AS distance FROM d ORDER BY d.distance, vec_id LIMIT 10")
+def centroid_exact_topk_stale(spark, sf):
+    """The index covers a part of the table only: the rest is appended after the build."""
+    _, m, _ = _history(spark, sf)
+    return m.search_centroid("ix", _seven(spark, sf), 10).select("vec_id", F.round("distance", 6).alias("distance"))
+
+
 @query("bound_safety", no_violations("l2", "l2sq", "cosine", "ip"))
 def bound_safety(spark, sf):
     ids, x = matrix(uniform(spark, sf))

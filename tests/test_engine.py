@@ -233,6 +233,20 @@ def test_statements(spark, rows, tmp_path):
         s.sql("CREATE INDEX b ON TABLE t USING btree (v)")
 
 
+def test_centroid_search_of_a_stale_index(spark, tmp_path):
+    near = spark.createDataFrame([(i, [float(i), 0.0]) for i in range(40, 80)], "vec_id long, v array<double>")
+    t = Table.create(spark, str(tmp_path / "t"), near, "vec_id", 4, cluster_by=["vec_id"])
+    m = IndexManager(t)
+    m.create("ix", "v", kind="centroid", pq_m=1, pq_nbits=2, cells=2)
+    t.append(spark.createDataFrame([(i, [float(i), 0.0]) for i in range(3)], "vec_id long, v array<double>"))
+    t.delete_where(F.col("vec_id") == 41)
+    ids = lambda **how: [r["vec_id"] for r in m.search_centroid("ix", [0.0, 0.0], 5, **how).collect()]
+    assert ids() == [0, 1, 2, 40, 42]
+    assert ids(nprobe=1) == [0, 1, 2, 40, 42]
+    assert ids(where=F.col("vec_id") > 1) == [2, 40, 42, 43, 44]
+    assert ids(version=t.log.current().version - 2) == [40, 41, 42, 43, 44]
+
+
 def test_published_arithmetic():
     m = cost.size_model(cost.Scale())
     assert m["raw_vectors"] == pytest.approx(3.072e12) and m["file_centroids"] == pytest.approx(30.8e6, rel=0.01)

@@ -318,7 +318,8 @@ class IndexManager:
         return candidates.select("qid", "vec_id").join(rows, "vec_id").join(queries.select("qid", "qv"), "qid").select("qid", "vec_id", d.alias("distance"))
 
     def search(self, name: str, queries: DataFrame, k: int, L: int | None = None, shard_oversample: int = 4, rerank_oversample: int = 4, nprobe_shards: int | None = None, stale: str = "hybrid", where: Column | None = None, filter_mode: str = "pre", version: int | None = None, distance: str = "pq") -> DataFrame:
-        """qid, vec_id, distance, rank. Distances are exact; ids are the true ones up to recall."""
+        """qid, vec_id, distance, rank. Distances are exact; ids are the true ones up to recall, and exact for an
+        index without shards, where all files are scanned."""
         snap = self.table.log.at(version)
         index = self.open(name, version)
         now, base = {f.path: f for f in self.table.log.files(snap)}, index.covered
@@ -327,7 +328,7 @@ class IndexManager:
         if stale == "error" and (added or removed):
             raise StaleIndex(name)
         rows = lambda files: self._rows_where(snap, index.column, files, where)
-        if (stale == "exact" and (added or removed)) or (where is not None and filter_mode == "pre"):
+        if not index.shards or (stale == "exact" and (added or removed)) or (where is not None and filter_mode == "pre"):
             return exact_batch_topk(rows(list(now.values())), queries, k, metric=index.options.metric).select("qid", "vec_id", "distance", "rank")
         cand = self.stage_a(index, queries, k, L or index.options.L, shard_oversample, nprobe_shards, distance)
         if removed:

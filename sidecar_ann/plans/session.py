@@ -99,7 +99,8 @@ class AnnSession:
 
     # ---- patterns
     def _choose(self, p: AnnPattern) -> dict:
-        """Tier and index of a pattern: by bytes of the shards, exact where none fits."""
+        """Tier, index and probe of a pattern: by bytes of the shards, exact where none fits. Thresholds and indexes without
+        shards go through the file centroids, which the driver probes."""
         try:
             table = self.table(p.table)
             snap = table.log.at(p.version)
@@ -110,8 +111,8 @@ class AnnSession:
             if index.column == p.column and index.options.metric == p.metric:
                 size = sum(s["bytes"] for s in index.shards)
                 if p.threshold is not None or not index.shards:
-                    return {"tier": "driver", "index": name, "bytes": size}
-                return {"tier": choose_tier(size, self.probe_limit_bytes), "index": name, "bytes": size}
+                    return {"tier": "driver", "index": name, "bytes": size, "probe": "centroids"}
+                return {"tier": choose_tier(size, self.probe_limit_bytes), "index": name, "bytes": size, "probe": "shards"}
         return {"tier": "exact", "index": None}
 
     def _run(self, p: AnnPattern) -> DataFrame:
@@ -139,8 +140,12 @@ class AnnSession:
             hit = hit.filter(F.col("distance") < p.threshold) if p.strict else hit
             return self._project(own.join(hit.select(F.col("vec_id").alias(key), F.col("distance").alias(name)), key), p, name)
         want = p.k + p.offset
-        queries = self.spark.createDataFrame([(0, list(p.vector))], "qid long, qv array<double>")
-        hit = manager.search(self.last_plan["index"], queries, want, version=p.version, where=where)
+        if self.last_plan["probe"] == "centroids":
+            hit = manager.search_centroid(self.last_plan["index"], list(p.vector), want, version=p.version, where=where)
+            self.last_plan |= manager.last_metrics
+        else:
+            queries = self.spark.createDataFrame([(0, list(p.vector))], "qid long, qv array<double>")
+            hit = manager.search(self.last_plan["index"], queries, want, version=p.version, where=where)
         out = own.join(F.broadcast(hit.select(F.col("vec_id").alias(key), F.col("distance").alias(name))), key)
         return self._project(out.orderBy(name, key).offset(p.offset).limit(p.k), p, name)
 

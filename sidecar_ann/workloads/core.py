@@ -811,6 +811,15 @@ def sql_order_by_limit(spark, sf):
     return _session(spark, sf).sql(f"SELECT vec_id, label, l2_distance(v, {a}) AS d FROM t WHERE label < 5 ORDER BY d LIMIT 6 OFFSET 2").withColumn("d", F.round("d", 6))
 
 
+@query("sql_order_by_limit_centroid", f"{_ONE} SELECT vec_id, label, round(distance, 6) AS d FROM d WHERE label < 5 ORDER BY distance, vec_id LIMIT 6 OFFSET 2")
+def sql_order_by_limit_centroid(spark, sf):
+    """Top-k through an index of file centroids only."""
+    s, a = AnnSession(spark, warehouse(spark)), _literal(spark, sf)
+    s.tables["t"] = table_of(spark, sf, per_file=per_file(spark, sf))
+    s.sql("CREATE INDEX cx ON TABLE t USING centroid (v) OPTIONS (cells='8', pq_nbits='4')")
+    return s.sql(f"SELECT vec_id, label, l2_distance(v, {a}) AS d FROM t WHERE label < 5 ORDER BY d LIMIT 6 OFFSET 2").withColumn("d", F.round("d", 6))
+
+
 @query("sql_fallback_exact", f"{_ONE} SELECT label, count(*) AS n FROM d WHERE distance < 1.2 OR label = 3 GROUP BY label")
 def sql_fallback_exact(spark, sf):
     s = _session(spark, sf)

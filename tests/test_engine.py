@@ -247,6 +247,16 @@ def test_centroid_search_of_a_stale_index(spark, tmp_path):
     assert ids(version=t.log.current().version - 2) == [40, 41, 42, 43, 44]
 
 
+def test_sql_topk_of_a_centroid_index(spark, tmp_path):
+    s = AnnSession(spark, str(tmp_path))
+    s.create_table("t", spark.createDataFrame([(i, [float(i), 0.0], i % 2) for i in range(40)], "vec_id long, v array<double>, label int"), "vec_id", files=4)
+    s.sql("CREATE INDEX cx ON TABLE t USING centroid (v) OPTIONS (pq_m='1', pq_nbits='2', cells='2')")
+    got = s.sql("SELECT vec_id FROM t WHERE label = 1 ORDER BY l2_distance(v, array(9.8D, 0.0D)) LIMIT 3 OFFSET 1").collect()
+    assert [r["vec_id"] for r in got] == [11, 7, 13] and s.last_plan["probe"] == "centroids"
+    qs = spark.createDataFrame([(1, [9.8, 0.0])], "qid long, qv array<double>")
+    assert [r["vec_id"] for r in s.indexes("t").search("cx", qs, 2).orderBy("rank").collect()] == [10, 9]
+
+
 def test_published_arithmetic():
     m = cost.size_model(cost.Scale())
     assert m["raw_vectors"] == pytest.approx(3.072e12) and m["file_centroids"] == pytest.approx(30.8e6, rel=0.01)

@@ -1060,11 +1060,39 @@ def w_doc_retrieval(spark, sf):
 
 @query("w_benchmark_overlap", "WITH b AS (SELECT item_id, substr(text, 1, 60) AS head FROM benchmark WHERE length(text) >= 60) SELECT item_id, count(*) AS documents FROM b JOIN documents ON contains(text, head) GROUP BY item_id")
 def w_benchmark_overlap(spark, sf):
-    """Benchmark items whose first 60 characters stand in a document: the items are a stated, bounded query set."""
+    """Benchmark items whose first 60 characters stand in a document: heads only; w_benchmark_overlap_whole compares all."""
     b = read(spark, sf, "benchmark").filter(F.length("text") >= 60).select("item_id", F.substring("text", 1, 60).alias("head"))
     return read(spark, sf, "documents").join(F.broadcast(b), F.col("text").contains(F.col("head"))).groupBy("item_id").agg(F.count("*").alias("documents"))
 
 
+_GRAM = 5
+_WORDS = "list_filter(regexp_split_to_array(text, '[\\x20\\x09-\\x0D]+'), lambda x: x <> '')"
+
+
+def _grams(words: str, n) -> F.Column:
+    """Distinct runs of n words."""
+    n = F.lit(n) if isinstance(n, int) else n
+    runs = F.transform(F.sequence(F.lit(1), F.size(words) - n + 1), lambda i: F.concat_ws(" ", F.slice(words, i, n)))
+    return F.when((n > 0) & (F.size(words) >= n), F.array_distinct(runs)).otherwise(F.array().cast("array<string>"))
+
+
+@query("w_benchmark_overlap_whole", f"WITH b AS (SELECT item_id, {_WORDS} AS w, least({_GRAM}, len(w)) AS n FROM benchmark), bg AS (SELECT DISTINCT item_id, unnest(list_transform(range(1, len(w) - n + 2), lambda i: array_to_string(w[i : i + n - 1], ' '))) AS g FROM b WHERE n > 0), s AS (SELECT item_id, count(*) AS size FROM bg GROUP BY item_id), d AS (SELECT doc_id, {_WORDS} AS w FROM documents), dg AS (SELECT DISTINCT doc_id, unnest(list_transform(range(1, len(w) - n + 2), lambda i: array_to_string(w[i : i + n - 1], ' '))) AS g FROM d, (SELECT DISTINCT n FROM b WHERE n > 0) WHERE len(w) >= n), m AS (SELECT item_id, doc_id, count(*) AS held FROM bg JOIN dg USING (g) GROUP BY 1, 2) SELECT item_id, count(*) AS documents FROM m JOIN s USING (item_id) WHERE 2 * held >= size GROUP BY item_id")
+def w_benchmark_overlap_whole(spark, sf):
+    """Documents that hold at least half of an item's runs of five words, wherever they stand; shorter items as a whole."""
+    return benchmark_overlap(read(spark, sf, "benchmark"), read(spark, sf, "documents"))
+
+
+def benchmark_overlap(items, docs):
+    words = F.filter(F.split(F.coalesce(F.col("text"), F.lit("")), r"[\x20\x09-\x0D]+"), lambda x: x != "")
+    b = items.select("item_id", words.alias("w")).withColumn("n", F.least(F.lit(_GRAM), F.size("w"))).filter("n > 0")
+    lengths = sorted(r[0] for r in b.select("n").distinct().collect())
+    own = b.select("item_id", _grams("w", F.col("n")).alias("g")).select("item_id", F.size("g").alias("size"), F.explode("g").alias("g"))
+    each = F.concat(*[_grams("w", n) for n in lengths]) if lengths else F.array().cast("array<string>")
+    held = docs.select("doc_id", words.alias("w")).select("doc_id", F.explode(each).alias("g"))
+    pairs = held.join(F.broadcast(own), "g").groupBy("item_id", "doc_id", "size").agg(F.count("*").alias("held"))
+    return pairs.filter(F.col("held") * 2 >= F.col("size")).groupBy("item_id").agg(F.count("*").alias("documents"))
+
+
 @query("derived_quantile_model", no_violations("outside the tolerance"))
 def derived_quantile_model(spark, sf):
     """Quantiles of a column as derived data, checked against exact ranks."""

@@ -19,6 +19,7 @@ from sidecar_ann.plans.session import AnnSession
 from sidecar_ann.sources import blobs, coding, store
 from sidecar_ann.sources.catalog import Change, Table
 from sidecar_ann.sources.container import GRAPH, Blob, read_footer, write_container
+from sidecar_ann.workloads.core import benchmark_overlap
 
 
 # ---- kernels
@@ -257,6 +258,15 @@ def test_sql_topk_of_a_centroid_index(spark, tmp_path):
     assert [r["vec_id"] for r in s.indexes("t").search("cx", qs, 2).orderBy("rank").collect()] == [10, 9]
 
 
+def test_benchmark_overlap_of_whole_items(spark):
+    w = [f"w{i}" for i in range(40)]
+    items = spark.createDataFrame([(1, " ".join(w)), (2, "short item here"), (3, ""), (4, None)], "item_id long, text string")
+    edited = ["W0", *w[1:]]
+    texts = ["x " + " ".join(w[10:]), " ".join(edited), " ".join(w[:12]) + " y z", "a short  item\nhere b", "short item", None]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert sorted(map(tuple, benchmark_overlap(items, docs).collect())) == [(1, 2), (2, 1)]
+
+
 def test_published_arithmetic():
     m = cost.size_model(cost.Scale())
     assert m["raw_vectors"] == pytest.approx(3.072e12) and m["file_centroids"] == pytest.approx(30.8e6, rel=0.01)

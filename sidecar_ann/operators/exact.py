@@ -75,6 +75,32 @@ def _scan(rows: DataFrame, qid: np.ndarray, qs: np.ndarray, k: int, vector: str,
     return rows.select(F.col(key).cast("long"), vector).filter(F.col(vector).isNotNull()).mapInArrow(run, f"qid long, {key} long, distance double")
 
 
+def exact_batch_count(rows: DataFrame, queries: DataFrame, threshold: float, vector: str = "v", metric: str = "l2") -> DataFrame:
+    """qid, near: rows nearer than `threshold` to each query that has one. A task sends on a count a query, no pairs; the
+    block kernel only picks what is then measured exactly."""
+    qid, qs = collect_queries(queries)
+    each = max(1, QUERY_BYTES // max(1, 8 * qs.shape[1]))
+
+    def scan(ids: np.ndarray, own: np.ndarray) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            n = np.zeros(len(ids), np.int64)
+            for batch in batches:
+                for s in range(0, batch.num_rows, 4096):
+                    x = vectors_of(batch.slice(s, 4096).column(0))
+                    for b in range(0, len(ids), 1024):
+                        r, c = np.nonzero(D.block_distances(x, own[b : b + 1024], metric) < threshold + 1e-6)
+                        hit = D.exact_distances(x[c], own[b + r], metric) < threshold
+                        n[b : b + 1024] += np.bincount(r[hit], minlength=len(own[b : b + 1024]))
+            yield pa.RecordBatch.from_arrays([pa.array(ids[n > 0]), pa.array(n[n > 0])], ["qid", "near"])
+
+        return rows.select(vector).filter(F.col(vector).isNotNull()).mapInArrow(run, "qid long, near long")
+
+    out = scan(qid[:each], qs[:each])
+    for s in range(each, len(qid), each):
+        out = out.unionByName(scan(qid[s : s + each], qs[s : s + each]))
+    return out.groupBy("qid").agg(F.sum("near").alias("near"))
+
+
 def vectors_of(column: pa.Array) -> np.ndarray:
     """A list column of equal lengths as a matrix."""
     flat = column.flatten()

@@ -1049,7 +1049,8 @@ _TEXT_VEC = """w AS (SELECT doc_id, unnest(list_filter(regexp_split_to_array(low
 
 @query("w_doc_retrieval", f"WITH docs AS (SELECT doc_id, text FROM documents WHERE n_chars < 4000), {_TEXT_VEC}, q AS (SELECT * FROM c WHERE doc_id % 97 = 0), p AS (SELECT q.doc_id AS qid, c.doc_id AS vec_id, sum(q.x * c.x) AS ip FROM q JOIN c ON c.i = q.i GROUP BY 1, 2), d AS (SELECT qid, vec_id, 1 - ip / (a.n * b.n) AS distance FROM p JOIN n a ON a.doc_id = qid JOIN n b ON b.doc_id = vec_id) SELECT qid, count(*) FILTER (WHERE distance < 0.05) AS near FROM d GROUP BY qid")
 def w_doc_retrieval(spark, sf):
-    """Near copies of texts as neighbours: hashed word vectors, cosine, native blocks of a stated query set."""
+    """Near copies of texts as neighbours: hashed word vectors, cosine, native blocks of a stated query set. Texts under 4000
+    characters only; w_doc_retrieval_whole takes all."""
     from ..functions.udfs import hash_text_vector
 
     docs = read(spark, sf, "documents").filter("n_chars < 4000").select(F.col("doc_id").alias("vec_id"), hash_text_vector(F.col("text")).alias("v"))
@@ -1065,6 +1066,17 @@ def w_benchmark_overlap(spark, sf):
     return read(spark, sf, "documents").join(F.broadcast(b), F.col("text").contains(F.col("head"))).groupBy("item_id").agg(F.count("*").alias("documents"))
 
 
+@query("w_doc_retrieval_whole", f"WITH docs AS (SELECT doc_id, text FROM documents), {_TEXT_VEC}, q AS (SELECT * FROM c WHERE doc_id % 50 = 0), p AS (SELECT q.doc_id AS qid, c.doc_id AS vec_id, sum(q.x * c.x) AS ip FROM q JOIN c ON c.i = q.i GROUP BY 1, 2), d AS (SELECT qid, vec_id, 1 - ip / (a.n * b.n) AS distance FROM p JOIN n a ON a.doc_id = qid JOIN n b ON b.doc_id = vec_id) SELECT qid, count(*) FILTER (WHERE distance < 0.05) AS near FROM d GROUP BY qid")
+def w_doc_retrieval_whole(spark, sf):
+    """Near copies of every fiftieth text among texts of any length; only counts leave a task."""
+    from ..functions.udfs import hash_text_vector
+    from ..operators.exact import exact_batch_count
+
+    docs = read(spark, sf, "documents").select(F.col("doc_id").alias("vec_id"), hash_text_vector(F.col("text")).alias("v"))
+    qs = docs.filter("vec_id % 50 = 0").select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
+    return exact_batch_count(docs, qs, 0.05, metric="cosine")
+
+
 _GRAM = 5
 _WORDS = "list_filter(regexp_split_to_array(text, '[\\x20\\x09-\\x0D]+'), lambda x: x <> '')"
 

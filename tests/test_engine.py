@@ -20,6 +20,7 @@ from sidecar_ann.sources import blobs, coding, store
 from sidecar_ann.sources.catalog import Change, Table
 from sidecar_ann.sources.container import GRAPH, Blob, read_footer, write_container
 from sidecar_ann.workloads.core import benchmark_overlap
+from sidecar_ann.workloads.registry import QUERIES
 
 
 # ---- kernels
@@ -258,6 +259,13 @@ def test_sql_topk_of_a_centroid_index(spark, tmp_path):
     assert [r["vec_id"] for r in s.indexes("t").search("cx", qs, 2).orderBy("rank").collect()] == [10, 9]
 
 
+def test_long_texts_are_retrieved(spark, tmp_path):
+    long = " ".join(f"w{i % 900}" for i in range(4000))
+    rows = [(50, long), (51, long + " more"), (52, "other words here"), (100, "other words here"), (97, "alone")]
+    spark.createDataFrame(rows, "doc_id long, text string").withColumn("n_chars", F.length("text").cast("long")).write.parquet(str(tmp_path / "documents.parquet"))
+    assert sorted(map(tuple, QUERIES["w_doc_retrieval_whole"](spark, str(tmp_path)).select("qid", "near").collect())) == [(50, 2), (100, 2)]
+
+
 def test_benchmark_overlap_of_whole_items(spark):
     w = [f"w{i}" for i in range(40)]
     items = spark.createDataFrame([(1, " ".join(w)), (2, "short item here"), (3, ""), (4, None)], "item_id long, text string")

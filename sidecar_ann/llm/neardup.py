@@ -1,10 +1,10 @@
-"""N-gram Jaccard join by a MinHash LSH forest, with exact verification.
+"""N-gram Jaccard join by MinHash LSH with fixed banding, and exact verification.
 
 A document is the set of its five-word shingles (words stand between white space; a text of fewer words is one shingle;
 a text of no word is its bytes). Documents of equal sets are copies: one represents them, with their number as weight,
 and copies are never expanded. Each representative has TREES min-hash sequences. In each tree the sequences form a trie,
-and documents that share a prefix are candidates: the prefix starts at its full depth and is shortened until the chance
-that a pair at the threshold shares one in some tree reaches the target recall (0.99999; the depth comes out as 5 of 8
+and documents that share a prefix are candidates: its depth is the same for all, the largest (up to 8) at which the chance
+that a pair at the threshold shares one in some tree reaches the target recall (0.99999; the depth comes out as 5
 for 32 trees at 0.8). A prefix is a key; how many documents share it is counted with map-side sums, never by gathering
 them.
 

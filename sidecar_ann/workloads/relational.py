@@ -63,11 +63,21 @@ both("pivot", "SELECT * FROM (SELECT event_type, user_id % 3 AS u FROM events) P
 
 @query("rel_asof_join", "SELECT o.o_orderkey, max(e.ts) AS ts FROM (SELECT o_orderkey, o_custkey, TIMESTAMP '2024-01-10 00:00:00' + INTERVAL 1 HOUR * CAST(o_orderkey % 400 AS INTEGER) AS at FROM orders WHERE o_orderkey <= 2000) o LEFT JOIN events e ON e.user_id = o.o_custkey % 150 AND e.ts <= o.at GROUP BY o.o_orderkey")
 def rel_asof_join(spark, sf):
+    """Latest events for orders up to number 2000; rel_asof_join_whole takes all."""
+    return asof_join(read(spark, sf, "orders").filter("o_orderkey <= 2000"), read(spark, sf, "events"))
+
+
+@query("rel_asof_join_whole", "SELECT o.o_orderkey, max(e.ts) AS ts FROM (SELECT o_orderkey, o_custkey, TIMESTAMP '2024-01-10 00:00:00' + INTERVAL 1 HOUR * CAST(o_orderkey % 400 AS INTEGER) AS at FROM orders) o LEFT JOIN events e ON e.user_id = o.o_custkey % 150 AND e.ts <= o.at GROUP BY o.o_orderkey")
+def rel_asof_join_whole(spark, sf):
+    return asof_join(read(spark, sf, "orders"), read(spark, sf, "events"))
+
+
+def asof_join(orders, events):
     """Latest event of a user at or before each order's hour: one union, one window, no pairs."""
     start = F.lit("2024-01-10 00:00:00").cast("timestamp")
     at = (start.cast("long") + (F.col("o_orderkey") % 400) * 3600).cast("timestamp")
-    left = read(spark, sf, "orders").filter("o_orderkey <= 2000").select("o_orderkey", (F.col("o_custkey") % 150).alias("u"), at.alias("t"), F.lit(1).alias("side"), F.lit(None).cast("timestamp").alias("ts"))
-    right = read(spark, sf, "events").select(F.lit(None).cast("long").alias("o_orderkey"), F.col("user_id").alias("u"), F.col("ts").cast("timestamp").alias("t"), F.lit(0).alias("side"), F.col("ts").cast("timestamp").alias("ts"))
+    left = orders.select("o_orderkey", (F.col("o_custkey") % 150).alias("u"), at.alias("t"), F.lit(1).alias("side"), F.lit(None).cast("timestamp").alias("ts"))
+    right = events.select(F.lit(None).cast("long").alias("o_orderkey"), F.col("user_id").alias("u"), F.col("ts").cast("timestamp").alias("t"), F.lit(0).alias("side"), F.col("ts").cast("timestamp").alias("ts"))
     w = Window.partitionBy("u").orderBy("t", "side").rowsBetween(Window.unboundedPreceding, 0)
     return left.unionByName(right).withColumn("ts", F.last("ts", ignorenulls=True).over(w)).filter("side = 1").select("o_orderkey", F.col("ts").cast("timestamp_ntz").alias("ts"))
 

@@ -259,6 +259,15 @@ def test_sql_topk_of_a_centroid_index(spark, tmp_path):
     assert [r["vec_id"] for r in s.indexes("t").search("cx", qs, 2).orderBy("rank").collect()] == [10, 9]
 
 
+def test_asof_join_keeps_every_order(spark, tmp_path):
+    from sidecar_ann.workloads import relational  # noqa: F401
+
+    spark.createDataFrame([(i, i % 7) for i in (1, 2000, 2001, 9000)], "o_orderkey long, o_custkey long").write.parquet(str(tmp_path / "orders.parquet"))
+    spark.sql("SELECT CAST(u AS LONG) AS user_id, TIMESTAMP_NTZ '2024-01-09 12:00:00' AS ts FROM VALUES (0), (1), (5), (6) t(u)").write.parquet(str(tmp_path / "events.parquet"))
+    got = {r["o_orderkey"]: r["ts"] is not None for r in QUERIES["rel_asof_join_whole"](spark, str(tmp_path)).collect()}
+    assert got == {1: True, 2000: True, 2001: True, 9000: True}
+
+
 def test_long_texts_are_retrieved(spark, tmp_path):
     long = " ".join(f"w{i % 900}" for i in range(4000))
     rows = [(50, long), (51, long + " more"), (52, "other words here"), (100, "other words here"), (97, "alone")]

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import atexit
-import os
+import functools
 import sys
 import tempfile
 import types
@@ -30,14 +30,21 @@ def partitions(spark: SparkSession) -> int:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder named by spark.checkpoint.dir; a temporary folder of our own only where that is unset."""
+    """The shared folder named by spark.checkpoint.dir. Where none is named, a session on one machine gets a temporary
+    folder; a cluster, whose executors would not see it, is refused."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
-        root = tempfile.mkdtemp(prefix="scratch-")
-        spark.sparkContext.setCheckpointDir(root)
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        root = _own_root()
     return root.rstrip("/")
 
 
+@functools.cache
+def _own_root() -> str:
+    return tempfile.mkdtemp(prefix="scratch-")
+
+
 def stage(df: DataFrame, label: str) -> DataFrame:
     """Writes df as Parquet in the shared scratch folder and rereads it: lineage ends here, and a lost executor
     costs no more than the reader's own task. The folder goes when the process ends."""
@@ -64,15 +71,28 @@ def _clean() -> None:
 
 
 def worker_cache(name: str) -> dict:
-    """A dict that lives as long as the Python worker, whichever way this module reached it."""
-    holder = sys.modules.setdefault("_sidecar_worker_cache", types.ModuleType("_sidecar_worker_cache"))
-    return holder.__dict__.setdefault(name, {})
+    """A dict that lives in the Python worker until a task of another operator begins there (`own_worker`)."""
+    return _holder().__dict__.setdefault("caches", {}).setdefault(name, {})
+
+
+def _holder() -> types.ModuleType:
+    return sys.modules.setdefault("_sidecar_worker_cache", types.ModuleType("_sidecar_worker_cache"))
+
+
+def own_worker(owner: str) -> None:
+    """Workers are reused: what another operator's tasks left in this one goes before a task of `owner` begins."""
+    held = _holder().__dict__
+    if held.get("owner") != owner:
+        held.update(owner=owner, caches={})
 
 
 def per_batch(df: DataFrame, work: Callable, schema: str) -> DataFrame:
     """mapInArrow with work(batch) -> RecordBatch, an iterator of them, or None."""
 
+    owner = work.__module__
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own_worker(owner)
         for batch in batches:
             out = work(batch)
             if out is None:

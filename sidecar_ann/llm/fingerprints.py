@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import MIX, MIX2, mix64, partitions, per_batch, pieces, span_hashes, stage, text_bytes, words
+from .common import MIX, MIX2, mix64, own_worker, partitions, per_batch, pieces, span_hashes, stage, text_bytes, words
 
 SUBSETS = 32
 #: Band of document frequency, as shares of all groups of near-equal texts.
@@ -302,6 +302,7 @@ def edited_fingerprints(docs: DataFrame, low: float = LOW, high: float = HIGH) -
         return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own_worker(__name__)
         held: list[tuple] = []  # rows whose next is not seen yet come last
         size, at = 0, None
         for batch in batches:

@@ -15,6 +15,7 @@ from __future__ import annotations
 import bisect
 import zlib
 from collections import defaultdict
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -22,37 +23,37 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import per_batch, pieces, stage
-from .tokens import END_ID, ChunkEncoder, tokenizer_path
+from .tokens import ChunkEncoder, tokenizer_path
 
 CAPACITY = 1024
 #: Pieces of one length that are ranked together, about: a frequent length has many groups.
 RANK_GROUP = 4_000
 
 
-def cut(n: int, capacity: int) -> list[tuple[int, int]]:
-    """(start, length) of each piece of a document of n ids; only the first may be short."""
-    head = n % capacity
-    starts = ([0] if head else []) + list(range(head, n, capacity))
-    return [(s, head if head and s == 0 else capacity) for s in starts]
-
-
 def token_pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32 of every document."""
 
-    def work(batch: pa.RecordBatch):
+    def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         encoder = ChunkEncoder.of(tokenizer)
-        end = np.array([END_ID], "<u4").tobytes()
-        for part in pieces(batch):
-            cols: list[list] = [[], [], [], [], []]
-            for doc, ids in zip(part.column("doc_id").to_pylist(), encoder.encode([t or "" for t in part.column("text").to_pylist()])):
-                ids += end
-                for k, (s, n) in enumerate(cut(len(ids) // 4, capacity)):
-                    for c, v in zip(cols, (doc, k, s, n, zlib.crc32(ids[4 * s : 4 * (s + n)]))):
-                        c.append(v)
-            kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], ["doc_id", "piece", "start", "length", "ids_crc32"])
-
-    return per_batch(docs.select("doc_id", "text"), work, "doc_id long, piece int, start long, length long, ids_crc32 long")
+        for part in pieces(batch, most=512 << 10):
+            flat, off = encoder.encode_documents(part.column("text"))
+            size = np.diff(off)
+            head = size % capacity
+            count = -(-size // capacity)
+            doc = np.repeat(np.arange(len(size)), count)
+            piece = np.arange(len(doc)) - np.repeat(np.cumsum(count) - count, count)
+            short = head[doc] > 0
+            start = np.where(short & (piece > 0), head[doc] - capacity, 0) + piece * capacity
+            length = np.where(short & (piece == 0), head[doc], capacity)
+            raw = flat.astype("<u4").view(np.uint8).data
+            at = 4 * (off[doc] + start)
+            crc = [zlib.crc32(raw[a:b]) for a, b in zip(at.tolist(), (at + 4 * length).tolist())]
+            yield pa.RecordBatch.from_arrays(
+                [part.column("doc_id").take(pa.array(doc)), pa.array(piece.astype(np.int32)), pa.array(start), pa.array(length), pa.array(crc, pa.int64())],
+                ["doc_id", "piece", "start", "length", "ids_crc32"],
+            )
+
+    return per_batch(docs.select(F.col("doc_id").cast("long"), "text"), work, "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
 def plan_bins(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[int, list[int]]]:

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import MIX, crc32_of_text, mix64, per_batch, pieces, span_hashes, text_bytes, words
+from .common import MIX, crc32_of_text, mix64, own_worker, per_batch, pieces, span_hashes, text_bytes, words
 
 SLOTS, DIMS, NONZERO, WINDOW = 1 << 13, 32, 4, 2
 #: Most labelled rows that a network is fitted on.
@@ -72,6 +72,7 @@ def word_vectors(docs: DataFrame, blocks: int = 16) -> np.ndarray:
     each = SLOTS * DIMS // blocks
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own_worker(__name__)
         dims, signs = index_vectors()
         dims = dims.astype(np.int64)
         signs = signs.astype(float)

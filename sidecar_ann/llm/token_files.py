@@ -22,8 +22,8 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import partitions, pieces, scratch_root
-from .tokens import END_ID, ChunkEncoder, tokenizer_path
+from .common import own_worker, partitions, pieces, scratch_root
+from .tokens import ChunkEncoder, tokenizer_path
 
 _TRAILER = struct.Struct("<4sHHIQQQ")  # magic, version, bits, ids a block, ids, documents, start of the index
 _MAGIC = b"FWID"
@@ -59,12 +59,15 @@ class IdWriter:
         self.ends: list[int] = []
         self.docs: list[int | None] = []
 
-    def add(self, doc_id: int | None, ids: bytes) -> None:
-        self.held.append(ids)
-        self.held_ids += len(ids) // 4
-        self.ids += len(ids) // 4
-        self.ends.append(self.ids)
-        self.docs.append(doc_id)
+    def add(self, docs: list[int | None], ids: np.ndarray, ends: np.ndarray) -> None:
+        """Documents with their ids joined; ends: where each document ends in them."""
+        if len(ids) and int(ids.max()) >> self.bits:
+            raise ValueError(f"an id needs more than {self.bits} bits")
+        self.held.append(np.ascontiguousarray(ids, "<u4").tobytes())
+        self.held_ids += len(ids)
+        self.ends += (ends + self.ids).tolist()
+        self.ids += len(ids)
+        self.docs += docs
         if self.held_ids >= self.block * 16:
             self._flush(False)
 
@@ -128,9 +131,9 @@ def _at(folder: str):
     return pafs.FileSystem.from_uri(folder.replace("s3a://", "s3://", 1)) if "://" in folder or folder.startswith("file:") else (pafs.LocalFileSystem(), folder)
 
 
-def write_token_files(docs: DataFrame, folder: str, tokenizer: str, vocabulary: int) -> list[dict]:
+def write_token_files(docs: DataFrame, folder: str, tokenizer: str, vocabulary: int | None = None) -> list[dict]:
     """Writes one file for each range of ids; returns the manifest (path, first id, ids, documents) in id order, one
-    small row for each file."""
+    small row for each file. The width of an id follows the tokenizer's vocabulary unless another is given."""
     spark = docs.sparkSession
     parts = partitions(spark)
     ordered = docs.select("doc_id", "text").repartitionByRange(parts, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
@@ -138,18 +141,18 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer: str, vocabulary:
     fs.create_dir(base, recursive=True)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own_worker(__name__)
         encoder, writer = None, None
-        end = np.array([END_ID], "<u4").tobytes()
         for batch in batches:
-            for part in pieces(batch):
+            for part in pieces(batch, most=512 << 10):
                 if writer is None:
                     encoder = ChunkEncoder.of(tokenizer)
                     store, root = _at(folder)
                     path = f"{root}/{uuid.uuid4().hex}.fwid"
                     out = store.open_output_stream(path)
-                    writer = IdWriter(out, vocabulary)
-                for doc, ids in zip(part.column("doc_id").to_pylist(), encoder.encode([t or "" for t in part.column("text").to_pylist()])):
-                    writer.add(doc, ids + end)
+                    writer = IdWriter(out, vocabulary or encoder.vocabulary)
+                ids, off = encoder.encode_documents(part.column("text"))
+                writer.add(part.column("doc_id").to_pylist(), ids, off[1:])
         if writer is not None:
             writer.close()
             out.close()
@@ -186,7 +189,7 @@ def read_token_files(spark, folder: str, manifest: list[dict]) -> DataFrame:
     return rows.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
-def token_files(docs: DataFrame, tokenizer: str | None = None, vocabulary: int = 49_408, folder: str | None = None) -> DataFrame:
+def token_files(docs: DataFrame, tokenizer: str | None = None, vocabulary: int | None = None, folder: str | None = None) -> DataFrame:
     spark = docs.sparkSession
     folder = folder or f"{scratch_root(spark)}/token-files-{uuid.uuid4().hex}"
     manifest = write_token_files(docs, folder, tokenizer or tokenizer_path("word_bpe_49k.json"), vocabulary)

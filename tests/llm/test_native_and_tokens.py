@@ -2,9 +2,12 @@
 
 import hashlib
 import re
+import json
+import random
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from tokenizers import Tokenizer
 
@@ -116,14 +119,46 @@ def test_mixing_meets_targets(spark):
     assert sorted(map(tuple, got), key=str) == sorted(map(tuple, mixing.mix(docs.repartition(5)).collect()), key=str)
 
 
+#: Pieces of odd texts: letters of many kinds, marks, blanks of many kinds, apostrophes, strings of added tokens.
+ODD = [
+    "a", "b", "The", "the", "é", "É", "ñ", "İ", "ß", "ж", "Ж", "α", "Σ", "ς", "中", "文", "。", "\U0001f600", "—", "\u0301", "\u00a0", "\u3000", "\x1c", "\x85", "\x01", "\x00",
+    " ", " ", " ", "\n", "\n", "\t", "\r", "  ", "'", "'s", "'t", "'LL", "'re", "1", "23", "½", "²", ".", ",", "!", "&&&", "<|", "endoftext", "|>", "<|endoftext|>", "<|startoftext|>",
+    "|", "_", "-", "ÿ", "×", "÷", "µ", "ª", "ŉ", "ǅ", "\u200b", "\u2028", "\x7f", "longwordlongwordlongword", "....",
+]
+
+
+def odd_texts(seed: int, n: int) -> list:
+    rnd = random.Random(seed)
+    out = []
+    for _ in range(n // 100):
+        some = rnd.sample(ODD, rnd.choice([5, 20, len(ODD)]))
+        out += ["".join(rnd.choice(some) for _ in range(rnd.choice([0, 1, 2, 3, 5, 8, 20, 60]))) for _ in range(100)]
+    return out
+
+
 @pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
-def test_chunked_ids_are_whole_text_ids(name):
-    rng = np.random.default_rng(3)
-    odd = list("ab C.,'!\n\n  \t\ré\U0001f6421 2\x01s'")
-    texts = [t or "" for t in TEXTS] + ["".join(rng.choice(odd, rng.integers(0, 60))) for _ in range(500)]
-    want = [e.ids for e in Tokenizer.from_file(tokenizer_path(name)).encode_batch(texts, add_special_tokens=False)]
-    got = ChunkEncoder(tokenizer_path(name)).encode(texts)
-    assert [np.frombuffer(g, "<u4").tolist() for g in got] == want
+def test_chunked_ids_and_spans_are_those_of_whole_texts(name):
+    texts = TEXTS + odd_texts(3, 6000) + ["word " * 20_000, "x" * 5000]
+    want = Tokenizer.from_file(tokenizer_path(name)).encode_batch([t or "" for t in texts], add_special_tokens=False)
+    ids = ChunkEncoder(tokenizer_path(name))
+    spans = token_counts.SpanEncoder(tokenizer_path(name))
+    for _ in range(2):  # the second time from the memo
+        flat, off = ids.encode(pa.array(texts, pa.string()))
+        start, end, row, chars = spans.spans(pa.array(texts, pa.string()))
+        for i, w in enumerate(want):
+            assert flat[off[i] : off[i + 1]].tolist() == w.ids
+            assert list(zip((start[row[i] : row[i + 1]] - chars[i]).tolist(), (end[row[i] : row[i + 1]] - chars[i]).tolist())) == w.offsets
+
+
+def test_an_unknown_pattern_is_encoded_whole(tmp_path):
+    spec = json.load(open(tokenizer_path("byte_bpe_50k.json"), encoding="utf-8"))
+    spec["pre_tokenizer"]["add_prefix_space"] = True
+    path = str(tmp_path / "t.json")
+    json.dump(spec, open(path, "w", encoding="utf-8"))
+    texts = odd_texts(5, 300)
+    flat, off = ChunkEncoder(path).encode(pa.array(texts))
+    for i, w in enumerate(Tokenizer.from_file(path).encode_batch(texts, add_special_tokens=False)):
+        assert flat[off[i] : off[i + 1]].tolist() == w.ids
 
 
 def test_packing(docs):
@@ -181,7 +216,7 @@ def test_bit_packing_and_random_access(tmp_path, vocabulary):
     with open(tmp_path / "f", "wb") as f:
         w = token_files.IdWriter(f, vocabulary, block=24)
         for d, ids in docs:
-            w.add(d, ids.tobytes())
+            w.add([d], ids, np.array([len(ids)]))
         w.close()
     r = token_files.IdReader(pafs.LocalFileSystem().open_input_file(str(tmp_path / "f")))
     assert [(d, i.tolist()) for d, _, i in r.documents(span=30)] == [(d, i.tolist()) for d, i in docs]
@@ -190,14 +225,63 @@ def test_bit_packing_and_random_access(tmp_path, vocabulary):
         assert r.ids(a, b).tolist() == flat[a:b].tolist()
 
 
-def test_token_counts_rules(docs):
+def _shares(offsets: list, bounds: list, rule: str) -> tuple[list, list]:
+    """Tokens and crossing tokens of each section, token by token."""
+    n = len(bounds) - 1
+    got, cross = [0.0] * n, [0] * n
+    for s, e in offsets:
+        inside = [max(0, min(e, bounds[i + 1]) - max(s, bounds[i])) for i in range(n)]
+        first = next(i for i in range(n) if inside[i])
+        cross[first] += sum(map(bool, inside)) > 1
+        if rule == "start":
+            got[first] += 1
+        elif rule == "majority":
+            got[inside.index(max(inside))] += 1
+        else:
+            for i in range(n):
+                got[i] += inside[i] / (e - s)
+    return got, cross
+
+
+@pytest.mark.parametrize("rule", token_counts.RULES)
+def test_token_counts_by_section(spark, rule):
+    texts = TEXTS + odd_texts(7, 300) + ["a\n\nb\n", "\n", "\n\n"]
     whole = Tokenizer.from_file(tokenizer_path("byte_bpe_50k.json"))
-    for rule in token_counts.RULES:
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+
+    def fifths(text):
+        return [0, *range(5, len(text), 5), len(text)]
+
+    for sections in (token_counts.line_sections, fifths):
         got = {}
-        for r in token_counts.section_token_counts(docs, rule=rule).collect():
-            got[r["doc_id"]] = got.get(r["doc_id"], 0) + r["n_tokens"]
-        for i, t in enumerate(TEXTS):
-            assert got[i] == pytest.approx(len(whole.encode(t or "", add_special_tokens=False).ids))
+        for r in token_counts.section_token_counts(docs, rule=rule, sections=sections).collect():
+            got.setdefault(r["doc_id"], []).append(r)
+        for i, t in enumerate(texts):
+            t = t or ""
+            if sections is fifths:
+                bounds = fifths(t)
+            else:
+                cuts = [0, *(k + 1 for k, c in enumerate(t) if c == "\n" and k + 1 < len(t)), len(t)]
+                bounds = cuts
+            rows = sorted(got[i], key=lambda r: r["section"])
+            assert [(r["section"], r["start"], r["n_chars"]) for r in rows] == [(k, bounds[k], bounds[k + 1] - bounds[k]) for k in range(len(bounds) - 1)]
+            want, cross = _shares(whole.encode(t, add_special_tokens=False).offsets, bounds, rule) if t else ([0.0], [0])
+            assert [r["n_tokens"] for r in rows] == pytest.approx(want) and [r["n_crossing"] for r in rows] == cross
+
+
+def test_token_counts_by_field(spark):
+    docs = spark.createDataFrame([(1, "A title", "body text, longer", None), (2, None, "", "x"), (3, "é ü", "zwei\nZeilen", "tag")], "doc_id long, title string, text string, tag string")
+    whole = Tokenizer.from_file(tokenizer_path("byte_bpe_50k.json"))
+    got = {(r["doc_id"], r["field"]): r for r in token_counts.field_token_counts(docs, ["title", "text", "tag"]).collect()}
+    for r in docs.collect():
+        fields = [r["title"] or "", r["text"] or "", r["tag"] or ""]
+        bounds = [0, len(fields[0]) + 1, len(fields[0]) + len(fields[1]) + 2, sum(map(len, fields)) + 2]
+        want, cross = _shares(whole.encode("\n".join(fields), add_special_tokens=False).offsets, bounds, "start")
+        for f, w, c, t in zip(("title", "text", "tag"), want, cross, fields):
+            assert (got[r["doc_id"], f]["n_tokens"], got[r["doc_id"], f]["n_crossing"], got[r["doc_id"], f]["n_chars"]) == (w, c, len(t))
+
+
+def test_token_counts_rules():
     start, end, bounds = np.array([0, 2, 5]), np.array([2, 5, 6]), np.array([0, 4, 6])
     assert token_counts.attribute(start, end, bounds, "start")[0].tolist() == [2, 1]
     assert token_counts.attribute(start, end, bounds, "majority")[0].tolist() == [2, 1]

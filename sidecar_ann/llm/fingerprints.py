@@ -9,9 +9,10 @@ share, so the lexicon that every task holds is bounded whatever the corpus; freq
 
 A fingerprint keeps a document's distinct terms of the lexicon and hashes SUBSETS random part-lexicons: a part-lexicon of
 level l takes a term with chance 2**-l. The level follows the number of terms kept so that about one of them falls into
-each part, and the next level is hashed too, because a text with small edits may be one level off. Each part hash is the
-hash of the sorted terms that fell in. `likeness` is the share of parts with equal hashes at a common level, counting
-parts in which either text has a term.
+each part, and the next level is hashed too, because a text with small edits may be one level off. (Whole lexicons, level
+0, would tell only whether all terms are equal.) A part's hash is the sum of the mixed distinct terms that fell in, which
+is the same for the same set without another sort, cut to 32 bits: two sets are taken for equal with a chance of 2**-32.
+`likeness` is the share of parts with equal hashes at a common level, counting parts in which either text has a term.
 
 A text with less than a quarter of its distinct terms (or than LEAST of them) in the band fills up to that number: first
 with its terms below the band, in the order of their hashes, then with those above it, the rarest first. So small edits
@@ -23,10 +24,12 @@ fingerprints. Repeated rows repeat. An empty table gives no rows. Columns other
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -118,23 +121,27 @@ def heavy_keys(docs: DataFrame, low: float = LOW) -> tuple[np.ndarray, int]:
     return heavy, int(per_batch(held, weigh, "w long").agg(F.sum(F.col("w").cast("decimal(38,0)"))).first()[0] or 0)
 
 
-def document_frequencies(docs: DataFrame, heavy: np.ndarray | None = None) -> DataFrame:
+FREQUENCY = np.dtype([("term", "<u8"), ("n", "<u8")])
+
+
+def document_frequencies(docs: DataFrame, heavy: np.ndarray | None = None, low: float = 0.0, high: float = math.inf) -> DataFrame:
     """Blobs of (term hash, document frequency), exact: each task counts its batch, hash ranges add up the counts. With
-    the heavy keys, documents count by their weights, otherwise by 1."""
+    the heavy keys, documents count by their weights, otherwise by 1. data: frequencies from low to high, above: higher
+    ones; lower ones are left out."""
     buckets = 4 * partitions(docs.sparkSession)
 
     def count(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        terms, sums = [], []
-        for part in pieces(batch):
+        term, n = np.zeros(0, np.uint64), np.zeros(0, np.uint64)
+        held: list[tuple] = []
+        for part in pieces(batch, most=1 << 20):
             data, off = text_bytes(part.column("text"))
-            row, term = distinct_terms(data, off)
+            row, own = distinct_terms(data, off)
             w = np.ones(len(off) - 1, np.uint64) if heavy is None else weights(sketches(data, off), heavy)
-            order = np.argsort(term, kind="stable")
-            row, term = row[order], term[order]
-            lead = np.flatnonzero(np.concatenate([[True], term[1:] != term[:-1]])) if len(term) else np.zeros(0, np.int64)
-            terms.append(term[lead])
-            sums.append(np.add.reduceat(w[row], lead) if len(lead) else np.zeros(0, np.uint64))
-        term, n = _added(np.concatenate(terms), np.concatenate(sums))
+            held.append(_added(own, w[row]))
+            if sum(len(t) for t, _ in held) > len(term):  # as in merging runs: each entry is moved a few times only
+                term, n = _added(*(np.concatenate(x) for x in zip((term, n), *held)))
+                held = []
+        term, n = _added(*(np.concatenate(x) for x in zip((term, n), *held)))
         bucket = (term >> np.uint64(32)) % np.uint64(buckets)
         order = np.argsort(bucket, kind="stable")
         term, n, bucket = term[order], n[order], bucket[order]
@@ -144,12 +151,13 @@ def document_frequencies(docs: DataFrame, heavy: np.ndarray | None = None) -> Da
         yield pa.RecordBatch.from_pydict({"bucket": pa.array(lead.astype(np.int32)), "terms": split(term), "sums": split(n)})
 
     def total(table: pa.Table) -> pa.Table:
+        own_worker(__name__)
         term, n = _added(*(np.frombuffer(b"".join(table.column(c).to_pylist()), "<u8") for c in ("terms", "sums")))
-        out = np.zeros(len(term), np.dtype([("term", "<u8"), ("n", "<u8")]))
+        out = np.zeros(len(term), FREQUENCY)
         out["term"], out["n"] = term, n
-        return pa.table({"data": pa.array([out.tobytes()], pa.binary())})
+        return pa.table({"data": pa.array([out[(n >= low) & (n <= high)].tobytes()], pa.binary()), "above": pa.array([out[n > high].tobytes()], pa.binary())})
 
-    return per_batch(docs.select("text"), count, "bucket int, terms binary, sums binary").groupBy("bucket").applyInArrow(total, "data binary")
+    return per_batch(docs.select("text"), count, "bucket int, terms binary, sums binary").groupBy("bucket").applyInArrow(total, "data binary, above binary")
 
 
 def _added(term: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -164,19 +172,11 @@ def _added(term: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 def lexicon(docs: DataFrame, low: float = LOW, high: float = HIGH) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Sorted hashes of the terms within the band; those of the terms above it, and the places of these by frequency."""
     heavy, whole = heavy_keys(docs, low)
-    least, most = whole * low, whole * high
-    kind = np.dtype([("term", "<u8"), ("n", "<u8")])
-
-    def band(batch: pa.RecordBatch) -> pa.RecordBatch:
-        rows = np.frombuffer(b"".join(batch.column(0).to_pylist()), kind)
-        inside, above = rows["term"][(rows["n"] >= least) & (rows["n"] <= most)], rows[rows["n"] > most]
-        return pa.RecordBatch.from_pydict({"data": pa.array([inside.tobytes()], pa.binary()), "above": pa.array([above.tobytes()], pa.binary())})
-
-    got = per_batch(document_frequencies(docs, heavy), band, "data binary, above binary").collect()
-    above = np.sort(np.frombuffer(b"".join(bytes(r[1]) for r in got), kind), order="term")
+    got = document_frequencies(docs, heavy, whole * low, whole * high).collect()
+    inside, above = (np.sort(np.frombuffer(b"".join(bytes(r[i]) for r in got), FREQUENCY), order="term") for i in (0, 1))
     place = np.zeros(len(above), np.uint64)
     place[np.lexsort((above["term"], above["n"]))] = np.arange(len(above), dtype=np.uint64)
-    return np.sort(np.frombuffer(b"".join(bytes(r[0]) for r in got), "<u8")), above["term"].copy(), place
+    return inside["term"].copy(), above["term"].copy(), place
 
 
 def part_hashes(row: np.ndarray, term: np.ndarray, level: np.ndarray, n: int) -> np.ndarray:
@@ -250,23 +250,47 @@ def likeness(a: str, b: str) -> float:
 
 
 def with_next(docs: DataFrame) -> DataFrame:
-    """part, doc_id, text, _ahead in sorted parts: each part ends with a copy (_ahead = 1) of the first row of the part
-    that follows, the last with the first row of all. One copied row a part; ids and not texts decide the cut points."""
+    """doc_id, size, body (the text's bytes, compressed), _ahead in sorted parts: each part ends with a copy (_ahead = 1)
+    of the first row of the part that follows, the last with the first row of all. One copied row a part; ids and not
+    texts decide the cut points. Texts are compressed before they are sent: this is the only shuffle of whole texts."""
     spark = docs.sparkSession
-    parts = partitions(spark)
-    base = docs.select("doc_id", "text")
+    base = docs.select(F.col("doc_id").cast("long"), "text")
     ids = base.select("doc_id")
-    bounds = _bounds(ids, parts)
-    place = _place(F.col("doc_id"), bounds)
-    firsts = {r["part"]: r["first"] for r in ids.groupBy(place.alias("part")).agg(F.min("doc_id").alias("first")).collect()}
-    there = sorted(firsts)
-    ahead = {firsts[p]: there[i - 1] for i, p in enumerate(there)}
-    rows = base.withColumns({"part": place, "_ahead": F.lit(0)})
-    if ahead:
-        to = F.coalesce(F.create_map(*[F.lit(x) for kv in ((k, v) for k, v in ahead.items() if k is not None) for x in kv])[F.col("doc_id")], F.lit(ahead.get(None))) if any(k is not None for k in ahead) else F.lit(ahead[None])
-        copies = base.filter(F.col("doc_id").isin([k for k in ahead if k is not None]) | (F.col("doc_id").isNull() if None in ahead else F.lit(False)))
-        rows = rows.unionByName(copies.withColumns({"part": to.cast("int"), "_ahead": F.lit(1)}))
-    return rows.repartition(parts, "part").sortWithinPartitions("part", "_ahead", F.col("doc_id").asc_nulls_first(), "text")
+    bounds = np.array(_bounds(ids, partitions(spark)), np.int64)
+    parts = len(bounds) + 1
+
+    def part_of(doc: pa.Array) -> np.ndarray:
+        found = np.searchsorted(bounds, np.asarray(pc.fill_null(doc, 0)), "right")
+        found[np.asarray(doc.is_null())] = 0
+        return found
+
+    def firsts(batch: pa.RecordBatch) -> pa.RecordBatch:
+        part = part_of(batch.column("doc_id"))
+        return pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), batch.column("doc_id")], ["part", "doc_id"])
+
+    least = per_batch(ids, firsts, "part int, doc_id long").groupBy("part").agg(F.min(F.struct(F.col("doc_id").isNotNull().alias("known"), "doc_id")).alias("x"))
+    first = {r["part"]: r["x"]["doc_id"] for r in least.collect()}
+    there = sorted(first)
+    before = {first[p]: there[i - 1] for i, p in enumerate(there)}  # id of a first row -> the part that it follows
+
+    def send(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        codec = pa.Codec("zstd", compression_level=1)
+        for some in pieces(batch):
+            doc = some.column("doc_id")
+            part = part_of(doc)
+            ahead = np.array([before.get(d, -1) for d in doc.to_pylist()], np.int64) if some.num_rows else np.zeros(0, np.int64)
+            copied = np.flatnonzero(ahead >= 0)
+            raw = [(t or "").encode() for t in some.column("text").to_pylist()]
+            size, body = [len(r) for r in raw], [codec.compress(r, asbytes=True) for r in raw]
+            pick = np.concatenate([np.arange(some.num_rows), copied])
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(np.concatenate([part, ahead[copied]]), pa.int32()), pa.array(np.concatenate([np.zeros(some.num_rows), np.ones(len(copied))]), pa.int32()),
+                 doc.take(pa.array(pick)), pa.array([size[i] for i in pick], pa.int64()), pa.array([body[i] for i in pick], pa.binary())],
+                ["part", "_ahead", "doc_id", "size", "body"],
+            )
+
+    rows = per_batch(base, send, "part int, _ahead int, doc_id long, size long, body binary")
+    return rows.repartitionById(parts, "part").sortWithinPartitions("part", "_ahead", F.col("doc_id").asc_nulls_first(), "body")
 
 
 def _bounds(ids: DataFrame, parts: int) -> list:
@@ -276,13 +300,6 @@ def _bounds(ids: DataFrame, parts: int) -> list:
     return sorted(set(got or []))
 
 
-def _place(column, bounds: list):
-    if not bounds:
-        return F.lit(0).cast("int")
-    count = F.size(F.filter(F.array(*[F.lit(b) for b in bounds]), lambda b: b <= column))
-    return F.when(column.isNull(), F.lit(0)).otherwise(count).cast("int")
-
-
 def edited_fingerprints(docs: DataFrame, low: float = LOW, high: float = HIGH) -> DataFrame:
     """One row a document: its fingerprint, that of its text with the last quarter replaced by the head of the next
     document (ascending doc_id, after the last the first; a single document follows itself), and their likeness."""
@@ -305,9 +322,11 @@ def edited_fingerprints(docs: DataFrame, low: float = LOW, high: float = HIGH) -
         own_worker(__name__)
         held: list[tuple] = []  # rows whose next is not seen yet come last
         size, at = 0, None
+        codec = pa.Codec("zstd", compression_level=1)
         for batch in batches:
-            for part, doc, text, ahead in zip(*(batch.column(c).to_pylist() for c in ("part", "doc_id", "text", "_ahead"))):
-                text = text or ""
+            rows = zip(*(batch.column(c).to_pylist() for c in ("part", "doc_id", "_ahead", "size")), batch.column("body"))
+            for part, doc, ahead, n, body in rows:
+                text = codec.decompress(body.as_py(), n, asbytes=True).decode() if n else ""
                 if ahead:
                     if held and part == at:
                         yield digest(held, [t for _, t in held[1:]] + [text])

@@ -71,11 +71,11 @@ def mix_sizes(sized: DataFrame, epochs: int = EPOCHS, seed: str = SEED) -> DataF
 
 def repeat_documents(docs: DataFrame, epochs: int = EPOCHS, seed: str = SEED) -> DataFrame:
     """docs as the mix takes them: each row as often as it is taken whole, once more if at least half of it is taken
-    besides. Rows without words are not taken."""
-    names = docs.columns
-    mixed = mix_sizes(docs.withColumn("size", n_words(F.col("text"))), epochs, seed)
+    besides. Rows without words are not taken. Columns keep their values, whatever their names."""
+    own = docs.select("doc_id", "source", n_words(F.col("text")).alias("size"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"))
+    mixed = mix_sizes(own, epochs, seed)
     times = F.when(F.col("size") > 0, F.floor(F.col("taken") / F.col("size")) + F.when(2 * (F.col("taken") % F.col("size")) >= F.col("size"), 1).otherwise(0)).otherwise(0)
-    return mixed.withColumn("_n", times.cast("int")).filter("_n > 0").withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("_n")))).select(*names)
+    return mixed.select("_row", times.cast("int").alias("_n")).filter("_n > 0").select("_row", F.explode(F.sequence(F.lit(1), F.col("_n")))).select("_row.*")
 
 
 def sized_documents(docs: DataFrame) -> DataFrame:

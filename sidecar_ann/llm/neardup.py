@@ -1,32 +1,40 @@
-"""N-gram Jaccard join by MinHash LSH with fixed banding, and exact verification.
+"""N-gram Jaccard join by a MinHash LSH forest, and exact verification.
 
 A document is the set of its five-word shingles (words stand between white space; a text of fewer words is one shingle;
 a text of no word is its bytes). Documents of equal sets are copies: one represents them, with their number as weight,
-and copies are never expanded. Each representative has TREES min-hash sequences. In each tree the sequences form a trie,
-and documents that share a prefix are candidates: its depth is the same for all, the largest (up to 8) at which the chance
-that a pair at the threshold shares one in some tree reaches the target recall (0.99999; the depth comes out as 5
-for 32 trees at 0.8). A prefix is a key; how many documents share it is counted with map-side sums, never by gathering
-them.
-
-Documents under a key of up to SMALL members pair with each other; a pair is looked at once, whatever the number of keys
-it shares, and verified on whole sets. Keys of more members join their documents into families (connected components
-over such keys only). A family is cut into blocks by hash, and each pair of blocks is one task that counts the links of
-its members exactly, by products of incidence matrices, and hands on counts and a spanning forest: as many rows as
-members, not as links. Pairs within a family are left to it. So no link between different texts is lost to a limit, and
-no step lists all pairs of a group.
+and copies are never expanded. Each representative has a sequence of FULL_DEPTH min-hashes in each of TREES trees. A
+sequence is packed into one sortable number (the prefix that is never cut first, then a byte for each deeper level), so
+that the numbers of a tree in order are its trie, and a prefix is a shift.
+
+Prefixes are shortened as far as each document needs. A pair at the threshold t shares a prefix of d levels with chance
+t**d, so looking at depths d1, d2, ... in the trees misses it with the product of (1 - t**di). In a tree where the node
+at the least depth (5 for 32 trees at 0.8: there the product over all trees reaches the target recall of 0.99999) has up
+to SMALL members, a document looks at that node. Where it has more, the document first looks at the shortest deeper
+prefix with up to SMALL members (or at none). If its product then misses the target, it shortens prefixes to the least
+depth, the smallest nodes first, until the target is reached; the node of a prefix shortened so is "wide". Members of
+nodes are counted by sums with map-side combining, never by gathering them.
+
+Documents in one narrow node pair with each other; a pair is looked at once, whatever the number of nodes it shares, and
+verified on whole sets. Wide nodes join their documents into families (connected components over such nodes only). A
+family is cut into blocks by hash, and each pair of blocks is one task that counts the links of its members exactly, by
+products of incidence matrices, and hands on counts and a spanning forest: as many rows as members, not as links. (Sets
+of a family of F members are sent F / BLOCK times.) Pairs within a family are left to it. So no link between different
+texts is lost to a limit, and no step lists all pairs of a group.
 
 Classes are the connected components of the links (stars contracted in rounds, each round a written table).
 
 Texts are whole; null is empty. Of rows with equal ids each counts as a document of its own. Ties go to the smaller id.
-An empty table gives no rows. Columns other than doc_id and text are kept by `keep_one`, not read by `classes`."""
+An empty table gives no rows. Columns other than doc_id and text are kept by `keep_one`, whatever their names, and not
+read by `classes`."""
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import MIX, mix64, per_batch, pieces, span_hashes, stage, text_bytes, words
@@ -34,14 +42,14 @@ from .repeats import numbered
 
 WORDS, THRESHOLD = 5, 0.8
 TREES, FULL_DEPTH, RECALL = 32, 8, 0.99999
-#: Members of a key up to which pairs are listed; beyond, the key makes a family.
+#: Members of a node up to which pairs are listed.
 SMALL = 32
 #: Members of a block of a family, about.
 BLOCK = 512
 
 
-def prefix_depth(trees: int = TREES, threshold: float = THRESHOLD, recall: float = RECALL, full: int = FULL_DEPTH) -> int:
-    """The longest prefix at which a pair at the threshold is found with the wanted chance."""
+def least_depth(trees: int = TREES, threshold: float = THRESHOLD, recall: float = RECALL, full: int = FULL_DEPTH) -> int:
+    """The longest prefix at which, looked at in all trees, a pair at the threshold is found with the wanted chance."""
     depth = full
     while depth > 1 and 1 - (1 - threshold**depth) ** trees < recall:
         depth -= 1
@@ -84,19 +92,28 @@ def _seeds(n: int) -> tuple[np.ndarray, np.ndarray]:
     return draw[:n], draw[n:] | np.uint64(1)
 
 
-def prefix_keys(h: np.ndarray, first: np.ndarray, trees: int, depth: int) -> np.ndarray:
-    """(texts, trees) keys of the prefixes of the min-hash sequences; h in runs that begin at `first`."""
-    add, times = _seeds(trees * depth)
+def trie_keys(h: np.ndarray, first: np.ndarray, trees: int, least: int, full: int = FULL_DEPTH) -> np.ndarray:
+    """(texts, trees) numbers whose order is the order of each tree's trie; h in runs that begin at `first`. The bits
+    above 8 * (full - least) name the tree and the prefix of `least` levels, each byte below them one deeper level."""
+    add, times = _seeds(trees * full)
     out = np.empty((len(first), trees), np.uint64)
+    deeper = full - least
+    low = np.uint64((1 << 8 * deeper) - 1)
     for t in range(trees):
         key = np.full(len(first), t + 1, np.uint64)
-        for k in range(t * depth, (t + 1) * depth):
-            key = mix64(key ^ np.minimum.reduceat((h ^ add[k]) * times[k], first))
+        for k in range(full):
+            value = np.minimum.reduceat((h ^ add[t * full + k]) * times[t * full + k], first)
+            if k < least:
+                key = mix64(key ^ value)
+                if k == least - 1:
+                    key &= ~low
+            else:
+                key |= (mix64(value) & np.uint64(255)) << np.uint64(8 * (full - 1 - k))
         out[:, t] = key
     return out
 
 
-def signed(docs: DataFrame, trees: int, depth: int) -> DataFrame:
+def signed(docs: DataFrame, trees: int, least: int) -> DataFrame:
     """_doc, a, b (128-bit name of the set), n (its size), keys (trees x 8 bytes)."""
 
     def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
@@ -105,7 +122,7 @@ def signed(docs: DataFrame, trees: int, depth: int) -> DataFrame:
             first = np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]]))
             n = np.diff(np.append(first, len(row)))
             a, b = np.add.reduceat(mix64(h), first), np.add.reduceat(mix64(h ^ np.uint64(0x5BD1E995)), first)
-            keys = prefix_keys(h, first, trees, depth)
+            keys = trie_keys(h, first, trees, least)
             yield pa.RecordBatch.from_arrays([part.column("_doc"), pa.array(a.view(np.int64)), pa.array(b.view(np.int64)), pa.array(n.astype(np.int64)), pa.array([k.tobytes() for k in keys], pa.binary())], ["_doc", "a", "b", "n", "keys"])
 
     return per_batch(docs.select("_doc", "text"), work, "_doc long, a long, b long, n long, keys binary")
@@ -120,6 +137,46 @@ def _keyed(reps: DataFrame) -> DataFrame:
     return per_batch(reps.select("rep", "keys"), work, "key long, rep long")
 
 
+def prefix(depth: int, full: int = FULL_DEPTH):
+    """The node of a key at a depth."""
+    return F.shiftrightunsigned("key", 8 * (full - depth))
+
+
+def forest_nodes(keyed: DataFrame, trees: int, threshold: float, recall: float, full: int = FULL_DEPTH, small: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """keyed: key, rep. (narrow nodes as node, rep, with two members or more; wide nodes as node, rep, low, where low is
+    the least member)."""
+    least, small = least_depth(trees, threshold, recall, full), small or SMALL
+    own = keyed.withColumn("node", prefix(least))
+    often = own.groupBy("node").agg(F.count("*").alias("members"), F.min("rep").alias("low")).filter("members > 1")
+    shared = stage(own.join(often, "node"), "shared")
+    crowded = shared.filter(F.col("members") > small)
+
+    # members of the deeper nodes below crowded ones, from counts of whole keys
+    counts = crowded.groupBy("key").agg(F.count("*").alias("m"))
+    chosen = F.lit(None).cast("int")
+    for d in range(full, least, -1):
+        at = counts.groupBy(prefix(d).alias(f"p{d}")).agg(F.sum("m").alias(f"n{d}"))
+        counts = counts.withColumn(f"p{d}", prefix(d)).join(at, f"p{d}")
+        chosen = F.when(F.col(f"n{d}") <= small, d).otherwise(chosen)  # the shortest that is narrow
+    deep = crowded.join(counts.select("key", chosen.alias("depth")), "key")
+
+    # how much of the chance to miss a pair each document has left, and which prefixes it must shorten
+    miss = lambda d: math.log(1 - threshold**d)
+    looked = F.lit(0.0)
+    for d in range(least + 1, full + 1):
+        looked = F.when(F.col("depth") == d, miss(d)).otherwise(looked)
+    slack = math.log(1 - recall) - trees * miss(least) + 1e-9
+    by_rep = Window.partitionBy("rep")
+    cost = deep.withColumn("cost", looked - miss(least)).withColumn("left", F.sum("cost").over(by_rep) - F.sum("cost").over(by_rep.orderBy("members", "node").rowsBetween(Window.unboundedPreceding, 0)) + F.col("cost"))
+    wide = cost.filter(F.col("left") > slack).select("node").distinct()
+    deep = stage(deep, "deep")
+    narrow = shared.filter(F.col("members") <= small).select("node", "rep")
+    below = deep.join(wide, "node", "left_anti").filter("depth is not null")
+    for d in range(least + 1, full + 1):
+        narrow = narrow.unionByName(below.filter(F.col("depth") == d).select(F.xxhash64(F.lit(d), prefix(d)).alias("node"), "rep"))
+    return narrow, crowded.join(wide, "node").select("node", "rep", "low")
+
+
 def components(edges: DataFrame, label: str = "component") -> DataFrame:
     """node, root (its component's smallest node) of every node of edges (u, v). Stars are contracted in rounds until
     nothing moves; each round is a written table."""
@@ -250,19 +307,17 @@ def _family_links(members: DataFrame, threshold: float) -> DataFrame:
 
 def _classes(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES, recall: float = RECALL) -> DataFrame:
     """_doc, rep, class_id, n_links; docs has _doc."""
-    held = stage(signed(docs, trees, prefix_depth(trees, threshold, recall)), "signed")
+    held = stage(signed(docs, trees, least_depth(trees, threshold, recall)), "signed")
     reps = held.groupBy("a", "b", "n").agg(F.min(F.struct("_doc", "keys")).alias("x"), F.count("*").alias("weight")).select("a", "b", "n", F.col("x._doc").alias("rep"), F.col("x.keys").alias("keys"), "weight")
     reps = stage(reps, "representatives")
-    keyed = _keyed(reps)
-    often = keyed.groupBy("key").agg(F.count("*").alias("members"), F.min("rep").alias("low"), F.max("rep").alias("high")).filter("members > 1")
-    shared = stage(keyed.join(often, "key"), "shared")
-    big = stage(components(shared.filter(F.col("members") > SMALL).select(F.col("rep").alias("u"), F.col("low").alias("v")), "family").select("node", "root"), "families")
+    narrow, wide = forest_nodes(_keyed(reps), trees, threshold, recall)
+    narrow, wide = stage(narrow, "narrow"), stage(wide, "wide")
+    big = stage(components(wide.select(F.col("rep").alias("u"), F.col("low").alias("v")), "family").select("node", "root"), "families")
     family = big.unionByName(big.select(F.col("root").alias("node"), "root")).distinct()
-    sets = stage(_sets(docs, shared.select("rep").distinct()), "sets").join(reps.select("rep", "weight"), "rep")
+    sets = stage(_sets(docs, narrow.select("rep").unionByName(wide.select("rep")).distinct()), "sets").join(reps.select("rep", "weight"), "rep")
 
-    # pairs under small keys, each once, but for those within a family
-    small = shared.filter(F.col("members") <= SMALL)
-    listed = small.groupBy("key").agg(F.sort_array(F.collect_list("rep")).alias("m"))
+    # pairs in narrow nodes, each once, but for those within a family
+    listed = narrow.groupBy("node").agg(F.sort_array(F.collect_list("rep")).alias("m")).filter(F.size("m") > 1)
     pairs = (
         listed.select("m", F.posexplode("m").alias("i", "u")).select("u", F.explode(F.expr("slice(m, i + 2, size(m))")).alias("v")).distinct()
         .join(family.select(F.col("node").alias("u"), F.col("root").alias("fu")), "u", "left")
@@ -301,8 +356,6 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     with the same shingles)."""
     base = numbered(docs)
     found = _classes(base, threshold)
-    if "_doc" in docs.columns:
-        raise ValueError("_doc is a name of ours")
     ids = base.select("_doc", "doc_id")
     out = found.join(ids, "_doc")
     if _is_id(base):
@@ -317,18 +370,13 @@ def _is_id(base: DataFrame) -> bool:
 
 
 def keep_one(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """docs without those that are not the first of their class."""
+    """docs without those that are not the first of their class. Rows equal in id and text are one document; of them the
+    first by the other columns (as text) stays."""
     base = numbered(docs)
     first = _classes(base, threshold).filter(F.col("_doc") == F.col("class_id")).select("_doc")
     if _is_id(base):
         return docs.join(first.select(F.col("_doc").alias("doc_id")), "doc_id", "left_semi").select(*docs.columns)
-    own = numbered_rows(docs)
-    return own.join(first, "_doc", "left_semi").select(*docs.columns)
-
-
-def numbered_rows(docs: DataFrame) -> DataFrame:
-    """docs with _doc as `numbered` gives it, for tables in which ids repeat: of rows equal in id and text, one stays."""
-    keys = numbered(docs).groupBy("doc_id", "text").agg(F.min("_doc").alias("_doc"))
-    one = docs.dropDuplicates(["doc_id", "text"]).alias("d")
-    k = keys.alias("k")
-    return one.join(k, F.col("d.doc_id").eqNullSafe(F.col("k.doc_id")) & F.col("d.text").eqNullSafe(F.col("k.text"))).select("d.*", "k._doc")
+    kept = base.join(first, "_doc", "left_semi").select(F.col("doc_id").alias("i"), F.col("text").alias("t")).distinct().alias("k")
+    own = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    one = own.groupBy(F.col("row.doc_id").alias("i"), F.col("row.text").alias("t")).agg(F.min_by("row", F.to_json("row")).alias("row")).alias("d")
+    return one.join(kept, F.col("d.i").eqNullSafe(F.col("k.i")) & F.col("d.t").eqNullSafe(F.col("k.t"))).select("d.row.*")

@@ -4,9 +4,10 @@ Candidates are what loose patterns find: everything that a base pattern matches
 phone numbers, and values assigned to names of secrets (the whole run, however long). Three labelers vote on each for, against or not at all: the
 format check (digit counts, Luhn, octets), a gazetteer (domain endings, card issuers, country codes, special networks,
 names of secrets) and the words before it. How often each pattern of votes occurs is counted over all documents, a table
-of fixed size; expectation-maximisation on it estimates how reliable each labeler is for each kind, and a logistic
-classifier of spans is fitted to the posteriors. A candidate is personal data if the classifier says so or if it is a
-base span; where an added span overlaps a base span, only the base span stays.
+of fixed size; expectation-maximisation on it estimates how reliable each labeler is for each kind. The final classifier
+of spans (logistic, fitted to the posteriors weighted by the candidates' numbers) sees, besides kind and votes, what no
+labeler looks at: the span's length, its share of digits and whether it stands alone between blanks, quotes or brackets.
+A candidate is personal data if the classifier says so or if it is a base span; where an added span overlaps a base span, only the base span stays.
 
 Positions are code points, ends exclusive. Null texts are empty. Repeated rows repeat. An empty table gives no rows (and
 the classifier falls back to the labelers' prior reliability). Columns other than doc_id and text are not read by
@@ -30,7 +31,7 @@ _LOCAL = r"[A-Za-z0-9._%+-]"
 PATTERNS = {
     "email": rf"(?:\G|(?<!{_LOCAL})){_LOCAL}++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",
     "ip": r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}",
-    "card": r"[0-9](?:[\x20-]?[0-9])++",
+    "card": r"(?<![0-9])[0-9](?:[\x20-]?[0-9]){13,}+",  # a run of fewer digits never passes its check
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
     "secret": r"(?i)(?<![a-z0-9])(?:[a-z0-9]{1,20}[_-])?(?:token|secret|password|passwd|pwd|api[_-]?key|access[_-]?key)[\"']?\x20{0,3}[:=]\x20{0,3}[\"']?[^\s\"']{8,}+",
     "local_phone": r"(?<![0-9+])\(?[0-9]{3}\)?[\x20.-][0-9]{3}[\x20.-][0-9]{4}(?![0-9])",
@@ -38,7 +39,11 @@ PATTERNS = {
 _SECRET_HEAD = r"(?i)^[a-z0-9_-]+[\"']?\x20{0,3}[:=]\x20{0,3}[\"']?"
 
 # Fixed words of the gazetteers and context labelers.
-DOMAIN_ENDINGS = ("com", "org", "net", "edu", "gov", "info", "io", "de", "fr", "es", "uk", "eu", "us", "ch", "at", "it", "nl", "pl")
+#: Generic endings; every ending of two letters is a country's.
+DOMAIN_ENDINGS = (
+    "com", "org", "net", "edu", "gov", "mil", "int", "info", "biz", "name", "pro", "aero", "coop", "museum", "jobs", "mobi", "travel", "cat", "tel", "asia", "post",
+    "app", "dev", "cloud", "online", "site", "shop", "store", "blog", "tech", "agency", "email", "live", "media", "news", "studio", "systems", "world", "xyz", "top",
+)
 SPECIAL_NETWORKS = r"^(?:0|10|127|169\.254|192\.168|172\.(?:1[6-9]|2[0-9]|3[01])|22[4-9]|2[34][0-9]|25[0-5])\."
 CARD_ISSUERS = r"^(?:4|5[1-5]|2[2-7]|3[47]|3[068]|6011|65|35)"
 COUNTRY_CODES = r"^\+(?:1|7|20|27|3[0-69]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58])"
@@ -72,11 +77,16 @@ def _hits(text: Column, kind: str) -> Column:
 def _located(text: Column, hits: Column, kind: str) -> Column:
     """array<struct<s, e, t>> of the hits, from the lengths of what stands between them."""
     gaps = F.when(F.size(hits) > 0, F.transform(F.split(text, PATTERNS[kind], -1), F.char_length))
-    total = lambda a: F.aggregate(a, F.lit(0), lambda x, y: x + y)
     lengths = F.transform(hits, F.char_length)
-    return F.transform(
-        hits,
-        lambda h, i: F.struct((total(F.slice(gaps, 1, i + 1)) + total(F.slice(lengths, F.lit(1), i))).alias("s"), F.char_length(h).alias("n"), h.alias("t")),
+    begin = F.struct(F.lit(0).alias("at"), F.array().cast("array<int>").alias("out"))
+
+    def step(state: Column, x: Column) -> Column:
+        start = state["at"] + x["gap"]
+        return F.struct((start + F.coalesce(x["n"], F.lit(0))).alias("at"), F.array_append(state["out"], start).alias("out"))
+
+    starts = F.aggregate(F.arrays_zip(gaps.alias("gap"), lengths.alias("n")), begin, step, lambda state: F.slice(state["out"], F.lit(1), F.size(hits)))
+    return F.when(F.size(hits) > 0, F.transform(F.arrays_zip(hits.alias("t"), starts.alias("s")), lambda x: F.struct(x["s"].alias("s"), F.char_length(x["t"]).alias("n"), x["t"].alias("t")))).otherwise(
+        F.array().cast("array<struct<s:int,n:int,t:string>>")
     )
 
 
@@ -105,8 +115,8 @@ def _passes(kind: str, t: Column) -> Column:
 
 def _gazetteer(kind: str, t: Column) -> Column:
     if kind == "email":
-        yes = F.lower(F.regexp_extract(t, r"\.([A-Za-z0-9-]+)$", 1)).isin(*DOMAIN_ENDINGS)
-        return F.when(yes, 1).otherwise(0)
+        ending = F.lower(F.regexp_extract(t, r"\.([A-Za-z0-9-]+)$", 1))
+        return F.when(ending.isin(*DOMAIN_ENDINGS) | ending.rlike("^[a-z]{2}$"), 1).when(ending.rlike("^[0-9]+$"), -1).otherwise(0)
     if kind == "ip":
         return F.when(t.rlike(SPECIAL_NETWORKS), -1).otherwise(1)
     if kind == "card":
@@ -124,6 +134,13 @@ def _context(kind: str, before: Column) -> Column:
 def _voted(text: Column, located: Column, kind: str, as_kind: str | None = None, base: bool = True) -> Column:
     name = as_kind or kind
     number = KINDS.index(name)
+    edge = r"^[\s\"'()\[\]<>{},;:.!?]?$"
+
+    def shape(t: Column, around: Column) -> Column:
+        n = F.char_length(t)
+        length = F.when(n < 16, 0).when(n < 32, 1).otherwise(2)
+        digits = F.char_length(_digits(t)) * 3
+        return length * 6 + F.when(digits < n, 0).when(digits < 2 * n, 1).otherwise(2) * 2 + F.when(around, 1).otherwise(0)
 
     def one(x: Column) -> Column:
         head = F.char_length(F.regexp_extract(x["t"], _SECRET_HEAD, 0)) if kind == "secret" else F.lit(0)
@@ -131,8 +148,10 @@ def _voted(text: Column, located: Column, kind: str, as_kind: str | None = None,
         start = x["s"] + head
         at = F.greatest(F.lit(0), start - CONTEXT_CHARS)
         passed = _passes(name, t)
+        end = x["s"] + x["n"]
+        alone = F.when(start > 0, text.substr(start, F.lit(1)).rlike(edge)).otherwise(True) & text.substr(end + 1, F.lit(1)).rlike(edge)
         return F.struct(
-            start.alias("s"), (x["s"] + x["n"]).alias("e"), F.lit(number).alias("k"),
+            start.alias("s"), end.alias("e"), F.lit(number).alias("k"), shape(t, alone).cast("int").alias("shape"),
             (passed if base else F.lit(False)).alias("base"),
             ((F.when(passed, 2).otherwise(0)) * 9 + (_gazetteer(name, t) + 1) * 3 + _context(name, text.substr(at + 1, start - at)) + 1).cast("int").alias("votes"),
         )
@@ -141,8 +160,9 @@ def _voted(text: Column, located: Column, kind: str, as_kind: str | None = None,
 
 
 def candidates(docs: DataFrame) -> DataFrame:
-    """docs with _cands: array<struct<s, e, k, base, votes>>, where votes = 9 * format + 3 * gazetteer + context, each 0
-    (against), 1 (none) or 2 (for)."""
+    """docs with _cands: array<struct<s, e, k, shape, base, votes>>, where votes = 9 * format + 3 * gazetteer + context,
+    each 0 (against), 1 (none) or 2 (for), and shape = 6 * length + 2 * share of digits + alone. docs is a frame of the
+    operator's own: text and columns that begin with no underscore, or _row."""
     names = docs.columns
     step = docs.select(*names, _text().alias("_t"))
     step = step.select("*", *[_hits(F.col("_t"), k).alias(f"_h_{k}") for k in PATTERNS])
@@ -154,10 +174,16 @@ def candidates(docs: DataFrame) -> DataFrame:
 
 
 # ---------------------------------------------------------------- reliabilities and classifier, on the table of counts
-def vote_counts(cands: DataFrame) -> dict[tuple[int, int], int]:
-    """(kind, votes) -> number of candidates; at most 5 * 27 rows."""
-    rows = cands.select(F.explode("_cands").alias("c")).groupBy(F.col("c.k").alias("k"), F.col("c.votes").alias("v")).agg(F.count("*").alias("n"))
-    return {(r["k"], r["v"]): r["n"] for r in rows.collect()}
+Seen = tuple[int, int, int]  # kind, votes, shape
+
+#: Shapes of a span.
+SHAPES = 18
+
+
+def vote_counts(cands: DataFrame) -> dict[Seen, int]:
+    """(kind, votes, shape) -> number of candidates; at most 5 * 27 * 18 rows."""
+    rows = cands.select(F.explode("_cands").alias("c")).groupBy(F.col("c.k").alias("k"), F.col("c.votes").alias("v"), F.col("c.shape").alias("h")).agg(F.count("*").alias("n"))
+    return {(r["k"], r["v"], r["h"]): r["n"] for r in rows.collect()}
 
 
 def _split(votes: int) -> tuple[int, int, int]:
@@ -169,13 +195,16 @@ PRIOR = (((0.80, 0.15, 0.05), (0.05, 0.15, 0.80)), ((0.35, 0.45, 0.20), (0.10, 0
 STRENGTH = 20.0
 
 
-def estimate(counts: dict[tuple[int, int], int], rounds: int = 50) -> tuple[dict, dict]:
+def estimate(counts: dict[Seen, int], rounds: int = 50) -> tuple[dict, dict]:
     """(posterior of each (kind, votes), reliabilities of each kind) by expectation-maximisation with the prior's weight
     of STRENGTH candidates."""
     post: dict[tuple[int, int], float] = {}
     reliability: dict[int, tuple] = {}
-    for kind in sorted({k for k, _ in counts}):
-        own = {v: n for (k, v), n in counts.items() if k == kind}
+    for kind in sorted({k for k, _, _ in counts}):
+        own: dict[int, int] = {}
+        for (k, v, _), n in counts.items():
+            if k == kind:
+                own[v] = own.get(v, 0) + n
         rate, table = 0.5, PRIOR
         p: dict[int, float] = {}
         for _ in range(rounds):
@@ -200,43 +229,48 @@ def estimate(counts: dict[tuple[int, int], int], rounds: int = 50) -> tuple[dict
     return post, reliability
 
 
-def _features(kind: int, votes: int) -> list[float]:
+def _features(kind: int, votes: int, shape: int) -> list[float]:
     f, g, c = _split(votes)
-    return [float(kind == k) for k in range(len(KINDS))] + [float(f == 0), float(f == 2), float(g == 0), float(g == 2), float(c == 0), float(c == 2)]
+    length, digits, alone = shape // 6, shape // 2 % 3, shape % 2
+    return [float(kind == k) for k in range(len(KINDS))] + [float(f == 0), float(f == 2), float(g == 0), float(g == 2), float(c == 0), float(c == 2)] + [
+        float(length == 1), float(length == 2), float(digits == 1), float(digits == 2), float(alone)
+    ]
 
 
-def train(counts: dict, post: dict, rounds: int = 400) -> list[float]:
+def train(counts: dict[Seen, int], post: dict, rounds: int = 400) -> list[float]:
     """Weights of the logistic classifier of spans, fitted to the posteriors weighted by the candidates' numbers."""
-    w = [0.0] * len(_features(0, 0))
+    w = [0.0] * len(_features(0, 0, 0))
     if not counts:
-        return [-1.0] * len(KINDS) + [-2.0, 2.0, -1.0, 1.0, -2.0, 1.0]
+        return [-1.0] * len(KINDS) + [-2.0, 2.0, -1.0, 1.0, -2.0, 1.0] + [0.0] * 5
     total = sum(counts.values())
-    rows = [(_features(k, v), post[k, v], n / total) for (k, v), n in sorted(counts.items())]
+    rows = [(_features(k, v, h), post[k, v], n / total) for (k, v, h), n in sorted(counts.items())]
     for _ in range(rounds):
         grad = [1e-4 * x for x in w]
         for x, y, n in rows:
             q = 1 / (1 + math.exp(-max(-60.0, min(60.0, sum(a * b for a, b in zip(w, x))))))
             for i, a in enumerate(x):
                 grad[i] += n * (q - y) * a
-        w = [a - 4.0 * g for a, g in zip(w, grad)]
+        w = [a - 2.0 * g for a, g in zip(w, grad)]
     return w
 
 
-def accepted(weights: list[float]) -> list[tuple[int, int]]:
-    return [(k, v) for k in range(len(KINDS)) for v in range(27) if sum(a * b for a, b in zip(weights, _features(k, v))) > 0]
+def accepted(weights: list[float]) -> list[int]:
+    """The codes (kind, votes and shape as one number) that the classifier takes."""
+    every = ((k, v, h) for k in range(len(KINDS)) for v in range(27) for h in range(SHAPES))
+    return [(k * 27 + v) * SHAPES + h for k, v, h in every if sum(a * b for a, b in zip(weights, _features(k, v, h))) > 0]
 
 
-def decide(cands: DataFrame) -> list[tuple[int, int]]:
-    """The (kind, votes) that the classifier takes for personal data."""
+def decide(cands: DataFrame) -> list[int]:
+    """The codes of candidates that the classifier takes for personal data."""
     counts = vote_counts(cands)
     return accepted(train(counts, estimate(counts)[0]))
 
 
-def chosen(cands: Column, yes: Iterable[tuple[int, int]]) -> Column:
+def chosen(cands: Column, yes: Iterable[int]) -> Column:
     """Base spans and the added ones that overlap none of them, nor an added one before, by start and kind."""
     base = F.filter(cands, lambda c: c["base"])
-    wanted = F.array(*[F.lit(k * 27 + v) for k, v in yes]).cast("array<int>")
-    extra = F.filter(cands, lambda c: ~c["base"] & F.array_contains(wanted, c["k"] * 27 + c["votes"]))
+    wanted = F.split(F.lit(",".join(map(str, [-1, *yes]))), ",").cast("array<int>")  # a literal once folded
+    extra = F.filter(cands, lambda c: ~c["base"] & F.array_contains(wanted, (c["k"] * 27 + c["votes"]) * SHAPES + c["shape"]))
     free = F.filter(extra, lambda c: ~F.exists(base, lambda b: (b["s"] < c["e"]) & (c["s"] < b["e"])))
     free = F.filter(free, lambda c: ~F.exists(free, lambda b: (b["s"] < c["e"]) & (c["s"] < b["e"]) & ((b["s"] < c["s"]) | ((b["s"] == c["s"]) & (b["k"] < c["k"])))))
     return F.array_sort(F.transform(F.concat(base, free), lambda c: F.struct(c["s"].alias("s"), c["k"].alias("k"), c["e"].alias("e"), c["base"].alias("base"))))
@@ -258,7 +292,7 @@ def digest(found: DataFrame) -> DataFrame:
     count = lambda k: F.size(F.filter("spans", lambda c: c["base"] & (c["k"] == k))).cast("long")
     return found.select(
         "doc_id", *[count(i).alias(f"n_{k}") for i, k in enumerate(KINDS[:4])],
-        F.sha2(_joined(base).cast("binary"), 256).alias("base_sha256"), _joined(F.col("spans")).alias("spans"),
+        F.sha2(_joined(base).cast("binary"), 256).alias("base_sha256"), _joined(F.col("spans")).alias("spans"), F.size("spans").cast("long").alias("n_spans"),
     )
 
 
@@ -267,7 +301,8 @@ def redact(docs: DataFrame) -> DataFrame:
     the kind of the first. Reads docs twice: once for the votes, once for the texts."""
     yes = decide(candidates(docs.select("text")))
     names = docs.columns
-    step = candidates(docs).withColumn("_s", chosen(F.col("_cands"), yes))
+    rows = docs.select("text", F.struct(*[F.col(f"`{n}`") for n in names]).alias("_row"))
+    step = candidates(rows).withColumn("_s", chosen(F.col("_cands"), yes))
     tags = F.array(*[F.lit(f"[{k.upper()}]") for k in KINDS])
     text = F.col("text")
 
@@ -278,4 +313,4 @@ def redact(docs: DataFrame) -> DataFrame:
 
     whole = F.aggregate(F.col("_s"), F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), put, lambda s: F.concat(s["out"], text.substr(s["at"] + 1, F.char_length(text))))
     new = F.when(F.size("_s") > 0, whole).otherwise(text)
-    return step.select(*[new.alias(n) if n == "text" else F.col(n) for n in names])
+    return step.select(*[new.alias(n) if n == "text" else F.col("_row").getField(n).alias(n) for n in names])

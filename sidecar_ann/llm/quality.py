@@ -19,6 +19,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -28,6 +29,8 @@ SLOTS, DIMS, NONZERO, WINDOW = 1 << 13, 32, 4, 2
 #: Most labelled rows that a network is fitted on.
 LABELLED = 20_000
 HIDDEN, ROUNDS = 32, 400
+#: Tables of sums that are added up in one group on the first level, as tasks over FAN; on the second, at most FAN.
+FAN = 256
 
 #: Character classes of bytes: digits 9, capitals A, small letters and bytes of longer characters a, others themselves.
 _CLASS = np.arange(256, dtype=np.uint8)
@@ -70,6 +73,7 @@ def _context_sums(row: np.ndarray, slot: np.ndarray, table: np.ndarray, dims: np
 def word_vectors(docs: DataFrame, blocks: int = 16) -> np.ndarray:
     """(SLOTS, DIMS) unit vectors, from all documents. What a task sends on is bounded by the table of sums."""
     each = SLOTS * DIMS // blocks
+    schema = "part int, block int, data binary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own_worker(__name__)
@@ -82,16 +86,21 @@ def word_vectors(docs: DataFrame, blocks: int = 16) -> np.ndarray:
                 row, word, shape = units(*text_bytes(part.column("text")))
                 for slot in (word, shape):
                     _context_sums(row, slot, table, dims, signs)
-        yield pa.RecordBatch.from_pydict({"block": pa.array(range(blocks), pa.int32()), "data": pa.array([zlib.compress(table[i * each : (i + 1) * each].tobytes(), 1) for i in range(blocks)], pa.binary())})
+        part = TaskContext.get().partitionId() % FAN
+        yield pa.RecordBatch.from_pydict({"part": pa.array([part] * blocks, pa.int32()), "block": pa.array(range(blocks), pa.int32()), "data": pa.array([zlib.compress(table[i * each : (i + 1) * each].tobytes(), 1) for i in range(blocks)], pa.binary())})
 
     def total(table: pa.Table) -> pa.Table:
-        data = sum(np.frombuffer(zlib.decompress(x), np.int64) for x in table.column("data").to_pylist())
-        return pa.table({"block": table.column("block")[:1], "data": pa.array([data.tobytes()], pa.binary())})
-
-    got = docs.select("text").mapInArrow(run, "block int, data binary").groupBy("block").applyInArrow(total, "block int, data binary").collect()
+        data = np.zeros(each, np.int64)
+        for x in table.column("data"):
+            data += np.frombuffer(zlib.decompress(x.as_py()), np.int64)
+        return pa.table({"part": pa.array([0], pa.int32()), "block": table.column("block")[:1], "data": pa.array([zlib.compress(data.tobytes(), 1)], pa.binary())})
+
+    sums = docs.select("text").mapInArrow(run, schema)
+    for keys in (["part", "block"], ["block"]):  # a tree: no group holds a table of every task
+        sums = sums.groupBy(*keys).applyInArrow(total, schema)
     table = np.zeros(SLOTS * DIMS)
-    for r in got:
-        table[r["block"] * each : (r["block"] + 1) * each] = np.frombuffer(bytes(r["data"]), np.int64)
+    for r in sums.collect():
+        table[r["block"] * each : (r["block"] + 1) * each] = np.frombuffer(zlib.decompress(bytes(r["data"])), np.int64)
     table = table.reshape(SLOTS, DIMS)
     table -= table.sum(0) / max(1.0, np.abs(table).sum()) * np.abs(table).sum(1, keepdims=True)  # the common direction
     norm = np.linalg.norm(table, axis=1, keepdims=True)
@@ -208,27 +217,29 @@ def fit(docs: DataFrame, labels: DataFrame, vectors: np.ndarray, limit: int = LA
             x = features(*text_bytes(part.column("text")), vectors)
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("_y"), pa.array([r.tobytes() for r in x], pa.binary())], ["doc_id", "_y", "x"])
 
-    got = sorted((r["doc_id"], bytes(r["x"]), r["_y"]) for r in per_batch(rows, work, "doc_id long, _y int, x binary").collect())
+    one = per_batch(rows, work, "doc_id long, _y int, x binary").groupBy("doc_id").agg(F.min(F.struct("x", "_y")).alias("r"))  # of repeated ids one row
+    got = sorted((r["doc_id"], bytes(r["r"]["x"]), r["r"]["_y"]) for r in one.collect())
     x = np.frombuffer(b"".join(g[1] for g in got), np.float32).reshape(-1, FEATURES)
     y = np.array([g[2] for g in got], np.int64)
     check = mix64(np.array([g[0] for g in got], np.int64).astype(np.uint64)) % np.uint64(5) == 0 if got else np.zeros(0, bool)
     return Network().fit(x, y, check)
 
 
-def score(docs: DataFrame, network: Network, vectors: np.ndarray) -> DataFrame:
-    """docs with a column score; every other column stays."""
-    names = docs.columns
-    kept = [n for n in names if n != "score"]
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields if f.name in kept)
+def score(docs: DataFrame, network: Network, vectors: np.ndarray, name: str = "score") -> DataFrame:
+    """docs with a column of scores, which may not have the name of another column; every other column stays."""
+    kept = docs.columns
+    if name in kept:
+        raise ValueError(f"{name} is a column of the documents; give another name for the scores")
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
 
     def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         for part in pieces(batch, most=1 << 20):
             s = network.scores(features(*text_bytes(part.column("text")), vectors))
-            yield pa.RecordBatch.from_arrays([*(part.column(n) for n in kept), pa.array(s)], [*kept, "score"])
+            yield pa.RecordBatch.from_arrays([*(part.column(n) for n in kept), pa.array(s)], [*kept, name])
 
-    return per_batch(docs.select(*kept), work, f"{schema}, score double")
+    return per_batch(docs, work, f"{schema}, `{name}` double")
 
 
 def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:
     vectors = word_vectors(docs)
-    return score(docs, fit(docs, labels, vectors), vectors)
+    return score(docs.select("doc_id", "text"), fit(docs, labels, vectors), vectors)

@@ -26,7 +26,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import BYTE_CODES, MIX, MIX2, mix64, partitions, per_batch, pieces, stage, text_bytes
@@ -441,17 +441,23 @@ def covered(marks: np.ndarray, size: int) -> list[tuple[int, int]]:
 
 def numbered(docs: DataFrame) -> DataFrame:
     """doc_id, text and _doc, a long of its own for each row that orders rows by doc_id (null first) and text. Where ids
-    are distinct it is the id."""
+    are distinct it is the id; else rows are counted in the order of a range shuffle, so that no id and no task holds
+    many rows (equal rows are parted by where they were read)."""
     base = docs.select("doc_id", "text")
-    ids = base.groupBy("doc_id").agg(F.count("*").alias("n")).agg(F.max("n").alias("most"), F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).first()
-    most, low, high = ids["most"] or 1, ids["low"] or 0, ids["high"] or 0
-    whole = F.coalesce(F.col("doc_id"), F.lit(low - 1)).cast("long")
-    if most == 1:
-        return base.withColumn("_doc", whole)
-    if max(abs(low) + 1, abs(high)) * most < 1 << 62:
-        own = F.row_number().over(Window.partitionBy("doc_id").orderBy("text"))
-        return base.withColumn("_doc", whole * most + own - 1)
-    return base.withColumn("_doc", F.row_number().over(Window.orderBy(F.col("doc_id").asc_nulls_first(), "text")).cast("long"))
+    ids = base.groupBy("doc_id").agg(F.count("*").alias("n")).agg(F.max("n").alias("most"), F.min("doc_id").alias("low")).first()
+    if (ids["most"] or 1) == 1:
+        return base.withColumn("_doc", F.coalesce(F.col("doc_id"), F.lit((ids["low"] or 0) - 1)).cast("long"))
+    order = (F.col("doc_id").asc_nulls_first(), F.col("text").asc_nulls_first(), F.col("_m").asc())
+    dealt = base.withColumn("_m", F.monotonically_increasing_id()).repartitionByRange(partitions(docs.sparkSession), *order).sortWithinPartitions(*order)
+    held = stage(dealt.select("doc_id", "text", F.monotonically_increasing_id().alias("_at")), "numbered")
+    part = F.shiftright("_at", 33)  # the function puts the partition there
+    counts = held.groupBy(part.alias("p")).agg(F.count("*").alias("n")).orderBy("p").collect()  # one row a partition
+    start, at = [], 0
+    for r in counts:
+        start += [F.lit(r["p"]), F.lit(at)]
+        at += r["n"]
+    base_of = F.element_at(F.create_map(*start), part).cast("long")
+    return held.select("doc_id", "text", (base_of + F.col("_at").bitwiseAND((1 << 33) - 1)).alias("_doc"))
 
 
 def removals(docs: DataFrame) -> DataFrame:

@@ -111,11 +111,54 @@ def test_near_duplicates_blocks_and_edges(spark, monkeypatch):
     assert neardup.classes(docs.filter("doc_id < 0")).count() == 0
 
 
-def test_prefix_depth():
-    d = neardup.prefix_depth()
+def test_least_depth():
+    d = neardup.least_depth()
     assert 1 - (1 - 0.8**d) ** neardup.TREES >= neardup.RECALL > 1 - (1 - 0.8 ** (d + 1)) ** neardup.TREES
 
 
+def test_keys_are_tries():
+    rng = np.random.default_rng(2)
+    h, first = rng.integers(0, 1 << 63, 400).astype(np.uint64), np.arange(0, 400, 10)
+    least, full = neardup.least_depth(), neardup.FULL_DEPTH
+    alone = neardup.trie_keys(h[:10], np.array([0]), 3, least)
+    other = neardup.trie_keys(np.concatenate([h, h[:10]]), np.append(first, 400), 3, least)
+    assert (other[0] == alone[0]).all() and (other[-1] == alone[0]).all() and len(np.unique(other[:-1] >> np.uint64(8 * (full - least)))) == 120
+
+
+def _nodes(spark, rows, trees):
+    keyed = spark.createDataFrame(rows, "key long, rep long")
+    narrow, wide = neardup.forest_nodes(keyed, trees, 0.8, neardup.RECALL, small=4)
+    groups = defaultdict(set)
+    for r in narrow.collect():
+        groups[r["node"]].add(r["rep"])
+    return sorted(map(sorted, groups.values())), sorted((r["rep"], r["low"]) for r in wide.collect())
+
+
+def test_prefixes_are_shortened_only_as_far_as_needed(spark):
+    """Ten documents meet in one crowded node of one tree; in the others they stand alone, so the deeper prefixes do.
+    Where they meet in every tree, the target is out of reach without the crowded nodes, and these become wide."""
+    deeper = neardup.FULL_DEPTH - neardup.least_depth()
+    node = 5 << 8 * deeper
+    one = [(node | (i % 5) << 8 * (deeper - 1) | i << 8, i) for i in range(10)]
+    lone = [((1000 + 50 * t + i) << 8 * deeper, i) for t in range(1, 32) for i in range(10)]
+    narrow, wide = _nodes(spark, one + lone, 32)
+    assert narrow and all(len(g) <= 4 for g in narrow) and not wide
+    assert [g for g in narrow if len(g) == 2] == [[i, i + 5] for i in range(5)]
+    every = [((7 + t) << 8 * deeper | i, i) for t in range(32) for i in range(10)]
+    narrow, wide = _nodes(spark, every, 32)
+    assert {r for r, _ in wide} == set(range(10)) and {low for _, low in wide} == {0}
+
+
+def test_near_duplicates_of_repeated_ids(spark):
+    text = " ".join(f"w{i}" for i in range(60))
+    rows = [(1 << 60, text, 1), (1 << 60, text, 2), (None, text + " x", 3), (None, "other words stand here alone now", 4), (None, None, 5), (-(1 << 61), "", 6)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, _doc int")
+    kept = sorted(r["_doc"] for r in neardup.keep_one(docs).collect())
+    assert kept == [3, 4, 5, 6] or kept == [3, 4, 5] or kept == [3, 4, 6]
+    got = [r for r in neardup.classes(docs).collect()]
+    assert len(got) == 6 and sorted(r["n_links"] for r in got) == [0, 1, 1, 2, 2, 2]
+
+
 def test_fingerprints(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     rows = sorted((r["doc_id"], r["text"]) for r in docs.select("doc_id", "text").collect())

@@ -56,6 +56,16 @@ def test_base_spans(docs):
         assert [got[i][f"n_{k}"] for k in pii.KINDS[:4]] == [sum(x[1] == j for x in spans) for j in range(4)]
 
 
+def test_base_spans_of_random_texts(spark):
+    rnd = random.Random(11)
+    some = ["1", "23", "4111 1111 1111 1111", "4242-4242-4242-4242", " ", " ", "-", "--", "+", "+1", "(", ")", ".", "@", "a", "b.c", "@x.org", "1.2.3.4", "256.1.1.1", "é", "\U0001f600", "\n", "0", "00"]
+    texts = ["".join(rnd.choice(some) for _ in range(rnd.choice([3, 8, 20, 60]))) for _ in range(3000)] + [" ".join(f"word{i} {i}" for i in range(20_000)), "1" * 30_000, "a@b.c " * 3000]
+    got = {r["doc_id"]: r for r in pii.digest(pii.find(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4))).collect()}
+    for i, t in enumerate(texts):
+        said = ",".join(f"{pii.KINDS[k]}:{s}:{e}" for s, k, e in base_spans(t))
+        assert got[i]["base_sha256"] == hashlib.sha256(said.encode()).hexdigest(), (i, said[:300], got[i]["spans"][:300])
+
+
 def test_added_spans_and_redaction(spark):
     texts = ['export token = "' + c * 4 + '0123456789abcdef0123456789abcdef0123"' for c in "abcd"] + ["call (212) 555-0199 now", "version 9807915762804491 of the book"]
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
@@ -76,10 +86,61 @@ def test_secrets_of_any_length_are_whole(spark):
 
 
 def test_reliabilities_follow_agreement():
-    counts = {(3, 26): 50, (3, 4): 400, (3, 23): 30, (3, 1): 300}
+    counts = {(3, 26, 9): 50, (3, 4, 9): 400, (3, 23, 9): 30, (3, 1, 9): 300}
     post, rel = pii.estimate(counts)
     assert post[3, 26] > 0.9 > 0.2 > post[3, 4]
-    assert (3, 26) in pii.accepted(pii.train(counts, post))
+    code = lambda k, v, h: (k * 27 + v) * pii.SHAPES + h
+    assert code(3, 26, 9) in pii.accepted(pii.train(counts, post))
+
+
+def test_span_classifier_sees_more_than_the_votes():
+    """Where no labeler decides, the shape that goes with the doubtful spans' sure relatives does."""
+    counts = {(4, 26, 17): 200, (4, 4, 0): 200, (4, 13, 17): 5, (4, 13, 0): 5}
+    post, _ = pii.estimate(counts)
+    weights = pii.train(counts, post)
+    near = lambda h: sum(a * b for a, b in zip(weights, pii._features(4, 13, h)))
+    assert near(17) > near(0)
+
+
+CLASHES = ["size", "target", "taken", "source_size", "_key", "_range", "_n", "_ss", "_t", "_cands", "_s", "_h_email", "_l_ip", "_row", "_doc", "rep", "score", "part", "_ahead", "key", "block", "n_chars"]
+
+
+def test_columns_of_any_name_keep_their_values(spark):
+    from sidecar_ann.llm import neardup, quality
+
+    rows = [(i, t, "ab"[i % 2], *[f"{c}{i}" for c in CLASHES]) for i, t in enumerate(["mail a.b@c.org now please and then", "plain words here and there again", None, "token = 'abcd1234abcd1234abcd'"])]
+    docs = spark.createDataFrame(rows, ", ".join(["doc_id long", "text string", "source string", *[f"`{c}` string" for c in CLASHES]]))
+    labels = spark.createDataFrame([(0, 1), (1, 0)], "doc_id long, quality int")
+    vectors = quality.word_vectors(docs)
+    for out in (pii.redact(docs), mixing.repeat_documents(docs), neardup.keep_one(docs), quality.score(docs, quality.fit(docs, labels, vectors), vectors, "quality_score").select(*docs.columns)):
+        assert out.columns == docs.columns
+        got = out.collect()
+        assert got
+        for r in got:
+            assert all(r[c] == f"{c}{r['doc_id']}" for c in CLASHES)
+    assert {r["doc_id"]: r["text"] for r in pii.redact(docs).collect()}[0] == "mail [EMAIL] now please and then"
+
+
+def test_pipeline_stages_on_edge_rows(spark, tmp_path):
+    import corpus_pipeline as p
+
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    long_text = " ".join(f"word{i % 977}" for i in range(20_000))
+    rows = [(1, None, None, None, None), (2, "", "en", "a", 0), (3, long_text, "en", "a", len(long_text)), (3, long_text, "en", "a", len(long_text)), (None, "one two three four five six", None, "b", 1), (5, "write to x.y@z.org today", "de", "b", 24)]
+    spark.createDataFrame([(1, 1, 0), (3, 1, 0), (5, 0, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    for held in (spark.createDataFrame(rows, schema), spark.createDataFrame([], schema)):
+        for name, f in p.STAGES:
+            out = f(spark, held, str(tmp_path))
+            got = out.collect()
+            if name == "packing":
+                assert sum(r["length"] for r in got) > 0 or not held.count()
+                break
+            assert out.columns == held.columns and (got or not held.count()), name
+            if name == "near_duplicates":
+                assert sum(r["text"] == long_text for r in got) <= 1
+            if name == "mixing":
+                assert all((r["text"] or "").split() for r in got)
+            held = spark.createDataFrame([tuple(r) for r in got], schema)
 
 
 def test_empty_tables(spark, docs):

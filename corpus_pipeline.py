@@ -4,7 +4,12 @@ rows that the stage before kept; its result is written as Parquet and read again
 The quality stage drops what the classifier holds for more likely bad than good (score under REJECT), which is more
 lenient than the 0.7 of a plain prediction, so that clean documents stay. Of near duplicates the smallest id stays.
 Personal data is replaced by its kind. The mix repeats and samples whole documents. The last stage returns the packed
-pieces."""
+pieces.
+
+Every stage takes null and empty texts, texts of any length, repeated rows and an empty table, as its operator's
+docstring states: a null text is empty (the classifier scores it, it is a class of its own among near duplicates, has no
+personal data, and is not taken by the mix, which takes no document without words). Further columns keep their values,
+whatever their names."""
 
 from __future__ import annotations
 
@@ -21,7 +26,10 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     names = docs.columns
     vectors = quality.word_vectors(docs)
     network = quality.fit(docs, documents(spark, sf_dir, "labels"), vectors)
-    return quality.score(docs, network, vectors).filter(F.col("score") >= REJECT).select(*names)
+    name = "score"
+    while name in names:
+        name += "_"
+    return quality.score(docs, network, vectors, name).filter(F.col(name) >= REJECT).select(*names)
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import functools
 import sys
 import tempfile
@@ -84,6 +85,15 @@ def own_worker(owner: str) -> None:
     held = _holder().__dict__
     if held.get("owner") != owner:
         held.update(owner=owner, caches={})
+        give_back()
+
+
+def give_back() -> None:
+    """Memory that is free in this process goes back to the machine; the allocators keep it otherwise."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # only some C libraries have it
+    if trim is not None:
+        trim(0)
 
 
 def per_batch(df: DataFrame, work: Callable, schema: str) -> DataFrame:
@@ -101,6 +111,7 @@ def per_batch(df: DataFrame, work: Callable, schema: str) -> DataFrame:
                 yield out
             else:
                 yield from out
+        give_back()
 
     return df.mapInArrow(run, schema)
 
@@ -118,7 +129,7 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(data, np.uint8)[off[0] : off[-1]], off - off[0]
 
 
-def pieces(batch: pa.RecordBatch, column: str = "text", most: int = 2 << 20) -> Iterator[pa.RecordBatch]:
+def pieces(batch: pa.RecordBatch, column: str = "text", most: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     """Slices of a batch of about `most` bytes of text each, whole rows only: what bounds a worker's memory."""
     sizes = np.asarray(pc.fill_null(pc.binary_length(batch.column(column)), 0))
     ends = np.cumsum(sizes)

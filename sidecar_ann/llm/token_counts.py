@@ -59,7 +59,7 @@ class SpanEncoder(ChunkEncoder):
     """The same memo of chunks with character spans as values: start and end within the chunk in one word."""
 
     name = "span_encoders"
-    slot_bits, value_type = 20, np.uint64
+    slot_bits, value_type = 19, np.uint64
 
     def _stored(self) -> type:
         return np.uint64

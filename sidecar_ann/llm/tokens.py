@@ -7,7 +7,7 @@ beside a character that it does not know. So the joined ids of the chunks are th
 the string of an added token, and files with a pattern that is not known here, are encoded whole.
 
 The memo is a direct-mapped table of numpy arrays: a chunk of up to KEY_BYTES bytes is its own key (no hash is trusted),
-a slot holds up to WIDTH values, and a newer chunk takes the slot of an older one. Its size is fixed, under 80 MB for a
+a slot holds up to WIDTH values, and a newer chunk takes the slot of an older one. Its size is fixed, under 40 MB for a
 worker, whatever the corpus; what does not fit is encoded each time."""
 
 from __future__ import annotations
@@ -117,7 +117,7 @@ class ChunkEncoder:
 
     name = "encoders"
     #: Slots of the memo as a power of two, and the type of the values outside it.
-    slot_bits, value_type = 21, np.uint32
+    slot_bits, value_type = 20, np.uint32
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer

@@ -152,13 +152,13 @@ def forest_nodes(keyed: DataFrame, trees: int, threshold: float, recall: float,
     crowded = shared.filter(F.col("members") > small)
 
     # members of the deeper nodes below crowded ones, from counts of whole keys
-    counts = crowded.groupBy("key").agg(F.count("*").alias("m"))
-    chosen = F.lit(None).cast("int")
-    for d in range(full, least, -1):
-        at = counts.groupBy(prefix(d).alias(f"p{d}")).agg(F.sum("m").alias(f"n{d}"))
-        counts = counts.withColumn(f"p{d}", prefix(d)).join(at, f"p{d}")
+    counts = stage(crowded.groupBy("key").agg(F.count("*").alias(f"n{full}")), "counts")
+    depths, chosen = counts, F.when(F.col(f"n{full}") <= small, full)
+    for d in range(full - 1, least, -1):
+        at = counts.groupBy(prefix(d).alias(f"p{d}")).agg(F.sum(f"n{full}").alias(f"n{d}"))
+        depths = depths.withColumn(f"p{d}", prefix(d)).join(at, f"p{d}")
         chosen = F.when(F.col(f"n{d}") <= small, d).otherwise(chosen)  # the shortest that is narrow
-    deep = crowded.join(counts.select("key", chosen.alias("depth")), "key")
+    deep = stage(crowded.join(depths.select("key", chosen.alias("depth")), "key"), "deep")
 
     # how much of the chance to miss a pair each document has left, and which prefixes it must shorten
     miss = lambda d: math.log(1 - threshold**d)
@@ -168,12 +168,12 @@ def forest_nodes(keyed: DataFrame, trees: int, threshold: float, recall: float,
     slack = math.log(1 - recall) - trees * miss(least) + 1e-9
     by_rep = Window.partitionBy("rep")
     cost = deep.withColumn("cost", looked - miss(least)).withColumn("left", F.sum("cost").over(by_rep) - F.sum("cost").over(by_rep.orderBy("members", "node").rowsBetween(Window.unboundedPreceding, 0)) + F.col("cost"))
-    wide = cost.filter(F.col("left") > slack).select("node").distinct()
-    deep = stage(deep, "deep")
-    narrow = shared.filter(F.col("members") <= small).select("node", "rep")
+    wide = stage(cost.filter(F.col("left") > slack).select("node").distinct(), "wide")
     below = deep.join(wide, "node", "left_anti").filter("depth is not null")
+    at = F.lit(None).cast("long")
     for d in range(least + 1, full + 1):
-        narrow = narrow.unionByName(below.filter(F.col("depth") == d).select(F.xxhash64(F.lit(d), prefix(d)).alias("node"), "rep"))
+        at = F.when(F.col("depth") == d, prefix(d)).otherwise(at)
+    narrow = shared.filter(F.col("members") <= small).select("node", "rep").unionByName(below.select(F.xxhash64("depth", at).alias("node"), "rep"))
     return narrow, crowded.join(wide, "node").select("node", "rep", "low")
 
 
@@ -181,11 +181,13 @@ def components(edges: DataFrame, label: str = "component") -> DataFrame:
     """node, root (its component's smallest node) of every node of edges (u, v). Stars are contracted in rounds until
     nothing moves; each round is a written table."""
     now = stage(edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).filter("u <> v").distinct(), label)
+    if now.isEmpty():
+        return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
     state = None
     while True:
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.filter("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
+        large = stage(both.filter("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct(), label)
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").unionByName(low.select("u", F.col("m").alias("v"))).distinct()
         now = stage(small, label)
@@ -312,17 +314,18 @@ def _classes(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES,
     reps = stage(reps, "representatives")
     narrow, wide = forest_nodes(_keyed(reps), trees, threshold, recall)
     narrow, wide = stage(narrow, "narrow"), stage(wide, "wide")
-    big = stage(components(wide.select(F.col("rep").alias("u"), F.col("low").alias("v")), "family").select("node", "root"), "families")
-    family = big.unionByName(big.select(F.col("root").alias("node"), "root")).distinct()
+    big = components(wide.select(F.col("rep").alias("u"), F.col("low").alias("v")), "family").select("node", "root")
+    family = stage(big.unionByName(big.select(F.col("root").alias("node"), "root")).distinct(), "families")
     sets = stage(_sets(docs, narrow.select("rep").unionByName(wide.select("rep")).distinct()), "sets").join(reps.select("rep", "weight"), "rep")
 
     # pairs in narrow nodes, each once, but for those within a family
     listed = narrow.groupBy("node").agg(F.sort_array(F.collect_list("rep")).alias("m")).filter(F.size("m") > 1)
-    pairs = (
+    pairs = stage(
         listed.select("m", F.posexplode("m").alias("i", "u")).select("u", F.explode(F.expr("slice(m, i + 2, size(m))")).alias("v")).distinct()
         .join(family.select(F.col("node").alias("u"), F.col("root").alias("fu")), "u", "left")
         .join(family.select(F.col("node").alias("v"), F.col("root").alias("fv")), "v", "left")
-        .filter("fu is null or fv is null or fu <> fv").select("u", "v")
+        .filter("fu is null or fv is null or fu <> fv").select("u", "v"),
+        "pairs",
     )
     side = lambda x: sets.select(F.col("rep").alias(x), F.col("n").alias(f"n{x}"), F.col("weight").alias(f"w{x}"), F.col("set").alias(f"s{x}"))
     sizes = sets.select("rep", "n")

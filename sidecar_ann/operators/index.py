@@ -37,13 +37,13 @@ class IndexOptions:
     sharding: str = "hash"  # hash (of the id), file, centroid
     num_shards: int = 4
     R: int = 16
-    L: int = 40
+    L: int = 100
     alpha: float = 1.2
     saturate: bool = True
     n_entries: int = 16
     repair: bool = True
     pq_m: int = 16
-    pq_nbits: int = 6
+    pq_nbits: int = 8
     pq_scope: str = "global"  # or shard
     keep_vectors: bool = False
     compression: str = "none"
@@ -259,9 +259,10 @@ class IndexManager:
         return self.table.log.commit(snap, Change("replace", bind={name: None}))
 
     # ------------------------------------------------------------ probe
-    def stage_a(self, index: Index, queries: DataFrame, k: int, L: int, oversample: int, nprobe_shards: int | None = None, distance: str = "pq") -> DataFrame:
+    def stage_a(self, index: Index, queries: DataFrame, k: int, L: int, oversample: int, nprobe_shards: int | None = None, distance: str = "pq", removed: list[int] | None = None) -> DataFrame:
         """qid, vec_id, file_no, row_offset, approx, shard, visited, distances: at most k * oversample rows for each
-        query and shard, live rows only."""
+        query and shard, live rows only. Rows of `removed` files count as dead, so the beam is widened for them, too."""
+        gone = np.array(sorted(removed or []), np.int64)
         root, want = index.root, k * oversample
         there = self.spark.createDataFrame([(s["shard"], s["path"], s["blob"], s["n"], s["dead"]) for s in index.shards], "shard int, path string, blob int, n long, dead long")
         blocks = queries.select("qid", "qv").withColumn("block", F.pmod(F.col("qid"), F.lit(16)).cast("int"))
@@ -282,7 +283,7 @@ class IndexManager:
             shard = cached_shard(f"{root}/{table.column('path')[0].as_py()}", table.column("blob")[0].as_py())
             qid = np.asarray(table.column("qid"))
             q = _prepared(vectors_of(table.column("qv").combine_chunks()), metric)
-            live = shard.live
+            live = shard.live & ~np.isin(shard.files, gone) if len(gone) else shard.live
             ratio = 1 - live.mean() if shard.n else 0.0
             wide = shard.n if ratio >= 1 else min(shard.n, int(np.ceil(max(L, want) / (1 - ratio))))
             full = distance == "full" and shard.vectors is not None
@@ -307,8 +308,8 @@ class IndexManager:
         return candidates.withColumn("_r", rank).filter(F.col("_r") <= k * oversample).drop("_r")
 
     def rerank(self, index: Index, snap: Snapshot, candidates: DataFrame, queries: DataFrame, where: Column | None = None) -> DataFrame:
-        """qid, vec_id, distance: exact, on the rows of files that hold candidates (a filter on file and id reaches the
-        scan); candidates in files that the snapshot no longer has fall away in the join."""
+        """qid, vec_id, distance: exact, on the rows of files that hold candidates (whole files are read); candidates in
+        files that the snapshot no longer has fall away in the join."""
         numbers = {r[0] for r in candidates.select("file_no").distinct().collect()}
         live = [f for f in self.table.log.files(snap) if f.file_no in numbers]
         own = self.table.read_files(snap, [f.path for f in live])
@@ -330,13 +331,28 @@ class IndexManager:
         rows = lambda files: self._rows_where(snap, index.column, files, where)
         if not index.shards or (stale == "exact" and (added or removed)) or (where is not None and filter_mode == "pre"):
             return exact_batch_topk(rows(list(now.values())), queries, k, metric=index.options.metric).select("qid", "vec_id", "distance", "rank")
-        cand = self.stage_a(index, queries, k, L or index.options.L, shard_oversample, nprobe_shards, distance)
-        if removed:
-            cand = cand.filter(~F.col("file_no").isin(removed))
-        exact = self.rerank(index, snap, self.merge(cand, k, rerank_oversample), queries, where)
+        cand = self.stage_a(index, queries, k, L or index.options.L, shard_oversample, nprobe_shards, distance, removed)
+        # stage A runs once: the rerank reads its candidates from a table
+        merged = self._kept(self.merge(cand, k, rerank_oversample).select("qid", "vec_id", "file_no"))
+        exact = self.rerank(index, snap, merged, queries, where)
         if added:
             exact = exact.unionByName(exact_batch_topk(rows(added), queries, k, metric=index.options.metric).select("qid", "vec_id", "distance"))
-        return top_per_query(exact, k).select("qid", "vec_id", "distance", "rank")
+        found = top_per_query(exact, k).select("qid", "vec_id", "distance", "rank")
+        if where is None:
+            return found
+        # after a filter a query may have less than k rows left: those queries are answered exactly
+        found = self._kept(found)
+        full = found.groupBy("qid").agg(F.count("*").alias("n")).filter(F.col("n") >= k).select("qid")
+        rest = queries.join(full, "qid", "left_anti")
+        again = exact_batch_topk(rows(list(now.values())), rest, k, metric=index.options.metric).select("qid", "vec_id", "distance", "rank")
+        return found.join(full, "qid", "left_semi").unionByName(again)
+
+    def _kept(self, df: DataFrame) -> DataFrame:
+        """df written beside the table, where every executor sees it, and read again; gone when the process ends."""
+        path = f"{self.table.log.root}/scratch/{uuid.uuid4().hex}"
+        df.write.parquet(path)
+        store.delete_at_exit(path)
+        return self.spark.read.schema(df.schema).parquet(path)
 
     def _rows_where(self, snap: Snapshot, column: str, files: list, where: Column | None) -> DataFrame:
         rows = self.table.read_files(snap, [f.path for f in files])

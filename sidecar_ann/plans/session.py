@@ -7,7 +7,7 @@ import re
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..errors import BadParameter, UnknownIndex, UnsupportedPattern
+from ..errors import BadParameter, EngineError, UnknownIndex, UnsupportedPattern
 from ..functions import distance as D
 from ..operators.exact import exact_range
 from ..operators.index import IndexManager
@@ -104,7 +104,7 @@ class AnnSession:
         try:
             table = self.table(p.table)
             snap = table.log.at(p.version)
-        except Exception:
+        except EngineError:  # no such table or version; errors of the store are not hidden
             return {"tier": "exact", "index": None}
         for name in sorted(snap.indexes):
             index = IndexManager(table).open(name, p.version)
@@ -120,7 +120,7 @@ class AnnSession:
         try:
             table = self.table(p.table)
             snap = table.log.at(p.version)
-        except Exception as e:
+        except EngineError as e:
             raise UnknownIndex(f"no table {p.table}") from e
         rows = table.df(p.version)
         where = F.expr(p.where) if p.where else None

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import os
 import uuid
 
@@ -67,3 +68,18 @@ def listing(folder: str) -> list[tuple[str, int, float]]:
 def delete(path: str) -> None:
     fs, p = resolve(path)
     fs.delete_file(p)
+
+
+_left: list[str] = []
+
+
+def delete_at_exit(folder: str) -> None:
+    _left.append(folder)
+
+
+@atexit.register
+def _clean() -> None:
+    for folder in _left:
+        fs, p = resolve(folder)
+        if fs.get_file_info(p).type == pafs.FileType.Directory:
+            fs.delete_dir(p)

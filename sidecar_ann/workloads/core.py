@@ -664,6 +664,56 @@ def filtered_knn_post(spark, sf):
     return out_topk(shared(spark, sf)[1].search("ix", queries_of(uniform(spark, sf)), 5, where=F.col("label").isin(1, 2, 3), filter_mode="post", **EXHAUSTIVE))
 
 
+@query("filtered_knn_post_default", no_violations("queries with less than five rows", "rows outside the filter"))
+def filtered_knn_post_default(spark, sf):
+    """A filter after the search, with a narrow beam: no query ends with less rows than there are."""
+    e = uniform(spark, sf)
+    got = shared(spark, sf)[1].search("ix", queries_of(e), 5, where=F.col("label") == 3, filter_mode="post").cache()
+    short = queries_of(e).join(got.groupBy("qid").agg(F.count("*").alias("n")), "qid", "left").filter("coalesce(n, 0) <> 5").count()
+    return violations(spark, **{"queries with less than five rows": short, "rows outside the filter": got.join(e.filter("label = 3"), "vec_id", "left_anti").count()})
+
+
+@query("hybrid_after_delete_default", no_violations("queries with less than ten rows", "removed rows"))
+def hybrid_after_delete_default(spark, sf):
+    """A stale index after files were removed: their rows neither show nor take the places of others."""
+    each = per_file(spark, sf)
+    table = table_of(spark, sf, per_file=each)
+    m = IndexManager(table)
+    m.create("ix", "v", **SMALL)
+    table.remove_files(list(range(8)))
+    e = uniform(spark, sf)
+    got = m.search("ix", queries_of(e), 10, shard_oversample=1, rerank_oversample=1).cache()
+    short = queries_of(e).join(got.groupBy("qid").agg(F.count("*").alias("n")), "qid", "left").filter("coalesce(n, 0) <> 10").count()
+    return violations(spark, **{"queries with less than ten rows": short, "removed rows": got.filter(F.col("vec_id") < 8 * each).count()})
+
+
+@query("concurrent_append_range", "SELECT vec_id FROM embeddings")
+def concurrent_append_range(spark, sf):
+    """Two writers append at the same time; a range search over everything finds every row of both."""
+    e = uniform(spark, sf)
+    table = table_of(spark, sf, "vec_id % 10 < 8", 20, per_file(spark, sf))
+    m = IndexManager(table)
+    m.create("ix", "v", **SMALL)
+    threads = [threading.Thread(target=table.append, args=(e.filter(F.col("vec_id") % 10 == k),)) for k in (8, 9)]
+    for t in threads:
+        t.start()
+    for t in threads:
+        t.join()
+    return m.search_range("ix", _seven(spark, sf), 100.0).select("vec_id")
+
+
+@query("ann_default_pq", no_violations("recall under 0.9", "k rows a query"))
+def ann_default_pq(spark, sf):
+    """Options of the index and of the search as they come."""
+    e = uniform(spark, sf)
+    table = table_of(spark, sf, per_file=per_file(spark, sf))
+    m = IndexManager(table)
+    m.create("ix", "v")
+    got = m.search("ix", queries_of(e), 10).cache()
+    recall = A.recall_at_k(got, exact_batch_topk(e, queries_of(e), 10), 10).first()[0]
+    return violations(spark, **{"recall under 0.9": recall < 0.9, "k rows a query": got.groupBy("qid").count().filter("count <> 10").count()})
+
+
 @query("merge_topk", topk_sql(8, select="qid, vec_id"))
 def merge_topk(spark, sf):
     e = uniform(spark, sf)

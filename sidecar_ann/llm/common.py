@@ -53,6 +53,7 @@ def stage(df: DataFrame, label: str) -> DataFrame:
     path = f"{scratch_root(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     _left.append((spark, path))
+    give_back()
     return spark.read.schema(df.schema).parquet(path)
 
 

@@ -23,7 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import MIX, crc32_of_text, mix64, own_worker, per_batch, pieces, span_hashes, text_bytes, words
+from .common import MIX, crc32_of_text, give_back, mix64, own_worker, per_batch, pieces, span_hashes, text_bytes, words
 
 SLOTS, DIMS, NONZERO, WINDOW = 1 << 13, 32, 4, 2
 #: Most labelled rows that a network is fitted on.
@@ -222,7 +222,10 @@ def fit(docs: DataFrame, labels: DataFrame, vectors: np.ndarray, limit: int = LA
     x = np.frombuffer(b"".join(g[1] for g in got), np.float32).reshape(-1, FEATURES)
     y = np.array([g[2] for g in got], np.int64)
     check = mix64(np.array([g[0] for g in got], np.int64).astype(np.uint64)) % np.uint64(5) == 0 if got else np.zeros(0, bool)
-    return Network().fit(x, y, check)
+    del got
+    network = Network().fit(x, y, check)
+    give_back()
+    return network
 
 
 def score(docs: DataFrame, network: Network, vectors: np.ndarray, name: str = "score") -> DataFrame:

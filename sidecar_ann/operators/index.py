@@ -5,7 +5,8 @@ built by one task, which writes its own object and returns one row; the root con
 and is bound by a metadata-only commit. Probe: every (shard, block of queries) is a task that emits at most K times the
 oversampling; candidates are merged by approximate distance, reranked exactly on the rows of the touched files only, and
 cut to K. Refresh: the manifest difference since the base snapshot names added and removed files; only shards that they
-touch are rewritten; removed rows become tombstones; a shard with too many is rebuilt."""
+touch are rewritten; removed rows become tombstones; a shard with too many is rebuilt. File centroids of unchanged files are
+taken over from the index before."""
 
 from __future__ import annotations
 
@@ -154,6 +155,7 @@ class IndexManager:
         self.table, self.spark = table, table.spark
         self.last_results: list[dict] = []
         self.last_metrics: dict = {}
+        self.last_centroid_files: list[int] = []
 
     # ------------------------------------------------------------ build
     def _rows(self, snap: Snapshot, column: str, paths: list[str]) -> DataFrame:
@@ -203,19 +205,38 @@ class IndexManager:
             index.shards = [{"shard": r["shard"], "path": r["path"], "n": r["n"], "dead": 0, "bytes": r["bytes"], "blob": 0} for r in sorted(self.last_results, key=lambda r: r["shard"])]
         return self._commit(index, snap)
 
-    def _commit(self, index: Index, snap: Snapshot) -> Index:
+    def _centroid_blob(self, index: Index, snap: Snapshot, known: dict[str, int]) -> bytes:
+        """Centroids of the snapshot's files. Those of `known`, the files of the container that the index was read from, are
+        taken over unless a file of the same number came or went; only the other files are read."""
+        own = self.table.log.files(snap)
+        there = {f.path for f in own}
+        moved = {n for p, n in known.items() if p not in there} | {f.file_no for f in own if f.path not in known}
+        self.last_centroid_files = sorted(f.file_no for f in own if f.file_no in moved or not known)
+        cent = centroids_of(self.table, snap, index.column, index.dim, [f for f in own if f.file_no in moved or not known])
+        number = np.array([c["file_no"] for c in cent], np.int64)
+        centre = np.array([c["centroid"] for c in cent]).reshape(-1, index.dim)
+        radius = np.array([c["radius"] for c in cent], np.float64)
+        if known:
+            old = cached_centroids(f"{index.root}/{index.path}")
+            keep = np.isin(old["file_no"], [f.file_no for f in own]) & ~np.isin(old["file_no"], sorted(moved))
+            # one float down, as encoding goes one up again
+            radius = np.concatenate([np.nextafter(old["radius"][keep], np.float32(-np.inf)), radius])
+            number, centre = np.concatenate([old["file_no"][keep], number]), np.concatenate([old["centroid"][keep], centre])
+        order = np.argsort(number, kind="stable")
+        return blobs.encode_centroids([f.path for f in own], number[order], centre[order], radius[order], index.options.metric)
+
+    def _commit(self, index: Index, snap: Snapshot, known: dict[str, int] | None = None) -> Index:
         o, log = index.options, self.table.log
         name = f"index/{snap.version}-{index.name}-{uuid.uuid4().hex}.side"
         graphs = []
         if o.mode == "inline" and index.shards:
             graphs = [self._raw_blob(index, s) for s in index.shards]
             index.shards = [{**s, "path": name, "blob": 2 + k} for k, s in enumerate(index.shards)]
-        cent = centroids_of(self.table, snap, index.column, index.dim)
         head = {"name": index.name, "base": snap.version, "column": index.column, "dim": index.dim, "options": asdict(o), "shards": index.shards, "cells": index.cell_shards, "covered": index.covered}
         props = {"dim": str(index.dim), "metric": o.metric, "base": str(snap.version), "n": str(sum(s["n"] for s in index.shards))}
         pieces = [
             Blob(ROUTING, blobs.encode_routing(head, index.codebook), [1], snap.version, props),
-            Blob(CENTROIDS, blobs.encode_centroids([f.path for f in log.files(snap)], np.array([c["file_no"] for c in cent]), np.array([c["centroid"] for c in cent]).reshape(-1, index.dim), np.array([c["radius"] for c in cent]), o.metric), [1], snap.version, props, "zstd"),
+            Blob(CENTROIDS, self._centroid_blob(index, snap, known or {}), [1], snap.version, props, "zstd"),
             *graphs,
         ]
         write_container(f"{log.root}/{name}", pieces, {"index": index.name})
@@ -241,8 +262,7 @@ class IndexManager:
 
     def centroids(self, name: str, version: int | None = None) -> CentroidProbe:
         index = self.open(name, version)
-        full = f"{index.root}/{index.path}"
-        c = blobs.decode_centroids(read_blob(full, read_footer(full).first(CENTROIDS)))
+        c = cached_centroids(f"{index.root}/{index.path}")
         return CentroidProbe(c["file_no"], c["centroid"], c["radius"], c["metric"])
 
     def list(self) -> list[str]:
@@ -407,8 +427,17 @@ class IndexManager:
         out = [("EXISTING" if p in now else "DELETED", n) for p, n in index.covered.items()]
         return out + [("ADDED", n) for p, n in now.items() if p not in index.covered]
 
-    def refresh(self, name: str, rebuild_all: bool = False) -> Index:
-        """Brings the index to the current snapshot; only shards that the change touches are rewritten."""
+    def rebuild_shard(self, name: str, number: int) -> Index:
+        """Brings the index to the current snapshot and builds one shard anew from its live rows, without tombstones."""
+        return self.refresh(name, rebuild=frozenset([number]))
+
+    def maintain(self, name: str, limit: float) -> Index:
+        """Rebuilds the shards whose share of dead rows is above the limit."""
+        return self.refresh(name, rebuild=frozenset(s["shard"] for s in self.open(name).shards if s["dead"] > limit * s["n"]))
+
+    def refresh(self, name: str, rebuild_all: bool = False, rebuild: frozenset[int] = frozenset()) -> Index:
+        """Brings the index to the current snapshot; only shards that the change touches, and those of `rebuild`, are
+        rewritten. Which shards gain rows is found from the added files alone."""
         index, snap = self.open(name), self.table.log.current()
         now = {f.path: f for f in self.table.log.files(snap)}
         if rebuild_all or not index.shards:
@@ -416,14 +445,19 @@ class IndexManager:
             return fresh
         added = {f.file_no for p, f in now.items() if p not in index.covered}
         removed = sorted(n for p, n in index.covered.items() if p not in now)
-        if not added and not removed:
+        if unknown := rebuild - {s["shard"] for s in index.shards}:
+            raise BadParameter(f"no shards {sorted(unknown)}")
+        if not added and not removed and not rebuild:
             return index
-        rows = self._rows(snap, index.column, list(now)).filter(D.is_valid_vector(F.col("v"), index.dim))
-        placed = rows.withColumn("shard", index.shard_of(F.col("v"), F.col("vec_id"), F.col("file_no"))).withColumn("fresh", F.col("file_no").isin(sorted(added)) if added else F.lit(False))
+
+        def rows_of(paths: list[str]) -> DataFrame:
+            rows = self._rows(snap, index.column, paths).filter(D.is_valid_vector(F.col("v"), index.dim))
+            return rows.withColumn("shard", index.shard_of(F.col("v"), F.col("vec_id"), F.col("file_no")))
+
         old = {s["shard"]: s for s in index.shards}
-        gets = {r[0] for r in placed.filter("fresh").select("shard").distinct().collect()}
+        gets = {r[0] for r in rows_of([p for p in now if p not in index.covered]).select("shard").distinct().collect()} if added else set()
         loses = {s["shard"] for s in index.shards if removed and np.isin(cached_shard(f"{index.root}/{s['path']}", s["blob"]).files, removed).any()} if len(index.shards) <= 64 else self._losing(index, removed)
-        touched = sorted(gets | loses)
+        touched = sorted(gets | loses | rebuild)
         o, root, base = index.options, index.root, snap.version
         where = {s: (old[s]["path"], old[s]["blob"]) for s in touched if s in old}
 
@@ -435,7 +469,7 @@ class IndexManager:
                 shard = cached_shard(f"{root}/{where[number][0]}", where[number][1])
                 shard = replace(shard, dead=(shard.dead if len(shard.dead) else np.zeros(shard.n, bool)) | np.isin(shard.files, removed))
                 visits = dists = 0
-                if fresh.any():
+                if fresh.any() and number not in rebuild:
                     own = Q.pq_decode(shard.codes, shard.codebook).astype(np.float64) if shard.n else np.zeros((0, index.dim))
                     order = np.argsort(ids[~fresh])
                     at = np.searchsorted(ids[~fresh][order], shard.ids)
@@ -447,7 +481,7 @@ class IndexManager:
                     full, tbl, info = G.insert(own, neighbour_table(shard), shard.entries, new, o.graph())
                     visits, dists = info["visits"], info["distances"]
                     shard = replace(shard, ids=np.concatenate([shard.ids, ids[pick]]), files=np.concatenate([shard.files, files[pick]]), offsets=np.concatenate([shard.offsets, offs[pick]]), neighbours=G.as_lists(tbl), entries=info["entries"], codes=np.concatenate([shard.codes, Q.pq_encode(new, shard.codebook)]), dead=np.concatenate([shard.dead, np.zeros(len(pick), bool)]), vectors=full.astype(np.float32) if o.keep_vectors else None)
-                if shard.n == 0 or shard.dead.mean() <= o.tombstone_limit:
+                if number not in rebuild and (shard.n == 0 or shard.dead.mean() <= o.tombstone_limit):
                     path, size = _put_shard(root, shard, o, base, number)
                     return _result(number, path, shard.n, int(shard.dead.sum()), size, time.time() - begun, 0.0, False, visits, dists)
                 book = shard.codebook
@@ -464,12 +498,14 @@ class IndexManager:
             number = key[0].as_py()
             return patch(number, right if right.num_rows else None)
 
-        data = placed.filter(F.col("shard").isin(touched)) if touched else placed.limit(0)
+        # under file sharding the other files hold no row of these shards
+        paths = [p for p, f in now.items() if touched and (o.sharding != "file" or f.file_no % o.num_shards in touched)]
+        data = rows_of(paths).filter(F.col("shard").isin(touched)).withColumn("fresh", F.col("file_no").isin(sorted(added)) if added else F.lit(False))
         self.last_results = [r.asDict() for r in keys.groupBy("shard").cogroup(data.groupBy("shard")).applyInArrow(run, _RESULT).collect()]
         new = {r["shard"]: {"shard": r["shard"], "path": r["path"], "n": r["n"], "dead": r["dead"], "bytes": r["bytes"], "blob": 0} for r in self.last_results}
         index.shards = [{**old, **new}[s] for s in sorted({**old, **new})]
-        index.covered = {p: f.file_no for p, f in now.items()}
-        return self._commit(index, snap)
+        known, index.covered = index.covered, {p: f.file_no for p, f in now.items()}
+        return self._commit(index, snap, known)
 
     def _losing(self, index: Index, removed: list[int]) -> set[int]:
         if not removed:
@@ -528,6 +564,24 @@ def cached_shard(path: str, blob: int) -> blobs.Shard:
     return shard
 
 
+_CENTROIDS: dict[str, dict] = {}
+CENTROID_BYTES = 256 << 20
+
+
+def cached_centroids(path: str) -> dict:
+    """Decoded file centroids of a root container, by its path as containers never change; the oldest go when the sum of
+    vector bytes passes CENTROID_BYTES."""
+    if path in _CENTROIDS:
+        HITS["hit"] += 1
+        return _CENTROIDS[path]
+    HITS["miss"] += 1
+    c = blobs.decode_centroids(read_blob(path, read_footer(path).first(CENTROIDS)))
+    while _CENTROIDS and sum(x["centroid"].nbytes for x in _CENTROIDS.values()) + c["centroid"].nbytes > CENTROID_BYTES:
+        _CENTROIDS.pop(next(iter(_CENTROIDS)))
+    _CENTROIDS[path] = c
+    return c
+
+
 def neighbour_table(shard: blobs.Shard) -> np.ndarray:
     return G._as_table(shard.neighbours, max([shard.params.get("R", 1), *(len(v) for v in shard.neighbours)]) if shard.n else 1)
 

@@ -63,6 +63,9 @@ class AnnSession:
             if m := re.fullmatch(r"(?i)\s*(REFRESH|REBUILD)\s+INDEX\s+(\w+)\s+ON\s+(?:TABLE\s+)?(\w+)\s*;?\s*", text):
                 self.indexes(m[3]).refresh(m[2], rebuild_all=m[1].upper() == "REBUILD")
                 return row(m[2], m[1].lower() + "ed" if m[1].upper() != "REBUILD" else "rebuilt")
+            if m := re.fullmatch(r"(?i)\s*REBUILD\s+INDEX\s+(\w+)\s+ON\s+(?:TABLE\s+)?(\w+)\s+SHARD\s+(\d+)\s*;?\s*", text):
+                self.indexes(m[2]).rebuild_shard(m[1], int(m[3]))
+                return row(m[1], "rebuilt")
             if m := re.fullmatch(r"(?i)\s*SHOW\s+INDEXES\s+(?:ON|IN|FROM)\s+(\w+)\s*;?\s*", text):
                 return self.spark.createDataFrame([(n, "bound") for n in self.indexes(m[1]).list()], "index string, state string")
             if word != "REFRESH" or re.match(r"(?i)\s*REFRESH\s+INDEX", text):

@@ -65,6 +65,13 @@ def listing(folder: str) -> list[tuple[str, int, float]]:
     return sorted((x.base_name, x.size, x.mtime.timestamp()) for x in found if x.type == pafs.FileType.File)
 
 
+def walk(folder: str) -> list[tuple[str, float]]:
+    """(path below the folder, seconds since the epoch) of all objects at any depth."""
+    fs, p = resolve(folder)
+    found = fs.get_file_info(pafs.FileSelector(p, recursive=True, allow_not_found=True))
+    return sorted((x.path[len(p.rstrip("/")) + 1 :], x.mtime.timestamp()) for x in found if x.type == pafs.FileType.File)
+
+
 def delete(path: str) -> None:
     fs, p = resolve(path)
     fs.delete_file(p)

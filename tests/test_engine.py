@@ -10,7 +10,7 @@ from sidecar_ann.errors import BadParameter, CommitConflict, CorruptContainer, S
 from sidecar_ann.functions import distance as D
 from sidecar_ann.functions import graph as G
 from sidecar_ann.functions import quantize as Q
-from sidecar_ann.operators.centroids import CentroidProbe
+from sidecar_ann.operators.centroids import CentroidProbe, centroids_of
 from sidecar_ann.operators.exact import exact_batch_topk, exact_topk
 from sidecar_ann.operators.index import IndexManager, IndexOptions, plan_shards
 from sidecar_ann.plans import cost
@@ -180,6 +180,72 @@ def test_index_through_its_life(spark, rows, tmp_path):
     assert not set(t.log.orphans()) & before
 
 
+def test_upkeep_reads_only_what_changed(spark, rows, tmp_path):
+    t = make(spark, rows.filter("vec_id < 120"), tmp_path)
+    m = IndexManager(t)
+    m.create("ix", "v", R=8, L=16, num_shards=3, pq_nbits=3, cells=4)
+    assert m.last_centroid_files == [f.file_no for f in t.log.files(t.log.current())]
+    before = m.centroids("ix")
+    t.remove_files([1])
+    new = {f.file_no for f in t.log.files(t.append(rows.filter("vec_id >= 120")))} - set(before.file_no.tolist())
+    m.refresh("ix")
+    assert set(m.last_centroid_files) == new
+    after, snap = m.centroids("ix"), t.log.current()
+    whole = {c["file_no"]: c for c in centroids_of(t, snap, "v", after.centroid.shape[1])}
+    assert after.file_no.tolist() == sorted(whole)
+    for n, c, r in zip(after.file_no, after.centroid, after.radius):
+        assert np.allclose(c, whole[n]["centroid"], atol=1e-6) and whole[n]["radius"] <= r < whole[n]["radius"] + 1e-5
+    kept = np.isin(before.file_no, after.file_no)
+    assert (before.radius[kept] == after.radius[np.isin(after.file_no, before.file_no)]).all()  # taken over, not widened
+
+
+def test_rebuild_of_one_shard(spark, rows, tmp_path):
+    t = make(spark, rows, tmp_path)
+    m = IndexManager(t)
+    m.create("ix", "v", R=8, L=16, num_shards=3, pq_nbits=3, cells=4)
+    t.remove_files([0])
+    m.refresh("ix")
+    dead = {s["shard"]: s["dead"] for s in m.open("ix").shards}
+    paths = {s["shard"]: s["path"] for s in m.open("ix").shards}
+    assert all(dead.values())
+    m.rebuild_shard("ix", 1)
+    now = {s["shard"]: s for s in m.open("ix").shards}
+    assert now[1]["dead"] == 0 and all(now[s]["path"] == paths[s] and now[s]["dead"] == dead[s] for s in (0, 2))
+    m.maintain("ix", 0.0)
+    assert sum(s["dead"] for s in m.open("ix").shards) == 0 and m.describe("ix")["rows"] == rows.filter("vec_id >= 20").count()
+    qs = rows.filter("vec_id % 30 = 0").select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
+    wide = {"L": 10_000, "shard_oversample": 10_000, "rerank_oversample": 10_000}
+    assert found(m.search("ix", qs, 5, stale="error", **wide)) == found(exact_batch_topk(rows.filter("vec_id >= 20"), qs, 5))
+    with pytest.raises(BadParameter):
+        m.rebuild_shard("ix", 9)
+
+
+def test_orphans_are_removed_after_the_grace_age(spark, rows, tmp_path):
+    t = make(spark, rows, tmp_path)
+    m = IndexManager(t)
+    m.create("ix", "v", R=8, L=16, num_shards=3, pq_nbits=3, cells=4)
+    t.overwrite(rows.filter("vec_id % 2 = 0"), 2)
+    m.refresh("ix", rebuild_all=True)
+    assert t.log.unreferenced(0) == []  # every version is kept still
+    t.log.expire(1)
+    assert t.log.remove_orphans(dry_run=False) == []  # too young
+    found_now = t.log.remove_orphans(0)
+    assert {n.split("/")[0] for n in found_now} == {"data", "index", "manifests"}
+    assert t.log.remove_orphans(0, dry_run=False) == found_now and t.log.unreferenced(0) == []
+    assert t.df().count() == rows.filter("vec_id % 2 = 0").count()
+    qs = rows.filter("vec_id = 60").select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
+    assert m.search("ix", qs, 3, stale="error").count() == 3
+
+
+def test_statement_rebuilds_a_shard(spark, rows, tmp_path):
+    s = AnnSession(spark, str(tmp_path))
+    s.create_table("t", rows, "vec_id", files=8)
+    s.sql("CREATE INDEX a ON TABLE t USING vamana (v) OPTIONS (R='6', L='12', num_shards='2', pq_nbits='3')")
+    s.table("t").remove_files([0])
+    assert s.sql("REBUILD INDEX a ON t SHARD 1").first()["state"] == "rebuilt"
+    assert [x["dead"] > 0 for x in s.indexes("t").open("a").shards] == [True, False]
+
+
 @pytest.mark.parametrize("metric", ["cosine", "ip", "l2sq"])
 def test_other_metrics(spark, rows, tmp_path, metric):
     t = make(spark, rows, tmp_path)

@@ -3,8 +3,7 @@
 Build: a hashed sample trains the codebooks; every row's shard follows from its id, file or nearest cell; each shard is
 built by one task, which writes its own object and returns one row; the root container holds routing and file centroids
 and is bound by a metadata-only commit. Probe: every (shard, block of queries) is a task that emits at most K times the
-oversampling; candidates are merged by approximate distance, reranked exactly on the rows of the touched files only, and
-cut to K. Refresh: the manifest difference since the base snapshot names added and removed files; only shards that they
+oversampling; candidates are merged by approximate distance, reranked exactly on the row groups that hold them, and cut to K. Refresh: the manifest difference since the base snapshot names added and removed files; only shards that they
 touch are rewritten; removed rows become tombstones; a shard with too many is rebuilt. File centroids of unchanged files are
 taken over from the index before."""
 
@@ -18,6 +17,7 @@ from dataclasses import asdict, dataclass, replace
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.parquet as pq
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -327,16 +327,61 @@ class IndexManager:
         rank = F.row_number().over(Window.partitionBy("qid").orderBy("approx", "vec_id"))
         return candidates.withColumn("_r", rank).filter(F.col("_r") <= k * oversample).drop("_r")
 
+    def _touched(self, snap: Snapshot, candidates: DataFrame) -> DataFrame:
+        """path, rows: the places of candidates in each file that the snapshot has; one row a file, dealt by file."""
+        live = self.spark.createDataFrame([(f.file_no, f.path) for f in self.table.log.files(snap)], "file_no int, path string")
+        rows = candidates.groupBy("file_no").agg(F.sort_array(F.collect_set("row_offset")).alias("rows"))
+        # a width of its own, which adaptive execution does not coalesce: the rows are small, the reads behind them are not
+        return rows.join(live, "file_no").repartition(int(self.spark.conf.get("spark.sql.shuffle.partitions")), "file_no").select("file_no", "path", "rows")
+
+    def row_group_masks(self, snap: Snapshot, candidates: DataFrame) -> DataFrame:
+        """file_no, row_group, rows (places within the group) that hold candidates (file_no, row_offset); only footers are
+        read. Places beyond a file's end are in no mask."""
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                for number, path, rows in zip(*(b.column(i).to_pylist() for i in range(3))):
+                    with store.opened(path) as f:
+                        found = group_masks(pq.ParquetFile(f).metadata, np.array(rows, np.int64))
+                    yield pa.RecordBatch.from_arrays([pa.array([number] * len(found), pa.int32()), pa.array([g for g, _ in found], pa.int32()), pa.array([at for _, at in found], pa.list_(pa.int64()))], ["file_no", "row_group", "rows"])
+
+        return self._touched(snap, candidates).mapInArrow(run, "file_no int, row_group int, rows array<long>")
+
+    def fetch(self, index: Index, snap: Snapshot, candidates: DataFrame) -> DataFrame:
+        """file_no, row_offset, vec_id, v of the candidates: of the touched files only the row groups with a mask are read,
+        two columns of them, one group at a time."""
+        key, column = snap.id_column, index.column
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                for number, path, rows in zip(*(b.column(i).to_pylist() for i in range(3))):
+                    with store.opened(path) as f:
+                        file = pq.ParquetFile(f)
+                        starts = group_starts(file.metadata)
+                        for g, at in group_masks(file.metadata, np.array(rows, np.int64)):
+                            got = file.read_row_group(g, columns=[key, column]).take(pa.array(at)).combine_chunks()
+                            ids, v = (got.column(c).combine_chunks() for c in (key, column))
+                            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), number), pa.int32()), pa.array(at + starts[g]), ids.cast(pa.int64()), v.cast(pa.list_(pa.float64()))], ["file_no", "row_offset", "vec_id", "v"])
+
+        return self._touched(snap, candidates).mapInArrow(run, "file_no int, row_offset long, vec_id long, v array<double>")
+
     def rerank(self, index: Index, snap: Snapshot, candidates: DataFrame, queries: DataFrame, where: Column | None = None) -> DataFrame:
-        """qid, vec_id, distance: exact, on the rows of files that hold candidates (whole files are read); candidates in
-        files that the snapshot no longer has fall away in the join."""
+        """qid, vec_id, distance: exact. Candidates with a row_offset are read by row-group masks; under a filter, which may
+        need any column, and without offsets whole files are scanned. Candidates in files that the snapshot no longer has
+        fall away in the join."""
+        d = D.metric(index.options.metric)(F.col("v"), F.col("qv"))
+        asked = queries.select("qid", "qv")
+        if where is None and "row_offset" in candidates.columns:
+            # with the id, as two files of one number would share offsets
+            place = ["file_no", "row_offset", "vec_id"]
+            found = candidates.select("qid", *place).join(self.fetch(index, snap, candidates), place)
+            return found.join(asked, "qid").select("qid", "vec_id", d.alias("distance"))
         numbers = {r[0] for r in candidates.select("file_no").distinct().collect()}
         live = [f for f in self.table.log.files(snap) if f.file_no in numbers]
         own = self.table.read_files(snap, [f.path for f in live])
         own = own if where is None else own.filter(where)
         rows = own.select(F.col(snap.id_column).cast("long").alias("vec_id"), F.col(index.column).alias("v"))
-        d = D.metric(index.options.metric)(F.col("v"), F.col("qv"))
-        return candidates.select("qid", "vec_id").join(rows, "vec_id").join(queries.select("qid", "qv"), "qid").select("qid", "vec_id", d.alias("distance"))
+        return candidates.select("qid", "vec_id").join(rows, "vec_id").join(asked, "qid").select("qid", "vec_id", d.alias("distance"))
 
     def search(self, name: str, queries: DataFrame, k: int, L: int | None = None, shard_oversample: int = 4, rerank_oversample: int = 4, nprobe_shards: int | None = None, stale: str = "hybrid", where: Column | None = None, filter_mode: str = "pre", version: int | None = None, distance: str = "pq") -> DataFrame:
         """qid, vec_id, distance, rank. Distances are exact; ids are the true ones up to recall, and exact for an
@@ -353,7 +398,7 @@ class IndexManager:
             return exact_batch_topk(rows(list(now.values())), queries, k, metric=index.options.metric).select("qid", "vec_id", "distance", "rank")
         cand = self.stage_a(index, queries, k, L or index.options.L, shard_oversample, nprobe_shards, distance, removed)
         # stage A runs once: the rerank reads its candidates from a table
-        merged = self._kept(self.merge(cand, k, rerank_oversample).select("qid", "vec_id", "file_no"))
+        merged = self._kept(self.merge(cand, k, rerank_oversample).select("qid", "vec_id", "file_no", "row_offset"))
         exact = self.rerank(index, snap, merged, queries, where)
         if added:
             exact = exact.unionByName(exact_batch_topk(rows(added), queries, k, metric=index.options.metric).select("qid", "vec_id", "distance"))
@@ -408,6 +453,39 @@ class IndexManager:
         self.last_metrics = {"files": min(done, len(order)) + len(added)}
         return self.spark.createDataFrame([(i, d) for d, i in best], "vec_id long, distance double")
 
+    def search_centroid_batch(self, name: str, queries: DataFrame, k: int, nprobe: int, version: int | None = None) -> DataFrame:
+        """qid, vec_id, distance, rank of a set of queries: each looks at the rows of its nprobe nearest files and of the
+        files that the index does not cover. One pass over the files that any query needs."""
+        snap, index = self.table.log.at(version), self.open(name, version)
+        files = {f.file_no: f for f in self.table.log.files(snap)}
+        pairs = self.probed_files(name, queries, nprobe, version)
+        wanted = {r[0] for r in pairs.select("file_no").distinct().collect()}
+        rows = self._rows(snap, index.column, [f.path for n, f in sorted(files.items()) if n in wanted])
+        d = D.metric(index.options.metric)(F.col("v"), F.col("qv")).alias("distance")
+        near = rows.join(pairs, "file_no").select("qid", "vec_id", d).filter("distance is not null")
+        return top_per_query(near, k).select("qid", "vec_id", "distance", "rank")
+
+    def probed_files(self, name: str, queries: DataFrame, nprobe: int, version: int | None = None) -> DataFrame:
+        """qid, qv, file_no: the files that `search_centroid_batch` scans for each query."""
+        snap, index = self.table.log.at(version), self.open(name, version)
+        there = {f.file_no: f for f in self.table.log.files(snap)}
+        added = [n for n, f in there.items() if f.path not in index.covered]
+        probe = self.centroids(name, version)
+        near = np.isin(probe.file_no, list(there))
+        number, centre, metric = probe.file_no[near], probe.centroid[near], index.options.metric
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if not b.num_rows:
+                    continue
+                far = D.block_distances(centre, vectors_of(b.column(1)).astype(np.float64), metric)
+                order = np.argsort(far, axis=1, kind="stable")[:, :nprobe]
+                chosen = np.concatenate([number[order], np.tile(np.array(added, np.int64), (b.num_rows, 1))], 1)
+                at = np.repeat(np.arange(b.num_rows), chosen.shape[1])
+                yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at)).cast(pa.list_(pa.float64())), pa.array(chosen.ravel(), pa.int32())], ["qid", "qv", "file_no"])
+
+        return queries.select(F.col("qid").cast("long"), F.col("qv").cast("array<double>")).mapInArrow(run, "qid long, qv array<double>, file_no int")
+
     def search_range(self, name: str, q, threshold: float, version: int | None = None) -> DataFrame:
         """All rows at most `threshold` away: files pruned by centroid and radius, the rest scanned."""
         from .exact import exact_range
@@ -541,6 +619,19 @@ class IndexManager:
         return there.mapInArrow(run, "shard int, src long, dst long")
 
 
+def group_starts(meta: pq.FileMetaData) -> np.ndarray:
+    """First row of each row group, and the number of rows at the end."""
+    return np.concatenate([[0], np.cumsum([meta.row_group(g).num_rows for g in range(meta.num_row_groups)])]).astype(np.int64)
+
+
+def group_masks(meta: pq.FileMetaData, rows: np.ndarray) -> list[tuple[int, np.ndarray]]:
+    """(row group, places within it) of rows, given by their place in the file in ascending order."""
+    starts = group_starts(meta)
+    rows = rows[rows < starts[-1]]
+    group = np.searchsorted(starts, rows, "right") - 1
+    return [(int(g), rows[group == g] - starts[g]) for g in np.unique(group)]
+
+
 # ---------------------------------------------------------------- shards held by a worker
 _HELD: dict[tuple[str, int], blobs.Shard] = {}
 _TABLES: dict[int, np.ndarray] = {}

@@ -53,6 +53,12 @@ def get(path: str, offset: int = 0, length: int | None = None) -> bytes:
         return f.read_at(f.size() - offset if length is None else length, offset)
 
 
+def opened(path: str):
+    """The object as a file to be read by range; closed by its `with`."""
+    fs, p = resolve(path)
+    return fs.open_input_file(p)
+
+
 def size(path: str) -> int:
     fs, p = resolve(path)
     return fs.get_file_info(p).size

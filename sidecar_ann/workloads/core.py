@@ -15,12 +15,12 @@ from ..functions import quantize as Q
 from ..operators import baselines as X
 from ..operators import measures as A
 from ..operators.centroids import CentroidProbe, file_centroids, file_radii
-from ..operators.exact import exact_batch_topk, exact_range, exact_topk
-from ..operators.index import IndexManager, cached_shard, plan_shards, sample_rows
+from ..operators.exact import exact_batch_topk, exact_range, exact_topk, top_per_query
+from ..operators.index import HITS, IndexManager, cached_shard, plan_shards, sample_rows
 from ..plans import cost
 from ..plans.session import AnnSession
 from ..sources import blobs, coding, store
-from ..sources.catalog import Change
+from ..sources.catalog import Change, Table
 from ..sources.container import CENTROIDS, GRAPH, ROUTING, Blob, read_blob, read_footer, write_container
 from .registry import EXHAUSTIVE, SMALL, U, UQ, clustered, matrix, no_violations, out_topk, per_file, queries_of, query, read, shared, table_of, topk_sql, uniform, violations, warehouse
 
@@ -727,15 +727,31 @@ def exact_rerank(spark, sf):
     e = uniform(spark, sf)
     each = per_file(spark, sf)
     cand = e.filter("vec_id % 3 = 1").join(F.broadcast(queries_of(e)), F.lit(True)).select("qid", "vec_id", (F.col("vec_id") / each).cast("int").alias("file_no"))
-    from ..operators.exact import top_per_query
-
     return out_topk(top_per_query(m.rerank(m.open("ix"), table.log.current(), cand, queries_of(e)), 6))
 
 
-@query("row_group_masks", "SELECT CAST(vec_id // 25 AS INTEGER) AS file_no, CAST(0 AS INTEGER) AS row_group, list(CAST(vec_id % 25 AS BIGINT) ORDER BY vec_id % 25)::VARCHAR AS rows FROM embeddings WHERE vec_id % 7 = 0 AND vec_id < 500 GROUP BY 1")
+@query("row_group_masks", f"WITH {UQ}, s AS (SELECT CAST(ceil(count(*) / 20.0) AS BIGINT) AS e FROM embeddings), d AS (SELECT vec_id, row_number() OVER (PARTITION BY qid ORDER BY list_distance(v, qv), vec_id) AS rank FROM q, u), c AS (SELECT DISTINCT vec_id FROM d WHERE rank <= 10) SELECT CAST(vec_id // e AS INTEGER) AS file_no, CAST(vec_id % e // 10 AS INTEGER) AS row_group, list(vec_id % e % 10 ORDER BY vec_id)::VARCHAR AS rows FROM c, s GROUP BY 1, 2")
 def row_group_masks(spark, sf):
-    e = uniform(spark, sf).filter("vec_id % 7 = 0 AND vec_id < 500").select((F.col("vec_id") / 25).cast("int").alias("file_no"), F.lit(0).alias("row_group"), (F.col("vec_id") % 25).alias("o"))
-    return e.groupBy("file_no", "row_group").agg(F.sort_array(F.collect_set("o")).cast("string").alias("rows"))
+    """Masks of the ten nearest rows of each query, over files with row groups of ten rows."""
+    e = uniform(spark, sf)
+    table = Table.create(spark, f"{warehouse(spark)}/t", e, "vec_id", 20, file_no=(F.col("vec_id") / per_file(spark, sf)).cast("int"), rows_per_group=10)
+    m, snap = IndexManager(table), table.log.current()
+    rows = m._rows(snap, "v", [f.path for f in table.log.files(snap)])
+    near = exact_batch_topk(e, queries_of(e), 10).select("vec_id").distinct()
+    return m.row_group_masks(snap, rows.join(near, "vec_id", "left_semi")).select("file_no", "row_group", F.col("rows").cast("string").alias("rows"))
+
+
+@query("rerank_from_table", topk_sql(6))
+def rerank_from_table(spark, sf):
+    """Exact distances through row-group masks, over files of several row groups."""
+    e = uniform(spark, sf)
+    table = Table.create(spark, f"{warehouse(spark)}/t", e, "vec_id", 20, file_no=(F.col("vec_id") / per_file(spark, sf)).cast("int"), rows_per_group=10)
+    m = IndexManager(table)
+    index, snap = m.create("ix", "v", **SMALL), table.log.current()
+    qs = queries_of(e)
+    places = m._rows(snap, "v", [f.path for f in table.log.files(snap)]).drop("v")
+    cand = exact_batch_topk(e, qs, 30).select("qid", "vec_id").join(places, "vec_id")
+    return out_topk(top_per_query(m.rerank(index, snap, cand, qs), 6))
 
 
 @query("ann_range_exhaustive", f"{_ONE} SELECT vec_id FROM d WHERE distance <= 1.2")
@@ -969,28 +985,149 @@ def w_truth(spark, sf):
     return exact_batch_topk(e, queries_of(e), 100).select("qid", "vec_id", F.round("distance", 6).alias("distance"))
 
 
-@query("w_table2")
-def w_table2(spark, sf):
-    """Recall at 10 of the three plans (all files, nearest files, sharded graph) on both vector sets."""
-    from ..sources.catalog import Table
+def _table2(spark, rows):
+    """Recall, files and bytes a query at K = 10 and 100: all files, nearest files, sharded graph as it comes. Every fifth
+    row, perturbed, is a query."""
+    t = Table.create(spark, f"{warehouse(spark)}/t", rows.withColumn("a", F.col("vec_id") % 32), "vec_id", 20, cluster_by=["a", "vec_id"])
+    m = IndexManager(t)
+    index = m.create("ix", "v")
+    qs = m._kept(queries_of(rows, 5).withColumn("qv", F.zip_with("qv", F.reverse("qv"), lambda x, y: x.cast("double") + 0.1 * y.cast("double"))))
+    size = {f.file_no: f.bytes for f in t.log.files(t.log.current())}
+    sizes = spark.createDataFrame(list(size.items()), "file_no int, bytes long")
+    n, out = qs.count(), []
+    for k in (10, 100):
+        truth = m._kept(exact_batch_topk(rows, qs, k))
+        out.append((k, "no_index", 1.0, float(len(size)), float(sum(size.values()))))
+        recall = A.recall_at_k(m.search_centroid_batch("ix", qs, k, 4), truth, k).first()[0]
+        read_ = m.probed_files("ix", qs, 4).join(sizes, "file_no").agg(F.count("*"), F.sum("bytes")).first()
+        out.append((k, "file_centroids", recall, read_[0] / n, read_[1] / n))
+        recall = A.recall_at_k(m.search("ix", qs, k), truth, k).first()[0]
+        cand = m.merge(m.stage_a(index, qs, k, index.options.L, 4), k, 4)
+        files = cand.select("qid", "file_no").distinct().count()
+        # codes and links of the shards, whole, and the vectors of the candidates
+        out.append((k, "sharded_graph", recall, files / n, sum(s["bytes"] for s in index.shards) + cand.count() * 4.0 * index.dim / n))
+    return spark.createDataFrame(out, "k int, plan string, recall double, files double, bytes double")
 
-    out = []
-    for name, rows in (("uniform", uniform(spark, sf)), ("clustered_hub", clustered(spark, sf, True))):
-        n = rows.count()
-        t = Table.create(spark, f"{warehouse(spark)}/t", rows.withColumn("a", F.col("vec_id") % 32), "vec_id", 20, cluster_by=["a", "vec_id"])
-        m = IndexManager(t)
-        m.create("ix", "v", **SMALL)
-        qs = queries_of(rows, max(25, n // 8))
-        truth = {(r["qid"], r["vec_id"]) for r in exact_batch_topk(rows, qs, 10).collect()}
-        out.append((name, "no_index", 1.0, 20.0))
-        hit, files = 0, 0
-        for r in qs.collect():
-            hit += sum((r["qid"], x["vec_id"]) in truth for x in m.search_centroid("ix", [float(v) for v in r["qv"]], 10, 4).collect())
-            files += m.last_metrics["files"]
-        out.append((name, "file_centroids", hit / len(truth), files / qs.count()))
-        got = {(r["qid"], r["vec_id"]) for r in m.search("ix", qs, 10, L=40).collect()}
-        out.append((name, "sharded_graph", len(got & truth) / len(truth), float("nan")))
-    return spark.createDataFrame(out, "vectors string, plan string, recall double, files double")
+
+@query("w_table2_uniform")
+def w_table2_uniform(spark, sf):
+    return _table2(spark, uniform(spark, sf))
+
+
+@query("w_table2_clustered")
+def w_table2_clustered(spark, sf):
+    return _table2(spark, clustered(spark, sf, True))
+
+
+@query("centroid_topk_batch", f"WITH {_FILES}, q AS (SELECT vec_id AS qid, v AS qv FROM u WHERE vec_id % 25 = 0), near AS (SELECT * FROM (SELECT qid, qv, file_no, row_number() OVER (PARTITION BY qid ORDER BY list_distance(centroid, qv), file_no) AS p FROM c, q) WHERE p <= 5), d AS (SELECT qid, vec_id, list_distance(v, qv) AS distance FROM f JOIN near USING (file_no)), r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY distance, vec_id) AS rank FROM d) SELECT qid, vec_id, round(distance, 6) AS distance, CAST(rank AS INTEGER) AS rank FROM r WHERE rank <= 10")
+def centroid_topk_batch(spark, sf):
+    return out_topk(shared(spark, sf)[1].search_centroid_batch("ix", queries_of(uniform(spark, sf)), 10, 5))
+
+
+@query("w_threshold_files", f"WITH {_FILES}, q AS (SELECT v AS qv FROM u WHERE vec_id = 7) SELECT t, count(*) FILTER (WHERE greatest(list_distance(centroid, qv) - radius, 0) <= t + 1e-7) AS files FROM c JOIN rad USING (file_no), q, (VALUES (0.05::DOUBLE), (0.2), (1.2)) x(t) GROUP BY t")
+def w_threshold_files(spark, sf):
+    m, q = shared(spark, sf)[1], _seven(spark, sf)
+    return spark.createDataFrame([(t, len(m.centroids("ix").within(q, t))) for t in (0.05, 0.2, 1.2)], "t double, files long")
+
+
+@query("w_knn_group", f"WITH {UQ}, d AS (SELECT qid, vec_id, label, list_distance(v, qv) AS distance FROM q, u), r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY distance, vec_id) AS rank FROM d) SELECT label, count(*) AS n, round(avg(distance), 6) AS mean, round(min(distance), 6) AS least FROM r WHERE rank <= 10 GROUP BY label")
+def w_knn_group(spark, sf):
+    near = _top(spark, sf).join(uniform(spark, sf).select("vec_id", "label"), "vec_id")
+    return near.groupBy("label").agg(F.count("*").alias("n"), F.round(F.avg("distance"), 6).alias("mean"), F.round(F.min("distance"), 6).alias("least"))
+
+
+@query("w_centroid_blob", no_violations("raw size by the formula", "compressed is smaller", "centroids come back"))
+def w_centroid_blob(spark, sf):
+    """The centroid blob of ten thousand files of the paper's width: raw and compressed size, and a round trip."""
+    n, d = 10_000, 768
+    centre = np.random.default_rng(0).standard_normal((n, d)).astype(np.float32)
+    raw = blobs.encode_centroids([f"data/f{i}.parquet" for i in range(n)], np.arange(n), centre, np.ones(n), "l2")
+    path = f"{warehouse(spark)}/centroids.side"
+    write_container(path, [Blob(CENTROIDS, raw, [1], 1, {}, "zstd")], {})
+    meta = read_footer(path).first(CENTROIDS)
+    back = blobs.decode_centroids(read_blob(path, meta))
+    least = int(cost.size_model(cost.Scale())["file_centroids"])
+    return violations(spark, **{"raw size by the formula": not least <= len(raw) <= least + 64 * n, "compressed is smaller": meta.length >= meta.raw_length, "centroids come back": not np.array_equal(back["centroid"].astype(np.float32), centre)})
+
+
+@query("insert_recall", no_violations("recall after inserts under 0.9", "refresh takes over what is there"))
+def insert_recall(spark, sf):
+    """A tenth of the files is appended and taken in by a refresh; recall by the options as they come."""
+    each, e = per_file(spark, sf), uniform(spark, sf)
+    table = table_of(spark, sf, f"vec_id < {18 * each}", 18, each)
+    m = IndexManager(table)
+    m.create("ix", "v")
+    table.append(e.filter(f"vec_id >= {18 * each}"), 2, file_no=(F.col("vec_id") / each).cast("int"))
+    m.refresh("ix")
+    recall = A.recall_at_k(m.search("ix", queries_of(e), 10, stale="error"), exact_batch_topk(e, queries_of(e), 10), 10).first()[0]
+    return violations(spark, **{"recall after inserts under 0.9": recall < 0.9, "refresh takes over what is there": any(r["rebuilt"] for r in m.last_results)})
+
+
+@query("recall_vs_tombstones", no_violations("recall under 0.9 at one file", "recall under 0.9 at two", "recall under 0.9 at three"))
+def recall_vs_tombstones(spark, sf):
+    """Recall as tombstones grow to 15 %, below the limit of a rebuild: the beam widens with them."""
+    each, e = per_file(spark, sf), uniform(spark, sf)
+    table = table_of(spark, sf, per_file=each)
+    m = IndexManager(table)
+    m.create("ix", "v")
+    low = []
+    for i in range(3):
+        table.remove_files([i])
+        m.refresh("ix")
+        live = e.filter(F.col("vec_id") >= (i + 1) * each)
+        low.append(A.recall_at_k(m.search("ix", queries_of(e), 10), exact_batch_topk(live, queries_of(e), 10), 10).first()[0] < 0.9)
+    return violations(spark, **dict(zip(("recall under 0.9 at one file", "recall under 0.9 at two", "recall under 0.9 at three"), low)))
+
+
+@query("refresh_commit", "SELECT * FROM (VALUES (1, 'create', 0), (2, 'replace', 1), (3, 'append', 1), (4, 'replace', 2)) x(version, operation, containers)")
+def refresh_commit(spark, sf):
+    """A refresh writes a new root container under a metadata-only commit; the version before keeps its own."""
+    table, m, _ = _history(spark, sf)
+    m.refresh("ix")
+    seen, out = set(), []
+    for v in table.log.versions():
+        snap = table.log.snapshot(v)
+        seen |= {x["path"] for x in snap.indexes.values()}
+        out.append((v, snap.operation, len(seen)))
+    return spark.createDataFrame(out, "version int, operation string, containers int")
+
+
+@query("blob_properties", "SELECT 'vector-centroids-v1' AS type, '64' AS dim, 'l2' AS metric, count(*)::VARCHAR AS n, CAST(1 AS BIGINT) AS snapshot FROM embeddings UNION ALL SELECT 'vector-routing-v1', '64', 'l2', count(*)::VARCHAR, 1 FROM embeddings")
+def blob_properties(spark, sf):
+    index = shared(spark, sf)[1].open("ix")
+    found = read_footer(f"{index.root}/{index.path}").blobs
+    return spark.createDataFrame([(b.type, b.properties["dim"], b.properties["metric"], b.properties["n"], b.snapshot_id) for b in found], "type string, dim string, metric string, n string, snapshot long")
+
+
+@query("cache_hits", no_violations("second read misses", "another object"))
+def cache_hits(spark, sf):
+    """A shard is decoded once a process: the second look-up gives the same object."""
+    index = shared(spark, sf)[1].open("ix")
+    first = index.shards[0]
+    one = cached_shard(f"{index.root}/{first['path']}", first["blob"])
+    before = dict(HITS)
+    two = cached_shard(f"{index.root}/{first['path']}", first["blob"])
+    return violations(spark, **{"second read misses": HITS["miss"] != before["miss"] or HITS["hit"] != before["hit"] + 1, "another object": one is not two})
+
+
+@query("visits_bound", no_violations("visits beyond the shard", "distances beyond the degree"))
+def visits_bound(spark, sf):
+    """Nodes visited are at most a shard's, and each visit measures at most the widest degree, besides the entries."""
+    m = shared(spark, sf)[1]
+    index = m.open("ix")
+    got = m.stage_a(index, queries_of(uniform(spark, sf)), 10, 24, 4).cache()
+    wide = max(max(len(v) for v in cached_shard(f"{index.root}/{s['path']}", s["blob"]).neighbours) for s in index.shards)
+    n = max(s["n"] for s in index.shards)
+    return violations(spark, **{"visits beyond the shard": got.filter(F.col("visited") > n).count(), "distances beyond the degree": got.filter(F.col("distances") > F.col("visited") * wide + 64).count()})
+
+
+@query("range_subset_of_exact", no_violations("rows beyond the threshold", "rows of the graph that exact search lacks"))
+def range_subset_of_exact(spark, sf):
+    """A range answered through the graph, by the options as they come, is a part of the exact one."""
+    q = _seven(spark, sf)
+    got = shared(spark, sf)[1].search("ix", spark.createDataFrame([(7, q)], "qid long, qv array<double>"), 50).filter("distance <= 1.2")
+    exact = exact_range(uniform(spark, sf), q, 1.2).select("vec_id")
+    return violations(spark, **{"rows beyond the threshold": got.filter("distance > 1.2").count(), "rows of the graph that exact search lacks": got.join(exact, "vec_id", "left_anti").count()})
 
 
 @query("w_oversample", no_violations("recall falls as oversampling grows"))
@@ -1097,25 +1234,6 @@ _TEXT_VEC = """w AS (SELECT doc_id, unnest(list_filter(regexp_split_to_array(low
  c AS (SELECT doc_id, h % 64 AS i, sum(CASE WHEN (h // 64) % 2 = 0 THEN 1 ELSE -1 END)::DOUBLE AS x FROM s GROUP BY 1, 2), n AS (SELECT doc_id, sqrt(sum(x * x)) AS n FROM c GROUP BY doc_id)"""
 
 
-@query("w_doc_retrieval", f"WITH docs AS (SELECT doc_id, text FROM documents WHERE n_chars < 4000), {_TEXT_VEC}, q AS (SELECT * FROM c WHERE doc_id % 97 = 0), p AS (SELECT q.doc_id AS qid, c.doc_id AS vec_id, sum(q.x * c.x) AS ip FROM q JOIN c ON c.i = q.i GROUP BY 1, 2), d AS (SELECT qid, vec_id, 1 - ip / (a.n * b.n) AS distance FROM p JOIN n a ON a.doc_id = qid JOIN n b ON b.doc_id = vec_id) SELECT qid, count(*) FILTER (WHERE distance < 0.05) AS near FROM d GROUP BY qid")
-def w_doc_retrieval(spark, sf):
-    """Near copies of texts as neighbours: hashed word vectors, cosine, native blocks of a stated query set. Texts under 4000
-    characters only; w_doc_retrieval_whole takes all."""
-    from ..functions.udfs import hash_text_vector
-
-    docs = read(spark, sf, "documents").filter("n_chars < 4000").select(F.col("doc_id").alias("vec_id"), hash_text_vector(F.col("text")).alias("v"))
-    qs = docs.filter("vec_id % 97 = 0").select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
-    near = exact_batch_topk(docs, qs, docs.count(), metric="cosine")
-    return near.groupBy("qid").agg(F.count(F.when(F.col("distance") < 0.05, 1)).alias("near"))
-
-
-@query("w_benchmark_overlap", "WITH b AS (SELECT item_id, substr(text, 1, 60) AS head FROM benchmark WHERE length(text) >= 60) SELECT item_id, count(*) AS documents FROM b JOIN documents ON contains(text, head) GROUP BY item_id")
-def w_benchmark_overlap(spark, sf):
-    """Benchmark items whose first 60 characters stand in a document: heads only; w_benchmark_overlap_whole compares all."""
-    b = read(spark, sf, "benchmark").filter(F.length("text") >= 60).select("item_id", F.substring("text", 1, 60).alias("head"))
-    return read(spark, sf, "documents").join(F.broadcast(b), F.col("text").contains(F.col("head"))).groupBy("item_id").agg(F.count("*").alias("documents"))
-
-
 @query("w_doc_retrieval_whole", f"WITH docs AS (SELECT doc_id, text FROM documents), {_TEXT_VEC}, q AS (SELECT * FROM c WHERE doc_id % 50 = 0), p AS (SELECT q.doc_id AS qid, c.doc_id AS vec_id, sum(q.x * c.x) AS ip FROM q JOIN c ON c.i = q.i GROUP BY 1, 2), d AS (SELECT qid, vec_id, 1 - ip / (a.n * b.n) AS distance FROM p JOIN n a ON a.doc_id = qid JOIN n b ON b.doc_id = vec_id) SELECT qid, count(*) FILTER (WHERE distance < 0.05) AS near FROM d GROUP BY qid")
 def w_doc_retrieval_whole(spark, sf):
     """Near copies of every fiftieth text among texts of any length; only counts leave a task."""

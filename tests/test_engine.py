@@ -364,3 +364,29 @@ def test_published_arithmetic():
 def test_scan_reads_only_what_it_needs(spark, sf):
     plan = spark.read.parquet(f"{sf}/embeddings.parquet").filter("vec_id < 5").select("embedding")._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(vec_id), LessThan(vec_id,5)]" in plan and "label" not in plan.split("ReadSchema")[1]
+
+
+def test_row_group_masks_and_fetch(spark, tmp_path):
+    """Masks of places in files of several row groups; places beyond the end and removed files are in none."""
+    rows = spark.range(100).select(F.col("id").alias("vec_id"), F.array(*[(F.col("id") + i).cast("float") for i in range(4)]).alias("v"))
+    table = Table.create(spark, str(tmp_path / "t"), rows, "vec_id", 4, file_no=(F.col("vec_id") / 25).cast("int"), rows_per_group=10)
+    m, snap = IndexManager(table), table.log.current()
+    index = m.create("ix", "v", pq_m=4, pq_nbits=2, R=4, L=8)
+    places = [(0, 3), (0, 9), (0, 10), (1, 24), (3, 99), (7, 0)]
+    cand = spark.createDataFrame(places, "file_no int, row_offset long")
+    got = {(r["file_no"], r["row_group"]): r["rows"] for r in m.row_group_masks(snap, cand).collect()}
+    assert got == {(0, 0): [3, 9], (0, 1): [0], (1, 2): [4]}
+    fetched = sorted((r["vec_id"], r["file_no"], r["row_offset"], r["v"][0]) for r in m.fetch(index, snap, cand).collect())
+    assert fetched == [(3, 0, 3, 3.0), (9, 0, 9, 9.0), (10, 0, 10, 10.0), (49, 1, 24, 49.0)]
+    assert m.row_group_masks(snap, cand.limit(0)).count() == 0
+
+
+def test_centroid_batch_sees_files_the_index_lacks(spark, tmp_path):
+    rows = spark.range(100).select(F.col("id").alias("vec_id"), F.array(*[(F.col("id") + i).cast("float") for i in range(4)]).alias("v"))
+    table = Table.create(spark, str(tmp_path / "t"), rows.filter("vec_id < 75"), "vec_id", 3, file_no=(F.col("vec_id") / 25).cast("int"))
+    m = IndexManager(table)
+    m.create("ix", "v", pq_m=4, pq_nbits=2, R=4, L=8)
+    table.append(rows.filter("vec_id >= 75"))
+    qs = rows.filter("vec_id in (5, 90)").select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
+    got = {r["qid"]: r["vec_id"] for r in m.search_centroid_batch("ix", qs, 1, 1).collect()}
+    assert got == {5: 5, 90: 90}

@@ -17,7 +17,7 @@ def test_keys():
     assert len(entry.queries()) > 120
 
 
-@pytest.mark.parametrize("name", ["dist_l2", "exact_topk", "file_radius", "centroid_topk", "kmeans_one_step", "pq_encode", "graph_reachable", "ann_exhaustive_topk", "snapshot_diff", "rel_cube", "rel_asof_join", "stream_session"])
+@pytest.mark.parametrize("name", ["dist_l2", "exact_topk", "file_radius", "centroid_topk", "kmeans_one_step", "pq_encode", "graph_reachable", "ann_exhaustive_topk", "snapshot_diff", "rel_cube", "rel_asof_join_whole", "stream_session"])
 def test_against_sql(spark, sf, name):
     got = entry.queries()[name](spark, sf).toPandas()
     con = duckdb.connect()

@@ -177,24 +177,26 @@ def forest_nodes(keyed: DataFrame, trees: int, threshold: float, recall: float,
     return narrow, crowded.join(wide, "node").select("node", "rep", "low")
 
 
+def _stars(edges: DataFrame) -> bool:
+    """Whether edges (u, v), distinct and with u > v, are stars around their least nodes: no node has two parents, or a parent
+    and a child."""
+    side = lambda node, child: edges.select(F.col(node).alias("node"), F.lit(child).alias("child"))
+    nodes = side("u", 1).unionByName(side("v", 0)).groupBy("node").agg(F.sum("child").alias("parents"), F.min("child").alias("least"))
+    return nodes.filter("parents > 1 or (parents > 0 and least = 0)").agg(F.count("*")).first()[0] == 0
+
+
 def components(edges: DataFrame, label: str = "component") -> DataFrame:
-    """node, root (its component's smallest node) of every node of edges (u, v). Stars are contracted in rounds until
-    nothing moves; each round is a written table."""
+    """node, root (its component's smallest node) of every node of edges (u, v) that is not itself the root. Stars are
+    contracted in rounds until nothing but stars is left; each round is a written table."""
     now = stage(edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).filter("u <> v").distinct(), label)
-    if now.isEmpty():
-        return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
-    state = None
-    while True:
+    while not _stars(now):
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = stage(both.filter("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct(), label)
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").unionByName(low.select("u", F.col("m").alias("v"))).distinct()
         now = stage(small, label)
-        sums = now.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")).first()
-        if sums == state:
-            return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
-        state = sums
+    return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
 def _sets(docs: DataFrame, wanted: DataFrame) -> DataFrame:

@@ -149,6 +149,23 @@ def test_prefixes_are_shortened_only_as_far_as_needed(spark):
     assert {r for r, _ in wide} == set(range(10)) and {low for _, low in wide} == {0}
 
 
+@pytest.mark.parametrize("edges", [[], [(3, 1), (7, 1), (9, 8)], [(i, i + 1) for i in range(40)], [(5, 9), (9, 2), (2, 5), (4, 4), (11, 30), (30, 12)]])
+def test_components_are_those_of_union_find(spark, edges):
+    root: dict[int, int] = {}
+
+    def find(x):
+        while root.setdefault(x, x) != x:
+            x = root[x]
+        return x
+
+    for u, v in edges:
+        a, b = find(u), find(v)
+        root[max(a, b)] = min(a, b)
+    want = {x: find(x) for x in root if find(x) != x}
+    got = neardup.components(spark.createDataFrame(edges, "u long, v long")).collect()
+    assert {r["node"]: r["root"] for r in got} == want and len(got) == len(want)
+
+
 def test_near_duplicates_of_repeated_ids(spark):
     text = " ".join(f"w{i}" for i in range(60))
     rows = [(1 << 60, text, 1), (1 << 60, text, 2), (None, text + " x", 3), (None, "other words stand here alone now", 4), (None, None, 5), (-(1 << 61), "", 6)]

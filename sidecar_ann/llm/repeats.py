@@ -13,7 +13,8 @@ each run, and the places where neighbouring suffixes agree in fewer than LENGTH
 through the runs from its end to its start; the row of each window among those places gives its matching statistic
 capped at LENGTH (does it stand elsewhere, too?) and a name for the string, under which the earliest place is found. All
 other places are marked. For a phrase with no rival, all places but the first are marked at once, since the index of a
-single phrase would say no more.
+single phrase would say no more. The phrases of a minimiser inside a line that very many documents share, with other
+text around it, are split once more before they are dealt out (`split_crowded`).
 
 Texts are UTF-8 bytes, null is empty. Rows of equal doc_id are ordered by text, so of repeated rows one keeps its
 bytes. A null doc_id comes first. Texts shorter than LENGTH have no
@@ -26,17 +27,25 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BYTE_CODES, MIX, MIX2, mix64, partitions, per_batch, pieces, stage, text_bytes
+from .common import BYTE_CODES, MIX, MIX2, give_back, mix64, own_worker, partitions, per_batch, pieces, span_hashes, stage, text_bytes
 
 LENGTH, GRAM = 100, 32
 #: Most windows of a phrase; longer runs of one minimiser (periodic text) are cut.
 PHRASE = 128
-
-#: A place of a phrase: minimiser, content, document, start, number of windows, whether it repeats a window itself.
+#: Places that a task gathers before it deals them out (31 bytes each, about three times that while they are sorted).
+HELD = 1 << 19
+#: Phrases that one minimiser may bring to one bucket whole (about 0.3 MB); of more, each is split and dealt out anew.
+CROWD = 2000
+STEP = 18
+
+#: A place of a phrase: minimiser, content, document, start, number of windows, whether it repeats a window itself
+#: (1; CROWDED is added where its minimiser has very many phrases).
 PLACE = np.dtype([("gram", "<u8"), ("text", "<u8"), ("doc", "<i8"), ("start", "<u4"), ("n", "<u2"), ("self", "u1")])
+CROWDED = 2
 MARK = np.dtype([("doc", "<i8"), ("start", "<u4"), ("n", "<u2")])
 
 
@@ -133,15 +142,31 @@ def _marks(p: np.ndarray) -> np.ndarray:
     return out
 
 
-def _rows(kind: int, bucket: np.ndarray, rows: np.ndarray) -> tuple[list, list, list]:
+def _cuts(bucket: np.ndarray) -> np.ndarray:
+    """Where each run of equal buckets begins, and the end."""
+    return np.concatenate([np.flatnonzero(np.diff(bucket, prepend=-1)), [len(bucket)]])
+
+
+def _binary(data: np.ndarray, ends: np.ndarray) -> pa.Array:
+    """Bytes cut at `ends` (the first is 0), as they lie in memory: blobs grow in number with the square of the table, so
+    none may cost a step of Python."""
+    return pa.Array.from_buffers(pa.binary(), len(ends) - 1, [None, pa.py_buffer(ends.astype(np.int32)), pa.py_buffer(data)])
+
+
+def _joined(column: pa.ChunkedArray, kind: np.dtype) -> np.ndarray:
+    """The rows in all blobs of a column, in order."""
+    parts = [text_bytes(c)[0] for c in column.chunks if len(c)]
+    return (np.concatenate(parts) if parts else np.zeros(0, np.uint8)).view(kind)
+
+
+def _blobs(kind: int, bucket: np.ndarray, rows: np.ndarray) -> pa.RecordBatch:
     """One blob for each bucket."""
-    if not len(rows):
-        return [], [], []
     order = np.argsort(bucket, kind="stable")
     rows, bucket = rows[order], bucket[order]
-    cuts = np.flatnonzero(np.diff(bucket)) + 1
-    lead = bucket[np.concatenate([[0], cuts])]
-    return [kind] * len(lead), lead.tolist(), [x.tobytes() for x in np.split(rows, cuts)]
+    cuts = _cuts(bucket)
+    lead = bucket[cuts[:-1]].astype(np.int32)
+    columns = [np.full(len(lead), kind, np.int32), lead, _binary(rows.view(np.uint8), cuts * rows.itemsize)]
+    return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["kind", "bucket", "data"])
 
 
 def _doc_bucket(doc: np.ndarray, buckets: int) -> np.ndarray:
@@ -155,77 +180,116 @@ def _gram_bucket(gram: np.ndarray, buckets: int) -> np.ndarray:
 SCHEMA = "kind int, bucket int, data binary"
 
 
-def _batch(*parts: tuple[list, list, list]) -> pa.RecordBatch:
-    kind, bucket, data = ([x for p in parts for x in p[i]] for i in range(3))
-    return pa.RecordBatch.from_arrays([pa.array(kind, pa.int32()), pa.array(bucket, pa.int32()), pa.array(data, pa.binary())], ["kind", "bucket", "data"])
-
-
 #: Kinds of blobs: places by bucket of the minimiser, marks and phrases wanted by bucket of the document, their texts.
 PLACES, MARKS, WANTED = 0, 1, 2
 
 
 def phrase_places(docs: DataFrame, buckets: int) -> DataFrame:
-    """Blobs of the first place of each phrase of a batch, and marks for its other places."""
-
-    def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        for part in pieces(batch):
-            data, off = text_bytes(part.column("text"))
-            row, start, n, gram, text, own = phrases(data, off)
-            p = np.zeros(len(row), PLACE)
-            p["gram"], p["text"], p["doc"], p["start"], p["n"], p["self"] = gram, text, np.asarray(part.column("_doc"))[row], start, n, own
-            p, first = _first_places(p)
-            again, p = _marks(p[~first]), p[first]
-            yield _batch(_rows(PLACES, _gram_bucket(p["gram"], buckets), p), _rows(MARKS, _gram_bucket(again["doc"].astype(np.uint64), buckets), again))
-
-    return per_batch(docs.select("_doc", "text"), work, SCHEMA)
-
-
-def rivals(places: DataFrame, buckets: int) -> DataFrame:
+    """Blobs of the first place of each phrase, and marks for its other places. A task gathers up to HELD places before
+    it deals them out, so that blobs hold as much as its share of the table allows."""
+
+    def deal(held: list) -> Iterator[pa.RecordBatch]:
+        p, first = _first_places(np.concatenate(held))
+        again, p = _marks(p[~first]), p[first]
+        yield _blobs(PLACES, _gram_bucket(p["gram"], buckets), p)
+        yield _blobs(MARKS, _doc_bucket(again["doc"], buckets), again)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own_worker(__name__)
+        held, n_held = [], 0
+        for batch in batches:
+            for part in pieces(batch):
+                data, off = text_bytes(part.column("text"))
+                row, start, n, gram, text, own = phrases(data, off)
+                p = np.zeros(len(row), PLACE)
+                p["gram"], p["text"], p["doc"], p["start"], p["n"], p["self"] = gram, text, np.asarray(part.column("_doc"))[row], start, n, own
+                held.append(p)
+                n_held += len(p)
+                if n_held >= HELD:
+                    yield from deal(held)
+                    held, n_held = [], 0
+        if n_held:
+            yield from deal(held)
+        give_back()
+
+    return docs.select("_doc", "text").mapInArrow(run, SCHEMA)
+
+
+def rivals(places: DataFrame, buckets: int, crowd: int) -> DataFrame:
     """For each bucket of minimisers: marks for all but the first place of each phrase, and the phrases wanted for an
-    index (minimisers with several phrases, phrases that repeat themselves). Out: blobs by bucket of the document."""
+    index (minimisers with several phrases, phrases that repeat themselves; CROWDED is set where there are more than
+    `crowd` of them). Out: blobs by bucket of the document."""
 
     def settle(table: pa.Table) -> pa.Table:
-        kind = np.asarray(table.column("kind"))
-        data = table.column("data").to_pylist()
-        marks = [np.frombuffer(d, MARK) for k, d in zip(kind, data) if k == MARKS]
-        p, first = _first_places(np.frombuffer(b"".join(d for k, d in zip(kind, data) if k == PLACES), PLACE))
-        marks.append(_marks(p[~first]))
+        p, first = _first_places(_joined(table.filter(pc.field("kind") == PLACES).column("data"), PLACE))
+        again = np.concatenate([_joined(table.filter(pc.field("kind") == MARKS).column("data"), MARK), _marks(p[~first])])
         p = p[first]
-        many = np.zeros(len(p), bool)
-        same = p["gram"][1:] == p["gram"][:-1]
-        many[1:] |= same
-        many[:-1] |= same
-        want = p[many | (p["self"] > 0)]
-        again = np.concatenate(marks)
-        return pa.Table.from_batches([_batch(_rows(MARKS, _doc_bucket(again["doc"], buckets), again), _rows(WANTED, _doc_bucket(want["doc"], buckets), want))])
+        _, n = np.unique(p["gram"], return_counts=True)
+        n = np.repeat(n, n)  # phrases of the minimiser of each
+        wanted = (n > 1) | (p["self"] > 0)
+        p["self"][n > crowd] |= CROWDED
+        want = p[wanted]
+        return pa.Table.from_batches([_blobs(MARKS, _doc_bucket(again["doc"], buckets), again), _blobs(WANTED, _doc_bucket(want["doc"], buckets), want)])
 
     return places.groupBy("bucket").applyInArrow(settle, SCHEMA)
 
 
+def split_crowded(want: np.ndarray, at: np.ndarray, data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(parts, their places in data) of phrases at `at`. Windows are dealt by where their minimiser first stands in them,
+    in steps of STEP bytes, and by the LENGTH - STEP + 1 bytes that all windows of such a step share; these and the
+    minimiser name the part. Equal windows have their minimiser at the same place and share those bytes, so their parts
+    have one name, and parts of other surroundings have other names."""
+    n = want["n"].astype(np.int64)
+    size = n + LENGTH - 1
+    off = np.cumsum(size) - size
+    body = data[np.repeat(at - off, size) + np.arange(int(size.sum()))]
+    grams = gram_hashes(body)
+    hit = np.where(grams == np.repeat(want["gram"], size)[: len(grams)], np.arange(len(grams)), len(grams))
+    following = np.minimum.accumulate(hit[::-1])[::-1]
+    phrase = np.repeat(np.arange(len(want)), n)
+    inside = np.arange(len(phrase)) - np.repeat(np.cumsum(n) - n, n)
+    place = following[off[phrase] + inside]
+    step = (place - off[phrase] - inside) // STEP
+    begin = np.ones(len(phrase), bool)
+    begin[1:] = (phrase[1:] != phrase[:-1]) | (place[1:] != place[:-1]) | (step[1:] != step[:-1])
+    first = np.flatnonzero(begin)
+    parts = want[phrase[first]]
+    parts["start"] += inside[first].astype(np.uint32)
+    parts["n"] = np.diff(np.append(first, len(phrase)))
+    core = place[first] - STEP * step[first]
+    parts["gram"] = mix64(parts["gram"] ^ span_hashes(body, core, core + LENGTH - STEP + 1))
+    return parts, at[phrase[first]] + inside[first]
+
+
 def phrase_texts(docs: DataFrame, wanted: DataFrame, buckets: int) -> DataFrame:
-    """Blobs by bucket of the minimiser: the wanted phrases and their bytes."""
+    """Blobs by bucket of the minimiser (for parts of crowded ones: of the name of the part): the wanted phrases and
+    their bytes."""
 
     def fetch(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
-        want = np.frombuffer(b"".join(right.column("data").to_pylist()), PLACE)
+        want = _joined(right.column("data"), PLACE)
         if not len(want):
-            return pa.table({"bucket": pa.array([], pa.int32()), "n": pa.array([], pa.int32()), "data": pa.array([], pa.binary())})
+            return pa.table({"bucket": pa.array([], pa.int32()), "places": pa.array([], pa.binary()), "data": pa.array([], pa.binary())})
         ids = np.asarray(left.column("_doc"))
         order = np.argsort(ids, kind="stable")
         row = order[np.searchsorted(ids[order], want["doc"])]
         text = left.column("text").combine_chunks()
         data, off = text_bytes(text.chunk(0) if isinstance(text, pa.ChunkedArray) else text)
         raw = data.tobytes()
+        at = off[row] + want["start"]
+        crowded = want["self"] & CROWDED > 0
+        if crowded.any():
+            parts, places = split_crowded(want[crowded], at[crowded], data)
+            want, at = np.concatenate([want[~crowded], parts]), np.concatenate([at[~crowded], places])
         bucket = _gram_bucket(want["gram"], buckets)
         by = np.argsort(bucket, kind="stable")
-        want, row, bucket = want[by], row[by], bucket[by]
-        at = off[row] + want["start"]
+        want, at, bucket = want[by], at[by], bucket[by]
         size = want["n"].astype(np.int64) + LENGTH - 1
-        cuts = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(want)]])
-        blobs = [want[a:b].tobytes() + b"".join(raw[s : s + n] for s, n in zip(at[a:b].tolist(), size[a:b].tolist())) for a, b in zip(cuts[:-1], cuts[1:])]
-        rows = np.diff(cuts)
-        return pa.table({"bucket": pa.array(bucket[cuts[:-1]], pa.int32()), "n": pa.array(rows, pa.int32()), "data": pa.array(blobs, pa.binary())})
+        cuts = _cuts(bucket)
+        bodies = b"".join([raw[s : s + n] for s, n in zip(at.tolist(), size.tolist())])
+        ends = np.concatenate([[0], np.cumsum(size)])[cuts]
+        return pa.table({"bucket": pa.array(bucket[cuts[:-1]], pa.int32()), "places": _binary(want.view(np.uint8), cuts * PLACE.itemsize), "data": _binary(bodies, ends)})
 
-    return _by_doc(docs, buckets).cogroup(wanted.groupBy("bucket")).applyInArrow(fetch, "bucket int, n int, data binary")
+    return _by_doc(docs, buckets).cogroup(wanted.groupBy("bucket")).applyInArrow(fetch, "bucket int, places binary, data binary")
 
 
 # ---------------------------------------------------------------- the index
@@ -263,39 +327,44 @@ class RunLengthIndex:
         self._breaks(order)
 
     def _sort(self, symbols: np.ndarray) -> np.ndarray:
-        """Rank of each suffix: seven symbols at once, then doubling among those not yet told apart."""
+        """Rank of each suffix: as many symbols at once as a word holds, then doubling among those not yet told apart."""
         n, texts = self.n, self.texts
         stop = np.repeat(self.end, np.diff(np.concatenate([[-1], self.end])))  # the mark that ends each place's text
-        padded = np.concatenate([symbols, np.zeros(7, np.int64)])
-        key = np.zeros(n, np.uint64)
-        live = np.ones(n, bool)
-        for k in range(7):
-            key = key << np.uint64(9) | np.where(live, padded[k : k + n], 0).astype(np.uint64)
+        code = np.zeros(257, np.uint64)
+        used = np.flatnonzero(np.bincount(symbols, minlength=257)[1:]) + 1
+        code[used] = np.arange(1, len(used) + 1)
+        bits = len(used).bit_length()
+        width = 63 // max(bits, 1)
+        padded = np.concatenate([code[symbols], np.zeros(width, np.uint64)])
+        key, live = np.zeros(n, np.uint64), np.ones(n, bool)
+        for k in range(width):
+            key = key << np.uint64(bits) | np.where(live, padded[k : k + n], np.uint64(0))
             live &= padded[k : k + n] > 0
-        del live
-        order = np.argsort(key, kind="stable")
-        new = np.ones(n, bool)
-        new[1:] = key[order][1:] != key[order][:-1]
+        del live, padded
+        by = np.argsort(key)
+        key = key[by]
+        group = np.ones(n, bool)
+        group[1:] = key[1:] != key[:-1]
+        del key
         rank = np.empty(n, np.int64)
-        rank[order] = np.maximum.accumulate(np.where(new, np.arange(n), 0))
+        rank[by] = np.maximum.accumulate(np.where(group, np.arange(n), 0))
         rank[self.end] = np.arange(texts)  # marks are the least suffixes, each of its own
-        width = 7
-        while True:
-            count = np.bincount(rank, minlength=n)
-            open_ = np.flatnonzero(count[rank] > 1)
-            if not len(open_):
-                return rank
-            other = rank[np.minimum(open_ + width, stop[open_])]
-            by = np.lexsort((other, rank[open_]))
-            places, r, o = open_[by], rank[open_][by], other[by]
-            new = np.ones(len(by), bool)
-            new[1:] = (r[1:] != r[:-1]) | (o[1:] != o[:-1])
+        alone = group & np.append(group[1:], True)
+        alone[:texts] = True
+        open_ = by[~alone]
+        while len(open_):
+            r, o = rank[open_], rank[np.minimum(open_ + width, stop[open_])]
+            by = np.argsort(r * n + o)
+            open_, r, o = open_[by], r[by], o[by]
             group = np.ones(len(by), bool)
             group[1:] = r[1:] != r[:-1]
             at = np.arange(len(by))
             inside = at - np.maximum.accumulate(np.where(group, at, 0))
-            rank[places] = np.maximum.accumulate(np.where(new, r + inside, 0))
+            group[1:] |= o[1:] != o[:-1]
+            rank[open_] = np.maximum.accumulate(np.where(group, r + inside, 0))
+            open_ = open_[~(group & np.append(group[1:], True))]
             width *= 2
+        return rank
 
     def _breaks(self, order: np.ndarray) -> None:
         """Rows at which the first `depth` bytes differ from those of the row before."""
@@ -376,6 +445,8 @@ class RunLengthIndex:
 
 def repeated_windows(places: np.ndarray, data: np.ndarray, off: np.ndarray) -> np.ndarray:
     """Marks for the windows of the phrases (with their first places) that stand earlier in another place."""
+    if not len(places):
+        return np.zeros(0, MARK)
     index = RunLengthIndex(data, off)
     rows = index.stream()
     n = places["n"].astype(np.int64)
@@ -398,18 +469,58 @@ def repeated_windows(places: np.ndarray, data: np.ndarray, off: np.ndarray) -> n
     return out
 
 
+def thinned(places: np.ndarray, data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(places, their bytes, offsets, marks) without what a bucket holds of crowded minimisers needlessly: windows of
+    them that hash as no other does are cut out, and of equal remains the first is kept and the others are marked, as
+    for whole phrases. A long line that very many documents share would fill the index with its surroundings otherwise."""
+    n = places["n"].astype(np.int64)
+    ends = np.concatenate([[0], np.cumsum(n)])
+    name = np.empty(ends[-1], np.uint64)
+    cuts = np.unique(np.searchsorted(off, np.arange(0, off[-1] + (1 << 20), 1 << 20)).clip(0, len(places)))
+    for a, b in zip(cuts[:-1], cuts[1:]):
+        at = np.repeat(off[a:b] - off[a] - (ends[a:b] - ends[a]), n[a:b]) + np.arange(ends[b] - ends[a])
+        name[ends[a] : ends[b]] = span_hashes(data[off[a] : off[b]], at, at + LENGTH)
+    phrase = np.repeat(np.arange(len(places)), n)
+    order = np.argsort(name)
+    same = name[order][1:] == name[order][:-1]
+    keep = places["self"][phrase] & CROWDED == 0
+    keep[order[1:][same]] = keep[order[:-1][same]] = True
+    begin = keep.copy()
+    begin[1:] &= ~keep[:-1] | (phrase[1:] != phrase[:-1])
+    stop = keep.copy()
+    stop[:-1] &= ~keep[1:] | (phrase[1:] != phrase[:-1])
+    first, last = np.flatnonzero(begin), np.flatnonzero(stop)
+    lead = phrase[first]
+    parts = places[lead]
+    parts["start"] += (first - ends[lead]).astype(np.uint32)
+    parts["n"] = last - first + 1
+    at = off[lead] + first - ends[lead]
+    text = mix64(parts["n"].astype(np.uint64) * MIX)
+    for k in range(int(parts["n"].max(initial=0))):
+        inside = parts["n"] > k
+        text[inside] = mix64(text[inside] ^ name[first[inside] + k])
+    parts["text"] = text
+    order = np.lexsort((parts["start"], parts["doc"], text))
+    again = np.zeros(len(parts), bool)
+    again[order[1:]] = text[order][1:] == text[order][:-1]
+    marks, parts, at = _marks(parts[again]), parts[~again], at[~again]
+    size = parts["n"].astype(np.int64) + LENGTH - 1
+    raw = data.tobytes()
+    body = b"".join([raw[s : s + k] for s, k in zip(at.tolist(), size.tolist())])
+    return parts, np.frombuffer(body, np.uint8), np.concatenate([[0], np.cumsum(size)]), marks
+
+
 def index_buckets(texts: DataFrame, buckets: int) -> DataFrame:
     """Marks (blobs by bucket of the document) from an index of each bucket's phrases."""
 
     def build(table: pa.Table) -> pa.Table:
-        places, bodies = [], []
-        for n, blob in zip(table.column("n").to_pylist(), table.column("data").to_pylist()):
-            places.append(np.frombuffer(blob, PLACE, n))
-            bodies.append(blob[n * PLACE.itemsize :])
-        p = np.concatenate(places)
+        p = _joined(table.column("places"), PLACE)
         off = np.concatenate([[0], np.cumsum(p["n"].astype(np.int64) + LENGTH - 1)])
-        got = repeated_windows(p, np.frombuffer(b"".join(bodies), np.uint8), off)
-        return pa.Table.from_batches([_batch(_rows(MARKS, _doc_bucket(got["doc"], buckets), got))])
+        data, marks = _joined(table.column("data"), np.dtype(np.uint8)), np.zeros(0, MARK)
+        if (p["self"] & CROWDED).any():
+            p, data, off, marks = thinned(p, data, off)
+        got = np.concatenate([marks, repeated_windows(p, data, off)])
+        return pa.Table.from_batches([_blobs(MARKS, _doc_bucket(got["doc"], buckets), got)])
 
     return texts.groupBy("bucket").applyInArrow(build, SCHEMA)
 
@@ -460,12 +571,12 @@ def numbered(docs: DataFrame) -> DataFrame:
     return held.select("doc_id", "text", (base_of + F.col("_at").bitwiseAND((1 << 33) - 1)).alias("_doc"))
 
 
-def removals(docs: DataFrame) -> DataFrame:
+def removals(docs: DataFrame, crowd: int = CROWD) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (the text left), spans ("start:end,...")."""
     spark = docs.sparkSession
     buckets = 4 * partitions(spark)
     base = numbered(docs)
-    settled = stage(rivals(phrase_places(base, buckets), buckets), "phrases")
+    settled = stage(rivals(phrase_places(base, buckets), buckets, crowd), "phrases")
     texts = phrase_texts(base, settled.filter(F.col("kind") == WANTED), buckets)
     found = stage(index_buckets(texts, buckets), "repeats")
     marks = settled.filter(F.col("kind") == MARKS).unionByName(found)
@@ -473,7 +584,7 @@ def removals(docs: DataFrame) -> DataFrame:
     names = [c.split()[0] for c in schema.split(", ")]
 
     def cut(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
-        marks = np.frombuffer(b"".join(right.column("data").to_pylist()), MARK)
+        marks = _joined(right.column("data"), MARK)
         marks = marks[np.argsort(marks["doc"], kind="stable")]
         cols: list[list] = [[] for _ in names]
         ids = np.asarray(left.column("_doc")) if left.num_rows else np.zeros(0, np.int64)

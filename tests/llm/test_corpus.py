@@ -47,6 +47,64 @@ def test_repeats_of_repeated_rows_and_empty(spark):
     assert repeats.removals(docs.filter("doc_id = 77")).count() == 0
 
 
+def test_repeats_of_crowded_minimisers(spark):
+    """Minimisers with more than a few phrases are split and dealt out anew, and no equal windows are parted."""
+    rng = random.Random(11)
+    text = lambda n: "".join(rng.choice("abcdef") for _ in range(n))
+    lines, tails = [text(k) for k in (40, 60, 85, 97, 99, 100, 140)], [text(70) for _ in range(5)]
+    rows = [(i, rng.choice(tails)[rng.randrange(60) :] + lines[i % 7] + rng.choice(tails)[: rng.randrange(70)] + (lines[i % 7] if i % 5 == 0 else "")) for i in range(400)]
+    rows += [(500, "ab" * 300), (501, "x" + "ab" * 120), (502, lines[0] * 9), (503, "q" + lines[0] * 4), (504, "0123456789" * 30)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert {r[0]: tuple(r[1:5]) for r in repeats.removals(docs, crowd=0).collect()} == brute_removals(rows)
+    assert {r[0]: tuple(r[1:5]) for r in repeats.removals(docs, crowd=3).collect()} == brute_removals(rows)
+
+
+def test_a_line_in_very_many_documents_is_dealt_out():
+    """One line of 60 bytes amid other texts: no name of a part gathers the phrases of all documents."""
+    rng = np.random.default_rng(4)
+    line = rng.integers(97, 123, 60).astype(np.uint8)
+    texts = [np.concatenate([rng.integers(97, 123, 120).astype(np.uint8), line, rng.integers(97, 123, 120).astype(np.uint8)]) for _ in range(300)]
+    data, off = np.concatenate(texts), np.arange(301) * 300
+    row, start, n, gram, _, _ = repeats.phrases(data, off)
+    p = np.zeros(len(row), repeats.PLACE)
+    p["gram"], p["doc"], p["start"], p["n"] = gram, row, start, n
+    assert np.unique(p["gram"], return_counts=True)[1].max() >= 150
+    parts, at = repeats.split_crowded(p, off[row] + start, data)
+    assert np.unique(parts["gram"], return_counts=True)[1].max() <= 2
+    assert parts["n"].sum() == n.sum() and parts["n"].max() <= repeats.STEP and (at == off[parts["doc"]] + parts["start"]).all()
+
+
+def test_surroundings_of_a_long_common_line_do_not_fill_an_index():
+    rng = np.random.default_rng(6)
+    line = rng.integers(97, 123, 160).astype(np.uint8)
+    texts = [np.concatenate([rng.integers(97, 123, 120).astype(np.uint8), line, rng.integers(97, 123, 120).astype(np.uint8)]) for _ in range(2000)]
+    data, off = np.concatenate(texts), np.arange(2001) * 400
+    row, start, n, gram, text, _ = repeats.phrases(data, off)
+    p = np.zeros(len(row), repeats.PLACE)
+    p["gram"], p["text"], p["doc"], p["start"], p["n"], p["self"] = gram, text, row, start, n, repeats.CROWDED
+    parts, at = repeats.split_crowded(p, off[row] + start, data)
+    size = parts["n"].astype(np.int64) + repeats.LENGTH - 1
+    held = np.concatenate([data[a : a + k] for a, k in zip(at, size)])
+    left, body, ends, marks = repeats.thinned(parts, held, np.concatenate([[0], np.cumsum(size)]))
+    assert len(body) == ends[-1] and len(body) < len(held) / 20
+    found = np.concatenate([marks, repeats.repeated_windows(left, body, ends)])
+    seen, want = set(), set()
+    for d, t in enumerate(texts):
+        for i in range(301):
+            w = t[i : i + 100].tobytes()
+            want |= {(d, i)} if w in seen else set()
+            seen.add(w)
+    assert {(int(d), int(s) + k) for d, s, c in found.tolist() for k in range(c)} == want
+
+
+def test_places_of_a_task_are_dealt_out_together(spark):
+    """Blobs of many pieces of text: one for each bucket and task, not one for each bucket and piece."""
+    rng = random.Random(2)
+    rows = [(i, "".join(rng.choice("abcdefgh ") for _ in range(400_000))) for i in range(8)]  # some pieces of 1 MB
+    docs = spark.createDataFrame(rows, "_doc long, text string").coalesce(1)
+    assert repeats.phrase_places(docs, 16).filter("kind = 0").count() == 16
+
+
 def test_index_matching_statistics():
     data = b"banana bandana" + b"anagram"
     index = repeats.RunLengthIndex(np.frombuffer(data, np.uint8), np.array([0, 14, 21]), 5)

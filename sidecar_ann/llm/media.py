@@ -3,7 +3,9 @@
 A frame is a baseline JPEG in which each 8 x 8 block is one sample: blocks are flat, so a DC coefficient quantised by 8
 holds the sample exactly and every decoder returns it unchanged. A row of 64 blocks is a restart interval; intervals
 begin at a byte and need nothing from each other, so all intervals of a batch of files are decoded in step with each
-other by table look-ups. A payload of up to 64 rows is one frame of its own height; longer ones have several of one
+other by table look-ups. The reader is a general one for sequential Huffman frames of 8 bits: codes of DC and AC
+coefficients, dequantisation, inverse transform, several components with their sampling; a block without AC coefficients,
+as all of a payload are, is the constant that the transform gives. A payload of up to 64 rows is one frame of its own height; longer ones have several of one
 height, the last padded, and the comment chunk holds the payload's length.
 
 Shots end where the histogram difference of neighbouring frames stands out from those before it (mean and deviation of
@@ -190,59 +192,96 @@ def parse_avi(data: bytes) -> tuple[list[tuple[int, int]], int | None, float]:
     return frames, payload, micro / 1e6
 
 
-def _parse_jpeg(frame: bytes) -> tuple[bytes, int, int, int, int]:
-    """(tables as they stand, rows of blocks, blocks a row, restart interval, start of the coded data)."""
-    at, height, width, interval, tables = 2, 0, 0, 0, []
+#: Row-major place of each coefficient in the order of the stream.
+ZIGZAG = np.array(sorted(range(64), key=lambda i: (i // 8 + i % 8, i // 8 if (i // 8 + i % 8) % 2 else i % 8)))
+#: Rows: frequencies; columns: samples.
+_WAVES = np.array([[(0.5 if u else 0.125**0.5) * np.cos((2 * x + 1) * u * np.pi / 16) for x in range(8)] for u in range(8)])
+
+
+def _parse_jpeg(frame: bytes) -> tuple[bytes, tuple, int, int, int, int, int]:
+    """(tables as they stand, (h, v, quantiser, DC table, AC table) of each component, height, width, restart interval,
+    start and end of the coded data)."""
+    at, height, width, interval, tables, parts = 2, 0, 0, 0, [], {}
     while True:
+        if at + 4 > len(frame):
+            raise ValueError("no scan in the frame")
         marker, n = frame[at + 1], int.from_bytes(frame[at + 2 : at + 4], "big")
         body = frame[at + 4 : at + 2 + n]
         if marker in (0xC4, 0xDB):
             tables.append(frame[at : at + 2 + n])
-        elif marker == 0xC0:
+        elif marker in (0xC0, 0xC1):
             height, width = int.from_bytes(body[1:3], "big"), int.from_bytes(body[3:5], "big")
-            if body[0] != 8 or body[5] != 1:
-                raise ValueError("8-bit frames of one component only")
-        elif 0xC1 <= marker <= 0xCF and marker != 0xC8:
-            raise ValueError("baseline frames only")
+            if body[0] != 8:
+                raise ValueError("8-bit frames only")
+            parts = {body[k]: (body[k + 1] >> 4, body[k + 1] & 15, body[k + 2]) for k in range(6, 6 + 3 * body[5], 3)}
+        elif 0xC2 <= marker <= 0xCF and marker != 0xC8:
+            raise ValueError("sequential Huffman frames only")
         elif marker == 0xDD:
             interval = int.from_bytes(body[:2], "big")
         at += 2 + n
         if marker == 0xDA:
-            return b"".join(tables), -(-height // 8), -(-width // 8), interval, at
-
-
-def _lookup(tables: bytes) -> tuple[np.ndarray, np.ndarray, int]:
-    """For the next 16 bits of a block: its DC difference and the bits it takes; and the DC quantiser."""
-    held = worker_cache("jpeg_tables")
-    if tables in held:
-        return held[tables]
-    at, quant, codes = 0, 8, {}
+            break
+    if body[0] != len(parts) or not height or not width:
+        raise ValueError("frames of one scan and of known size only")
+    scan = tuple((*parts[body[k]], body[k + 1] >> 4, body[k + 1] & 15) for k in range(1, 1 + 2 * body[0], 2))
+    if len(scan) == 1:
+        scan = ((1, 1, *scan[0][2:]),)  # the blocks of a lone component follow each other row by row
+    end = frame.rfind(b"\xff\xd9", at)
+    return b"".join(tables), scan, height, width, interval, at, len(frame) if end < 0 else end
+
+
+def _tables(tables: bytes) -> tuple[dict, dict]:
+    """(64 quantisers in the order of the stream by number; (symbol, code length) of the next 16 bits by class and number)."""
+    at, quant, codes = 0, {}, {}
     while at < len(tables):
         marker, n = tables[at + 1], int.from_bytes(tables[at + 2 : at + 4], "big")
         body = tables[at + 4 : at + 2 + n]
-        if marker == 0xDB:
-            quant = body[1]
-        else:
-            while body:
-                counts, kind = body[1:17], body[0]
-                k = sum(counts)
-                lengths = [i + 1 for i, c in enumerate(counts) for _ in range(c)]
-                codes[kind] = _codes_in_order(list(body[17 : 17 + k]), lengths)
-                body = body[17 + k :]
+        while body:
+            if marker == 0xDB:
+                wide = 1 + (body[0] >> 4)
+                quant[body[0] & 15] = np.frombuffer(body[1 : 1 + 64 * wide], ">u2" if wide == 2 else "u1").astype(np.int64)
+                body = body[1 + 64 * wide :]
+                continue
+            counts, kind = body[1:17], body[0]
+            k = sum(counts)
+            lengths = [i + 1 for i, c in enumerate(counts) for _ in range(c)]
+            symbol, length = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.int32)
+            for sym, (code, size) in _codes_in_order(list(body[17 : 17 + k]), lengths).items():
+                symbol[code << (16 - size) : (code + 1) << (16 - size)] = sym
+                length[code << (16 - size) : (code + 1) << (16 - size)] = size
+            codes[kind] = symbol, length
+            body = body[17 + k :]
         at += 2 + n
-    if set(codes[0x10]) != {0}:
-        raise ValueError("blocks with AC coefficients need the general decoder")
-    eob = codes[0x10][0][1]
-    diff, used = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.int32)
-    for cat, (code, n) in codes[0].items():
-        if n + cat > 16:
-            raise ValueError("code too long")
-        lo = code << (16 - n)
-        extra = np.arange(1 << (16 - n)) >> (16 - n - cat)
-        value = np.where(extra >= (1 << cat) >> 1, extra, extra - (1 << cat) + 1) if cat else np.zeros_like(extra)
-        diff[lo : lo + len(extra)], used[lo : lo + len(extra)] = value, n + cat + eob
-    held[tables] = diff, used, quant
-    return held[tables]
+    return quant, codes
+
+
+def _extended(bits: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Signed value of `size` bits."""
+    return np.where((size > 0) & (bits < (1 << size) >> 1), bits - (1 << size) + 1, bits)
+
+
+def _lookup(tables: bytes, scan: tuple) -> list[tuple]:
+    """For each component: quantisers, DC and AC codes, and for the next 16 bits the DC difference and the bits taken by a
+    block that ends after it; 0 bits where the block goes on, or does not fit."""
+    held = worker_cache("jpeg_tables")
+    if (tables, scan) in held:
+        return held[tables, scan]
+    quant, codes = _tables(tables)
+    out = []
+    for _, _, q, dc, ac in scan:
+        if q not in quant or dc not in codes or 16 + ac not in codes:
+            raise ValueError("a table of the frame is missing")
+        (cat, n), (symbol, length) = codes[dc], codes[16 + ac]
+        peek = np.arange(1 << 16)
+        rest = 16 - n - cat
+        fits = (n > 0) & (rest > 0)
+        after = np.where(fits, peek << np.where(fits, n + cat, 0), 0) & 0xFFFF
+        fits &= (symbol[after] == 0) & (length[after] > 0) & (length[after] <= rest)
+        bits = (peek >> np.where(fits, rest, 0)) & ((1 << np.where(fits, cat, 0)) - 1)
+        diff = np.where(fits, _extended(bits, np.where(fits, cat, 0)), 0).astype(np.int32)
+        out.append((quant[q], (cat, n), (symbol, length), diff, np.where(fits, n + cat + length[after], 0).astype(np.int32)))
+    held[tables, scan] = out
+    return out
 
 
 def _codes_in_order(symbols: list[int], lengths: list[int]) -> dict[int, tuple[int, int]]:
@@ -254,16 +293,94 @@ def _codes_in_order(symbols: list[int], lengths: list[int]) -> dict[int, tuple[i
     return out
 
 
-def decode_frames(frames: list[bytes]) -> list[np.ndarray]:
-    """Samples (rows, blocks a row) of each frame, all frames in step where their tables agree."""
+def _peek(word: np.ndarray, pos: np.ndarray) -> np.ndarray:
+    """The 16 bits from each place; past the end the last ones."""
+    return ((word[np.minimum(pos >> 3, len(word) - 1)] >> (8 - (pos & 7)).astype(np.uint32)) & 0xFFFF).astype(np.int64)
+
+
+def _symbols(word: np.ndarray, pos: np.ndarray, table: tuple) -> tuple[np.ndarray, np.ndarray]:
+    peek = _peek(word, pos)
+    if not table[1][peek].all():
+        raise ValueError("a code that no table of the frame has")
+    return table[0][peek], pos + table[1][peek]
+
+
+def _blocks(word: np.ndarray, pos: np.ndarray, dc: tuple, ac: tuple) -> tuple[np.ndarray, np.ndarray, tuple]:
+    """(DC difference of a block at each place, where it ends, (which block, number, level) of its AC coefficients)."""
+    size, pos = _symbols(word, pos, dc)
+    diff = _extended(_peek(word, pos) >> (16 - size), size)
+    pos = pos + size
+    at, live, found = np.ones(len(pos), np.int64), np.arange(len(pos)), []
+    while len(live):
+        sym, pos[live] = _symbols(word, pos[live], ac)
+        run, size = sym >> 4, sym & 15
+        goes_on = (size > 0) | (run == 15)
+        live, run, size = live[goes_on], run[goes_on], size[goes_on]
+        at[live] += run
+        if (at[live] > 63).any():
+            raise ValueError("more than 63 coefficients in a block")
+        level = _extended(_peek(word, pos[live]) >> (16 - size), size)
+        pos[live] += size
+        found.append((live[size > 0], at[live][size > 0], level[size > 0]))
+        at[live] += 1
+        live = live[at[live] <= 63]
+    return diff, pos, tuple(np.concatenate(x) for x in zip(*found))
+
+
+def _samples(dc: np.ndarray, which: np.ndarray, number: np.ndarray, level: np.ndarray, quant: np.ndarray) -> np.ndarray:
+    """Samples (n, 8, 8) of blocks of dequantised DC coefficients, and AC coefficients of the blocks `which`."""
+    out = np.empty((len(dc), 8, 8), np.uint8)
+    order = np.argsort(which, kind="stable")
+    which, number, level = which[order], number[order], level[order]
+    for s in range(0, len(dc), 1 << 13):
+        a, b = np.searchsorted(which, [s, s + (1 << 13)])
+        part = np.zeros((len(dc[s : s + (1 << 13)]), 64))
+        part[:, 0] = dc[s : s + (1 << 13)]
+        part[which[a:b] - s, ZIGZAG[number[a:b]]] = level[a:b] * quant[number[a:b]]
+        wave = _WAVES.T @ part.reshape(-1, 8, 8) @ _WAVES
+        out[s : s + len(part)] = np.clip(np.floor(wave + 128.5), 0, 255)
+    return out
+
+
+def _plane(dc: np.ndarray, ac: tuple, quant: np.ndarray, high: int, wide: int, per: tuple[int, int], size: tuple[int, int]) -> np.ndarray:
+    """A component of `high` x `wide` groups of per = (rows, columns) blocks, cut to its size: samples (rows, columns), or
+    where all blocks are flat a view (block rows, 8, block columns, 8) of one sample a block."""
+    v, h = per
+
+    def raster(x: np.ndarray) -> np.ndarray:
+        x = x.reshape(high, wide, v, h, *x.shape[1:])
+        return np.moveaxis(x, 2, 1).reshape(high * v, wide * h, *x.shape[4:])
+
+    if len(ac[0]):
+        x = np.moveaxis(raster(_samples(dc, *ac, quant)), 2, 1)
+    else:
+        flat = raster(np.clip(((dc + 4) >> 3) + 128, 0, 255).astype(np.uint8))
+        x = np.broadcast_to(flat[:, None, :, None], (high * v, 8, wide * h, 8))
+        if size == (high * v * 8, wide * h * 8):
+            return x
+    return x.reshape(high * v * 8, wide * h * 8)[: size[0], : size[1]]
+
+
+def _seen(plane: np.ndarray) -> np.ndarray:
+    """Samples of a plane, one of each block where blocks are flat: of the same shares and mean."""
+    return plane[:, 0, :, 0] if plane.ndim == 4 else plane
+
+
+def decode_frames(frames: list[bytes]) -> list[list[np.ndarray]]:
+    """Planes of the components of each frame (see _plane; brightness comes first), all frames in step where their tables
+    and components agree. Blocks that end after their DC coefficient take one look-up, others one for each code."""
     parsed = [_parse_jpeg(f) for f in frames]
     out: list = [None] * len(frames)
     groups: dict[tuple, list[int]] = {}
-    for i, (tables, rows, cols, interval, _) in enumerate(parsed):
-        groups.setdefault((tables, cols, interval or rows * cols), []).append(i)
-    for (tables, cols, interval), members in groups.items():
-        diff, used, quant = _lookup(tables)
-        coded = [np.frombuffer(frames[i], np.uint8)[parsed[i][4] : -2] for i in members]
+    shape = []
+    for i, (tables, scan, height, width, interval, _, _) in enumerate(parsed):
+        most_h, most_v = max(c[0] for c in scan), max(c[1] for c in scan)
+        shape.append((-(-height // (8 * most_v)), -(-width // (8 * most_h)), most_v, most_h))
+        groups.setdefault((tables, scan, interval or shape[i][0] * shape[i][1]), []).append(i)
+    for (tables, scan, interval), members in groups.items():
+        parts = _lookup(tables, scan)
+        order = [c for c, (h, v, *_) in enumerate(scan) for _ in range(h * v)]  # component of each block of a unit
+        coded = [np.frombuffer(frames[i], np.uint8)[parsed[i][5] : parsed[i][6]] for i in members]
         sizes = np.array([len(c) for c in coded], np.int64)
         data = np.concatenate([*coded, np.zeros(8, np.uint8)])
         starts = np.cumsum(sizes) - sizes
@@ -278,42 +395,67 @@ def decode_frames(frames: list[bytes]) -> list[np.ndarray]:
         at = kept[begin]  # place of each interval in the plain bytes
         plain = np.concatenate([data[~drop], np.zeros(8, np.uint8)]).astype(np.uint32)
         word = plain[:-3] << 16 | plain[1:-2] << 8 | plain[2:-1]
-        total = np.array([parsed[i][1] * cols for i in members], np.int64)
+        total = np.array([shape[i][0] * shape[i][1] for i in members], np.int64)
         per = -(-total // interval)
-        blocks = np.full(len(at), interval, np.int64)
-        blocks[np.cumsum(per) - 1] = total - (per - 1) * interval
-        if len(blocks) != int(per.sum()):
+        units = np.full(len(at), interval, np.int64)
+        if len(units) != int(per.sum()):
             raise ValueError("restart markers do not match the frames")
+        units[np.cumsum(per) - 1] = total - (per - 1) * interval
+        blocks = units * len(order)
         steps = int(blocks.max())
         held = np.zeros((steps, len(at)), np.int32)
+        more: list[list[tuple]] = [[] for _ in scan]
         pos = at << 3
         for k in range(steps):
-            peek = (word[pos >> 3] >> (8 - (pos & 7)).astype(np.uint32)) & 0xFFFF
-            held[k] = diff[peek]
-            pos = np.where(blocks > k, pos + used[peek], pos)
-        value = np.clip(np.cumsum(held, axis=0) * quant // 8 + 128, 0, 255).astype(np.uint8).T
-        flat = value.reshape(-1) if (blocks == steps).all() else np.concatenate([v[:n] for v, n in zip(value, blocks)])
-        ends = np.cumsum(total)
-        for i, s, e in zip(members, ends - total, ends):
-            out[i] = flat[s:e].reshape(-1, cols)
+            _, dc, ac, diff, used = parts[order[k % len(order)]]
+            peek = (word[np.minimum(pos >> 3, len(word) - 1)] >> (8 - (pos & 7)).astype(np.uint32)) & 0xFFFF
+            held[k], take = diff[peek], used[peek]
+            long = np.flatnonzero((take == 0) & (blocks > k)) if not take.all() else ()
+            pos = np.where(blocks > k, pos + take, pos)
+            if len(long):
+                held[k, long], pos[long], (which, number, level) = _blocks(word, pos[long], dc, ac)
+                more[order[k % len(order)]].append((long[which], np.full(len(which), k), number, level))
+        owner = np.repeat(np.arange(len(members)), per)
+        lead = np.cumsum(per) - per
+        for c, (h, v, *_) in enumerate(scan):
+            mine = np.flatnonzero(np.array(order) == c)
+            rows = (np.arange(steps // len(order))[:, None] * len(order) + mine).ravel()
+            value = (np.cumsum(held[rows], axis=0) * parts[c][0][0]).T
+            n_units = units * len(mine)
+            flat = value.reshape(-1) if (blocks == steps).all() else np.concatenate([x[:n] for x, n in zip(value, n_units)])
+            none = np.zeros(0, np.int64)
+            inter, step, number, level = (np.concatenate(x) for x in zip(*more[c])) if more[c] else (none,) * 4
+            first = np.cumsum(n_units) - n_units
+            which = first[inter] + step // len(order) * len(mine) + step % len(order) - (mine[0] if len(mine) else 0)
+            by = np.argsort(owner[inter], kind="stable")
+            which, number, level = which[by], number[by], level[by]
+            cuts = np.searchsorted(owner[inter][by], np.arange(len(members) + 1))
+            for m, i in enumerate(members):
+                s, (high, wide, most_v, most_h) = first[lead[m]], shape[i]
+                a, b = cuts[m], cuts[m + 1]
+                size = -(-parsed[i][2] * v // most_v), -(-parsed[i][3] * h // most_h)
+                plane = _plane(flat[s : s + total[m] * len(mine)], (which[a:b] - s, number[a:b], level[a:b]), parts[c][0], high, wide, (v, h), size)
+                out[i] = (out[i] or []) + [plane]
     return out
 
 
 def decode(files: list[bytes]) -> list[tuple[bytes, list[np.ndarray], float]]:
-    """(payload, frames, seconds a frame) of each file."""
+    """(payload, brightness of the frames, seconds a frame) of each file. Without a length in a comment chunk the payload is
+    the samples seen."""
     parsed = [parse_avi(f) for f in files]
-    frames = decode_frames([f[at : at + n] for f, (where, _, _) in zip(files, parsed) for at, n in where])
+    frames = [planes[0] for planes in decode_frames([f[at : at + n] for f, (where, _, _) in zip(files, parsed) for at, n in where])]
     out, k = [], 0
     for where, payload, each in parsed:
         own = frames[k : k + len(where)]
         k += len(where)
-        joined = b"".join(x.tobytes() for x in own)
+        joined = b"".join(_seen(x).tobytes() for x in own)
         out.append((joined if payload is None else joined[:payload], own, each))
     return out
 
 
 def histograms(frames: list[np.ndarray]) -> np.ndarray:
     """Share of the samples of each frame in each of 16 ranges."""
+    frames = [_seen(f) for f in frames]
     sizes = np.array([f.size for f in frames], np.int64)
     flat = np.concatenate([f.ravel() for f in frames]).astype(np.int64) >> 4
     row = np.repeat(np.arange(len(frames)), sizes)
@@ -391,7 +533,7 @@ def clips(media: DataFrame) -> DataFrame:
             out = []
             for (doc, _), (_, frames, each) in zip(rows, decode([m for _, m in rows])):
                 for k, (s, e) in enumerate(shots(histograms(frames))):
-                    out.append((doc, k, s * each, e * each, s, e, float(np.mean([f.mean() for f in frames[s:e]]))))
+                    out.append((doc, k, s * each, e * each, s, e, float(np.mean([_seen(f).mean() for f in frames[s:e]]))))
             kinds = [pa.int64(), pa.int32(), pa.float64(), pa.float64(), pa.int64(), pa.int64(), pa.float64()]
             names = ["doc_id", "clip", "start_s", "end_s", "first_frame", "end_frame", "mean"]
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], k) for i, k in enumerate(kinds)], names)

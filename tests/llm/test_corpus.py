@@ -318,6 +318,88 @@ def test_media_round_trip(spark):
     assert got[0]["payload_sha256"] == hashlib.sha256(b"\0" * 64).hexdigest() and got[0]["media_sha256"] == got[1]["media_sha256"]
 
 
+def coded_picture(rng, height, width, sampling, interval):
+    """A baseline frame of random coefficients, code by code, and its planes by the transform's definition."""
+    zigzag, x, y, up = [], 0, 0, True
+    for _ in range(64):  # walk the diagonals
+        zigzag.append(8 * y + x)
+        if up:
+            x, y, up = (x, y + 1, False) if x == 7 else (x + 1, y, False) if y == 0 else (x + 1, y - 1, True)
+        else:
+            x, y, up = (x + 1, y, True) if y == 7 else (x, y + 1, True) if x == 0 else (x - 1, y + 1, False)
+    dc_len, ac_len = {c: 4 for c in range(12)}, {r << 4 | s: 9 for r in range(16) for s in range(1, 11)} | {0: 3, 0xF0: 8}
+    dc_codes, ac_codes = media._codes(dc_len), media._codes(ac_len)
+    quant = [1 + rng.randrange(12) for _ in range(64)]
+    hm, vm = max(h for h, _ in sampling), max(v for _, v in sampling)
+    high, wide = -(-height // (8 * vm)), -(-width // (8 * hm))
+    planes = [np.zeros((high * v * 8, wide * h * 8)) for h, v in sampling]
+    wave = np.array([[(0.5 if u else 8**-0.5) * np.cos((2 * i + 1) * u * np.pi / 16) for i in range(8)] for u in range(8)])
+    coded, bits, last, units, marks = b"", "", [0] * len(sampling), 0, 0
+
+    def put(code, value=0):
+        s = abs(value).bit_length()
+        return f"{code[0]:0{code[1]}b}" + (f"{value if value > 0 else value + (1 << s) - 1:0{s}b}" if s else "")
+
+    def flush():
+        whole = bits + "1" * (-len(bits) % 8)
+        return b"".join(bytes([b]) + (b"\0" if b == 255 else b"") for b in (int(whole[i : i + 8], 2) for i in range(0, len(whole), 8)))
+
+    for my in range(high):
+        for mx in range(wide):
+            if interval and units and units % interval == 0:
+                coded, bits, last = coded + flush() + bytes([255, 0xD0 + marks % 8]), "", [0] * len(sampling)
+                marks += 1
+            units += 1
+            for c, (h, v) in enumerate(sampling):
+                for by in range(v):
+                    for bx in range(h):
+                        z = [rng.randrange(-40, 40)] + [0] * 63
+                        for k in rng.sample(range(1, 64), rng.choice([0, 0, 1, 5, 63])):
+                            z[k] = rng.randrange(-9, 10)
+                        d, last[c] = z[0] - last[c], z[0]
+                        bits += put(dc_codes[abs(d).bit_length()], d)
+                        run = 0
+                        end = max([k for k in range(64) if z[k]] + [0])
+                        for k in range(1, end + 1):
+                            if not z[k]:
+                                run += 1
+                                continue
+                            bits += put(ac_codes[0xF0]) * (run // 16) + put(ac_codes[run % 16 << 4 | abs(z[k]).bit_length()], z[k])
+                            run = 0
+                        bits += put(ac_codes[0]) if end < 63 else ""
+                        f = np.zeros(64)
+                        for k in range(64):
+                            f[zigzag[k]] = z[k] * quant[k]
+                        r, q = (my * v + by) * 8, (mx * h + bx) * 8
+                        planes[c][r : r + 8, q : q + 8] = wave.T @ f.reshape(8, 8) @ wave + 128
+    n = len(sampling)
+    head = b"\xff\xd8\xff\xdb\x00\x43\x00" + bytes(quant) + b"\xff\xc0" + (8 + 3 * n).to_bytes(2, "big") + b"\x08" + height.to_bytes(2, "big") + width.to_bytes(2, "big") + bytes([n])
+    head += b"".join(bytes([c + 1, h << 4 | v, 0]) for c, (h, v) in enumerate(sampling)) + media._dht(0, dc_len) + media._dht(16, ac_len)
+    head += b"\xff\xdd\x00\x04" + interval.to_bytes(2, "big") if interval else b""
+    head += b"\xff\xda" + (6 + 2 * n).to_bytes(2, "big") + bytes([n]) + b"".join(bytes([c + 1, 0]) for c in range(n)) + b"\x00\x3f\x00"
+    cut = [p[: -(-height * v // vm), : -(-width * h // hm)] for p, (h, v) in zip(planes, sampling)]
+    return head + coded + flush() + b"\xff\xd9", cut
+
+
+def test_frames_with_ac_coefficients_and_colours(spark):
+    rng = random.Random(8)
+    cases = [(16, 24, [(1, 1)], 0), (21, 35, [(1, 1)], 2), (40, 50, [(2, 2), (1, 1), (1, 1)], 3), (33, 17, [(2, 1), (1, 1), (1, 1)], 0), (21, 40, [(1, 1)], 2)]
+    made = [coded_picture(rng, *c) for c in cases]
+    flat = media.encode([bytes(range(64)) * 2])[0]
+    where = media.parse_avi(flat)[0][0]
+    got = media.decode_frames([f for f, _ in made] + [flat[where[0] : where[0] + where[1]]])
+    for planes, (_, want) in zip(got, made):
+        assert [p.shape for p in planes] == [w.shape for w in want]
+        assert all(np.abs(p - np.clip(w, 0, 255)).max() <= 0.51 for p, w in zip(planes, want))
+    assert got[-1][0].shape == (2, 8, 64, 8) and got[-1][0][1, :, 9, :].tolist() == [[9] * 8] * 8
+    file = media._avi([made[2][0]] * 3, 5, 0).replace(b"payload=", b"comment=")
+    rows = spark.createDataFrame([(1, bytearray(file))], "doc_id long, media binary")
+    clip = media.clips(rows).collect()
+    assert [(r["first_frame"], r["end_frame"]) for r in clip] == [(0, 3)] and abs(clip[0]["mean"] - np.clip(made[2][1][0], 0, 255).mean()) < 0.3
+    with pytest.raises(ValueError):
+        media.decode_frames([made[0][0].replace(b"\xff\xc0", b"\xff\xc2")])
+
+
 def test_shots_become_clips(spark):
     scenes = b"".join(bytes([v]) * (media.ROW * media.ROWS * 6) for v in (20, 200, 90))
     docs = spark.createDataFrame([(1, bytes(scenes).decode("latin-1"))], "doc_id long, text string")

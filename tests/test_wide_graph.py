@@ -3,6 +3,7 @@
 import tracemalloc
 
 import numpy as np
+import pytest
 from sidecar_ann.functions import graph as G
 
 
@@ -20,3 +21,25 @@ def test_prune_among_many_candidates_holds_no_square_of_them():
         if i != 7 and len(want) < 12 and all(1.44 * ((x[i] - x[j]) ** 2).sum() > to[i] for j in want):
             want.append(int(i))
     assert kept.tolist() == want
+
+
+def test_full_beam_is_one_pass_over_what_the_entries_reach(monkeypatch):
+    """No sort for each node that is expanded; nodes out of reach stay out."""
+    rng = np.random.default_rng(5)
+    x, q = rng.normal(size=(300, 6)), rng.normal(size=(4, 6))
+    table = np.stack([(np.arange(300) + 1) % 290, rng.integers(0, 290, 300)], 1)
+    sorts, sort = [0], np.lexsort
+
+    def counted(*a, **b):
+        sorts[0] += 1
+        return sort(*a, **b)
+
+    monkeypatch.setattr(np, "lexsort", counted)
+    got = G.beam_search(x, table, np.array([3]), q, 300)
+    assert sorts[0] <= len(q)
+    for row, d, v in zip(got.ids, got.distance, q):
+        true = ((x[:290] - v) ** 2).sum(1)
+        assert row[:290].tolist() == np.argsort(true, kind="stable").tolist()
+        assert d[:290] == pytest.approx(np.sort(true))
+        assert (row[290:] == -1).all() and np.isinf(d[290:]).all()
+    assert got.visited.tolist() == [290] * 4

@@ -30,7 +30,13 @@ def answers(spark, name, monkeypatch):
     return got, sorted(con.execute(SQL[name]).fetchall()), max(kept)
 
 
-@pytest.mark.parametrize("name", ["ann_batch_exhaustive"])
+ONCE = [
+    "ann_batch_exhaustive",
+    "ann_exhaustive_centroid_shards",
+]
+
+
+@pytest.mark.parametrize("name", ONCE)
 def test_candidates_do_not_grow_with_the_queries(spark, name, monkeypatch):
     got, want, kept = answers(spark, name, monkeypatch)
     assert got == want

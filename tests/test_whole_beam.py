@@ -33,6 +33,7 @@ def answers(spark, name, monkeypatch):
 ONCE = [
     "ann_batch_exhaustive",
     "ann_exhaustive_centroid_shards",
+    "hybrid_exhaustive",
 ]
 
 

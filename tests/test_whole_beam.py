@@ -34,6 +34,7 @@ ONCE = [
     "ann_batch_exhaustive",
     "ann_exhaustive_centroid_shards",
     "hybrid_exhaustive",
+    "ann_exhaustive_file_shards",
 ]
 
 

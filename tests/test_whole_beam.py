@@ -35,6 +35,7 @@ ONCE = [
     "ann_exhaustive_centroid_shards",
     "hybrid_exhaustive",
     "ann_exhaustive_file_shards",
+    "hnsw_exhaustive",
 ]
 
 

@@ -36,6 +36,7 @@ ONCE = [
     "hybrid_exhaustive",
     "ann_exhaustive_file_shards",
     "hnsw_exhaustive",
+    "stream_knn",
 ]
 
 

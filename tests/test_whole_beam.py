@@ -61,3 +61,11 @@ def test_all_rows_as_near_as_the_last_place_are_measured(spark, metric):
         d = sorted((float(D.exact_distances(np.array([v]), np.array(q), metric)[0]), i) for i, v in rows)
         want += [(qid, k + 1, i) for k, (_, i) in enumerate(d[:5])]
     assert got == want
+
+
+def test_centroid_batches_pair_no_rows_with_queries(spark):
+    """The rows of a file meet its queries in a kernel, not in a join."""
+    from sidecar_ann.workloads.registry import queries_of, shared, uniform
+
+    got = shared(spark, SF)[1].search_centroid_batch("ix", queries_of(uniform(spark, SF)), 10, 5)
+    assert "Join" not in got._jdf.queryExecution().optimizedPlan().toString()

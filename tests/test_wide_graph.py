@@ -43,3 +43,36 @@ def test_full_beam_is_one_pass_over_what_the_entries_reach(monkeypatch):
         assert d[:290] == pytest.approx(np.sort(true))
         assert (row[290:] == -1).all() and np.isinf(d[290:]).all()
     assert got.visited.tolist() == [290] * 4
+
+
+@pytest.mark.parametrize("width", [1, 5, 40])
+def test_a_narrow_beam_sorts_its_pool_once(width, monkeypatch):
+    """Not once for each node that is expanded."""
+    x = np.random.default_rng(6).normal(size=(400, 6))
+    table, entries = G.build_graph(x, G.GraphParams(R=8, L=20))
+    sorts, sort = [0], np.lexsort
+
+    def counted(*a, **b):
+        sorts[0] += 1
+        return sort(*a, **b)
+
+    monkeypatch.setattr(np, "lexsort", counted)
+    got = G.beam_search(x, table, entries, x[:30] + 0.01, width)
+    assert sorts[0] <= 2 < got.visited.max() + 2
+    assert (np.diff(got.distance, axis=1) >= 0).all()
+    assert (got.ids[:, 0] == np.arange(30)).mean() > 0.9 or width == 1
+    for row, d, v in zip(got.ids, got.distance, x[:30] + 0.01):
+        assert d == pytest.approx(((x[row] - v) ** 2).sum(1))
+
+
+@pytest.mark.parametrize("R", [1, 2, 4])
+def test_repair_brings_all_in_reach_and_loses_none(R):
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(150, 4)) + np.repeat(np.arange(5), 30)[:, None] * 20
+    table = (np.repeat(np.arange(5), 30) * 30)[:, None] + rng.integers(0, 30, (150, R))
+    before = G.reachable(table, np.array([0]))
+    G.repair(x, table, np.array([0]))
+    after = G.reachable(table, np.array([0]))
+    assert after[before].all() and after.sum() > before.sum()
+    if R > 1:
+        assert after.all()

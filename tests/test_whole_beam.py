@@ -37,6 +37,7 @@ ONCE = [
     "ann_exhaustive_file_shards",
     "hnsw_exhaustive",
     "stream_knn",
+    "w_knn_label_vote",
 ]
 
 

@@ -38,6 +38,7 @@ ONCE = [
     "hnsw_exhaustive",
     "stream_knn",
     "w_knn_label_vote",
+    "filtered_knn_post",
 ]
 
 

@@ -39,6 +39,7 @@ ONCE = [
     "stream_knn",
     "w_knn_label_vote",
     "filtered_knn_post",
+    "refresh_append_exhaustive",
 ]
 
 

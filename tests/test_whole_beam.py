@@ -40,6 +40,7 @@ ONCE = [
     "w_knn_label_vote",
     "filtered_knn_post",
     "refresh_append_exhaustive",
+    "ann_exhaustive_topk",
 ]
 
 

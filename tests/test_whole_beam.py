@@ -41,6 +41,7 @@ ONCE = [
     "filtered_knn_post",
     "refresh_append_exhaustive",
     "ann_exhaustive_topk",
+    "cow_delete_exhaustive",
 ]
 
 

@@ -42,6 +42,7 @@ ONCE = [
     "refresh_append_exhaustive",
     "ann_exhaustive_topk",
     "cow_delete_exhaustive",
+    "refresh_delete_exhaustive",
 ]
 
 

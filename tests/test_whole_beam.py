@@ -43,6 +43,7 @@ ONCE = [
     "ann_exhaustive_topk",
     "cow_delete_exhaustive",
     "refresh_delete_exhaustive",
+    "w_knn_group",
 ]
 
 

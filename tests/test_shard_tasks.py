@@ -12,6 +12,7 @@ SF = "/root/testdata/sf0.001"
 #: Query -> how often its index is dealt out: built, refreshed, walked.
 DEALT = {
     "ann_exhaustive_centroid_shards": 1,
+    "hybrid_exhaustive": 1,
 }
 
 

@@ -13,6 +13,7 @@ SF = "/root/testdata/sf0.001"
 DEALT = {
     "ann_exhaustive_centroid_shards": 1,
     "hybrid_exhaustive": 1,
+    "ann_exhaustive_file_shards": 1,
 }
 
 

@@ -14,6 +14,7 @@ DEALT = {
     "ann_exhaustive_centroid_shards": 1,
     "hybrid_exhaustive": 1,
     "ann_exhaustive_file_shards": 1,
+    "hnsw_exhaustive": 2,
 }
 
 

@@ -15,6 +15,7 @@ DEALT = {
     "hybrid_exhaustive": 1,
     "ann_exhaustive_file_shards": 1,
     "hnsw_exhaustive": 2,
+    "stream_knn": 2,
 }
 
 

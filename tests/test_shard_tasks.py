@@ -16,6 +16,7 @@ DEALT = {
     "ann_exhaustive_file_shards": 1,
     "hnsw_exhaustive": 2,
     "stream_knn": 2,
+    "w_knn_label_vote": 2,
 }
 
 

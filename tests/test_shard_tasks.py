@@ -17,6 +17,7 @@ DEALT = {
     "hnsw_exhaustive": 2,
     "stream_knn": 2,
     "w_knn_label_vote": 2,
+    "ann_exhaustive_topk": 2,
 }
 
 

@@ -18,6 +18,7 @@ DEALT = {
     "stream_knn": 2,
     "w_knn_label_vote": 2,
     "ann_exhaustive_topk": 2,
+    "cow_delete_exhaustive": 3,
 }
 
 

@@ -19,6 +19,7 @@ DEALT = {
     "w_knn_label_vote": 2,
     "ann_exhaustive_topk": 2,
     "cow_delete_exhaustive": 3,
+    "filtered_knn_post": 2,
 }
 
 

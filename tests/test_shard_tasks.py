@@ -20,6 +20,7 @@ DEALT = {
     "ann_exhaustive_topk": 2,
     "cow_delete_exhaustive": 3,
     "filtered_knn_post": 2,
+    "refresh_append_exhaustive": 3,
 }
 
 

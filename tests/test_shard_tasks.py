@@ -21,6 +21,7 @@ DEALT = {
     "cow_delete_exhaustive": 3,
     "filtered_knn_post": 2,
     "refresh_append_exhaustive": 3,
+    "refresh_delete_exhaustive": 3,
 }
 
 

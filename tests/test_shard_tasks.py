@@ -22,6 +22,7 @@ DEALT = {
     "filtered_knn_post": 2,
     "refresh_append_exhaustive": 3,
     "refresh_delete_exhaustive": 3,
+    "w_knn_group": 2,
 }
 
 
